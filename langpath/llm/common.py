@@ -94,6 +94,8 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[ord("A") : ord("Z") + 1] += 32
+#: White space, control characters and ASCII punctuation.
+PUNCTUATION = np.array([b < 0x80 and not chr(b).isalnum() for b in range(256)])
 _BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(_BASE, -1, 1 << 64)
 _powers: dict[str, np.ndarray] = {}
@@ -132,15 +134,15 @@ def range_hash(prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.nda
     return mix((prefix[end] - prefix[start]) * down[start] + (end - start).astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
 
 
-def words_of(raw: np.ndarray, offsets: np.ndarray, lower: bool = False):
-    """Words (runs of bytes outside 0x20 and 0x09-0x0D) of concatenated texts.
+def words_of(raw: np.ndarray, offsets: np.ndarray, lower: bool = False, breaks: np.ndarray = _SPACE):
+    """Words (runs of bytes outside ``breaks``: 0x20 and 0x09-0x0D) of concatenated texts.
 
     Returns (start, end, hash, first): byte ranges and hashes of all words, and for each
     text the index of its first word (one entry more than texts)."""
     n = len(raw)
     if lower:
         raw = _LOWER[raw]
-    solid = ~_SPACE[raw]
+    solid = ~breaks[raw]
     edge = np.zeros(n + 1, bool)
     edge[offsets] = True
     left = np.empty(n, bool)
@@ -297,3 +299,54 @@ def encoder(path: str) -> ExactEncoder:
     if path not in _encoders:
         _encoders[path] = ExactEncoder(path)
     return _encoders[path]
+
+
+# --------------------------------------------------------------------------- shingles
+def shingles(h: np.ndarray, first: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
+    """(hash, start) of the ``width``-word shingles of texts, by word hashes ``h`` and the
+    texts' first words: a text of fewer words, but at least one, is one shingle as a whole.
+    ``start`` has, for each text, the index of its first shingle (one entry more than texts)."""
+    n = np.diff(first)
+    count = np.where(n >= width, n - width + 1, (n > 0).astype(np.int64))
+    start = np.concatenate([[0], np.cumsum(count)]).astype(np.int64)
+    at = gather(first[:-1], count)
+    size = np.repeat(np.minimum(n, width), count)
+    out = np.zeros(len(at), np.uint64)
+    for k in range(width):
+        has = size > k
+        word = h[np.minimum(at + k, max(len(h) - 1, 0))] if len(h) else out
+        out = np.where(has, mix(out * np.uint64(0x9E3779B97F4A7C15) + word + np.uint64(k + 1)), out)
+    return out, start
+
+
+def distinct(h: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct hashes of each text, in ascending order within it."""
+    owner = np.repeat(np.arange(len(start) - 1), np.diff(start))
+    order = np.lexsort((h, owner))
+    h, owner = h[order], owner[order]
+    new = np.ones(len(h), bool)
+    new[1:] = (h[1:] != h[:-1]) | (owner[1:] != owner[:-1])
+    return h[new], np.concatenate([[0], np.cumsum(np.bincount(owner[new], minlength=len(start) - 1))]).astype(np.int64)
+
+
+# --------------------------------------------------------------------------- fixed-size filters
+FILTER_BITS = 1 << 23
+
+
+def key_filter(keys: DataFrame, column: str) -> np.ndarray:
+    """Bitmap of hashed long keys, of a fixed 1 MB whatever the table's size.  It only spares work:
+    an exact join must follow."""
+    from pyspark.sql import functions as F
+
+    bit = F.pmod(F.col(column), F.lit(FILTER_BITS))
+    maps = keys.select(bit.alias("bit")).groupBy((F.col("bit") / 32768).cast("int").alias("bucket")).agg(F.bitmap_construct_agg(F.col("bit") % 32768).alias("bits")).collect()
+    out = np.zeros(FILTER_BITS // 8, np.uint8)
+    for bucket, bits in maps:
+        out[bucket * 4096 : (bucket + 1) * 4096] = np.frombuffer(bytes(bits), np.uint8)
+    return out
+
+
+def in_filter(bits: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """Which int64 keys may be in the set of :func:`key_filter`."""
+    bit = np.mod(keys, FILTER_BITS)
+    return bits[bit >> 3] >> (bit & 7).astype(np.uint8) & 1 != 0
