@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import common, compression, packing, secrets, slots, wavelet
+from . import common, compression, decontam, html, minhash, packing, secrets, slots, wavelet
 
 
 def op1_wavelet_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -25,6 +25,16 @@ def op4_hierarchical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(docs, common.tokenizer_file(), end_id=0)
 
 
+def op5_tag_path_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html.extract_pages(common.read(spark, sf_dir, "pages", "page_id", "url", "html"))
+
+
+def op6_simhash_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = common.read(spark, sf_dir, "documents", "doc_id", "text")
+    found = decontam.find(docs, common.read(spark, sf_dir, "benchmark", "item_id", "text"))
+    return found.select("doc_id", F.col("hits.item_id").alias("item_ids"), F.size("hits").cast("long").alias("n_items"), F.array_max("hits.similarity").alias("best_similarity"), "kept")
+
+
 def op7_virtual_slots(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = slots.records(common.read(spark, sf_dir, "documents", "doc_id", "text"))
     m = slots.save_map(slots.new_map(slots.slot_loads(rows)), common.new_path(spark, "slot-map"))
@@ -38,7 +48,12 @@ def op8_secret_linking(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *counts, F.sha2(secrets.as_text("base"), 256).alias("base_sha256"), secrets.as_text("spans").alias("spans"))
 
 
+def op9_tensored_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    linked = minhash.link(common.read(spark, sf_dir, "documents", "doc_id", "text"))
+    return linked.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_wavelet_tokens, op2_compression_bands, op4_hierarchical_packing, op7_virtual_slots, op8_secret_linking)
+    f.__name__: f for f in (op1_wavelet_tokens, op2_compression_bands, op4_hierarchical_packing, op5_tag_path_ratios, op6_simhash_decontamination, op7_virtual_slots, op8_secret_linking, op9_tensored_minhash)
 }
 ORACLE_SQL: dict[str, str] = {}
