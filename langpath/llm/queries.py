@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import common, compression, decontam, html, minhash, packing, secrets, slots, wavelet
+from . import common, compression, decontam, html, lpf, minhash, packing, secrets, slots, wavelet
 
 
 def op1_wavelet_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -53,7 +53,12 @@ def op9_tensored_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linked.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
 
 
+def op10_longest_previous_factor(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = lpf.remove_repeats(common.read(spark, sf_dir, "documents", "doc_id", "text"), keep="none")
+    return cut.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_wavelet_tokens, op2_compression_bands, op4_hierarchical_packing, op5_tag_path_ratios, op6_simhash_decontamination, op7_virtual_slots, op8_secret_linking, op9_tensored_minhash)
+    f.__name__: f for f in (op1_wavelet_tokens, op2_compression_bands, op4_hierarchical_packing, op5_tag_path_ratios, op6_simhash_decontamination, op7_virtual_slots, op8_secret_linking, op9_tensored_minhash, op10_longest_previous_factor)
 }
 ORACLE_SQL: dict[str, str] = {}
