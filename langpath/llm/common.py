@@ -176,12 +176,11 @@ def tokenizer_file(name: str = "byte_bpe_50k.json") -> str:
 class ExactEncoder:
     """Byte-level BPE of whole texts, each distinct word form of a slice encoded once.
 
-    A pre-token of this vocabulary always begins at a single space between two other
-    characters, so a text may be cut there and its pieces encoded alone.  Texts with other
-    white space before a space are encoded whole.  Pieces without white space are encoded
-    many at a time, joined by line feeds, which are tokens of their own there."""
+    A pre-token of this vocabulary always begins at a single space or line feed between two
+    other characters, so a text may be cut there and its pieces encoded alone.  Texts with
+    white space beside white space are encoded whole.  Pieces are encoded many at a time,
+    joined by line feeds, which are tokens of their own there."""
 
-    _risky = re.compile(r"\s ")
     _joined = 1024
     _cached = 700_000
 
@@ -222,11 +221,10 @@ class ExactEncoder:
             return np.zeros(0, np.uint32), np.zeros(1, np.int64)
         whole = np.zeros(n, bool)
         if self.can_cut:
-            whole = pc.match_substring_regex(texts, r"[\p{Z}\s\x00-\x1f\x85] ").to_numpy(zero_copy_only=False)
-            whole |= pc.match_substring_regex(texts, r"  |^ | $").to_numpy(zero_copy_only=False)
+            whole = pc.match_substring_regex(texts, r"[\p{Z}\s\x00-\x1f\x85][ \n]|^[ \n]|[ \n]$").to_numpy(zero_copy_only=False)
         else:
             whole[:] = True
-        parts = pc.split_pattern(pc.if_else(pa.array(whole), "", texts), " ")
+        parts = pc.split_pattern(pc.replace_substring(pc.if_else(pa.array(whole), "", texts), "\n", " \n"), " ")
         counts = pc.list_value_length(parts).to_numpy(zero_copy_only=False).astype(np.int64)
         coded = parts.flatten().dictionary_encode()
         code = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
@@ -257,21 +255,28 @@ class ExactEncoder:
             col = pa.array(new, pa.large_string())
             spaced = pc.match_substring_regex(col, r"[\p{Z}\s\x00-\x1f\x85]|<\|").to_numpy(zero_copy_only=False)
             spaced |= pc.equal(pc.binary_length(col), 0).to_numpy(zero_copy_only=False)
+            led = pc.match_substring_regex(col, r"^\n[^\p{Z}\s\x00-\x1f\x85]+$").to_numpy(zero_copy_only=False)
+            led &= ~pc.match_substring(col, "<|").to_numpy(zero_copy_only=False)
         fast = getattr(self.tok, "encode_batch_fast", self.tok.encode_batch)
-        easy = [new[i] for i in np.flatnonzero(~spaced).tolist()]
-        groups = [easy[a : a + self._joined] for a in range(0, len(easy), self._joined)]
         lens = np.zeros(len(new) + len(others), np.int64)
-        easy_len, chunks = [], []
-        for enc in fast([" " + "\n ".join(g) for g in groups], add_special_tokens=False) if groups else []:
-            got = np.array(enc.ids, np.uint32)
-            edges = np.concatenate([[-1], np.flatnonzero(got == self.line_feed), [len(got)]])
-            easy_len.append(np.diff(edges) - 1)
-            chunks.append(got[got != self.line_feed])
-        hard = np.flatnonzero(spaced)
-        odd = [" " + new[i] for i in hard.tolist()] + others
+        easy_len, chunks, done = [], [], []
+        # forms after a space are joined by line feeds, which are dropped again; forms after a
+        # line feed bring their own, which stays
+        for chosen, glue, keep in ((np.flatnonzero(~spaced), "\n ", 0), (np.flatnonzero(led), "", 1)) if new else ():
+            forms_ = [new[i] for i in chosen.tolist()]
+            groups = [forms_[a : a + self._joined] for a in range(0, len(forms_), self._joined)]
+            done.append(chosen)
+            for enc in fast([" " * (not keep) + glue.join(g) for g in groups], add_special_tokens=False) if groups else []:
+                got = np.array(enc.ids, np.uint32)
+                feeds = np.flatnonzero(got == self.line_feed)
+                edges = np.concatenate([feeds, [len(got)]]) if keep else np.concatenate([[-1], feeds, [len(got)]])
+                easy_len.append(np.diff(edges) - (not keep))
+                chunks.append(got if keep else got[got != self.line_feed])
+        hard = np.flatnonzero(spaced & ~led) if new else np.zeros(0, np.int64)
+        odd = [new[i] if new[i][:1] == "\n" else " " + new[i] for i in hard.tolist()] + others
         lists = [e.ids for e in fast(odd, add_special_tokens=False)] if odd else []
         chunks += [np.array(x, np.uint32) for x in lists]
-        order = np.concatenate([np.flatnonzero(~spaced), hard, len(new) + np.arange(len(others))]).astype(np.int64)
+        order = np.concatenate([*done, hard, len(new) + np.arange(len(others))]).astype(np.int64)
         src_len = np.concatenate([*easy_len, np.array([len(x) for x in lists], np.int64)])
         lens[order] = src_len
         at = np.empty(len(lens), np.int64)

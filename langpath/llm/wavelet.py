@@ -40,10 +40,10 @@ def build_image(ids: np.ndarray, doc_ids: np.ndarray, offsets: np.ndarray, bits:
     body, directory = [], []
     at = 0
     for k in range(bits - 1, -1, -1):
-        ones = (seq >> seq.dtype.type(k)) & seq.dtype.type(1) != 0
+        ones = (seq & seq.dtype.type(1 << k)) != 0
         raw = np.packbits(ones)
         n_blocks = -(-len(raw) // BLOCK)
-        count = np.add.reduceat(ones, np.arange(0, n, BLOCK * 8), dtype=np.int64) if n else np.zeros(0, np.int64)
+        count = np.add.reduceat(np.bitwise_count(raw), np.arange(0, len(raw), BLOCK), dtype=np.int64) if n else np.zeros(0, np.int64)
         before = np.concatenate([[0], np.cumsum(count)])
         for b in range(n_blocks):
             part = raw[b * BLOCK : (b + 1) * BLOCK].tobytes()
@@ -198,7 +198,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, sh
             held, size, shard = [], 0, shard + 1
             return pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(row, kinds, strict=True)], ["part", "shard", "n_docs", "n_tokens", "image"])
 
-        for batch in common.slices(batches, "text"):
+        for batch in common.slices(batches, "text", 3 * common.SLICE_BYTES):
             ids, offsets = enc.encode(batch.column("text"))
             # a null doc_id is kept as the smallest long, which sorts first as well
             names = batch.column("doc_id").fill_null(-(1 << 63)).to_numpy(zero_copy_only=False)
