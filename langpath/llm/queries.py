@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import common, compression, decontam, html, lpf, minhash, packing, secrets, slots, wavelet
+from . import common, compression, decontam, html, kneser_ney, lpf, minhash, packing, secrets, slots, wavelet
 
 
 def op1_wavelet_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -20,6 +20,11 @@ def op2_compression_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
     return compression.score(common.read(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op3_kneser_ney_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = common.read(spark, sf_dir, "documents", "doc_id", "lang", "text")
+    return kneser_ney.classify(docs, common.read(spark, sf_dir, "labels", "doc_id", "quality"))
+
+
 def op4_hierarchical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.read(spark, sf_dir, "documents", "doc_id", "text")
     return packing.pack(docs, common.tokenizer_file(), end_id=0)
@@ -59,6 +64,6 @@ def op10_longest_previous_factor(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_wavelet_tokens, op2_compression_bands, op4_hierarchical_packing, op5_tag_path_ratios, op6_simhash_decontamination, op7_virtual_slots, op8_secret_linking, op9_tensored_minhash, op10_longest_previous_factor)
+    f.__name__: f for f in (op1_wavelet_tokens, op2_compression_bands, op3_kneser_ney_perplexity, op4_hierarchical_packing, op5_tag_path_ratios, op6_simhash_decontamination, op7_virtual_slots, op8_secret_linking, op9_tensored_minhash, op10_longest_previous_factor)
 }
 ORACLE_SQL: dict[str, str] = {}
