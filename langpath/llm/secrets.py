@@ -108,3 +108,23 @@ def as_text(spans_col: str) -> Column:
 
 def count_kind(spans_col: str, kind: int) -> Column:
     return F.size(F.filter(F.col(spans_col), lambda x: x["kind"] == kind)).cast("long")
+
+
+def redact(docs: DataFrame, mark: str = "[SECRET]", scope: int = SCOPE, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """The documents with every reported span (overlapping spans as one) replaced by ``mark``; all
+    columns stay.  Null texts stay null."""
+    found = scan(docs, scope, doc_id, text).where(F.size("spans") > 0).select(F.col("key").alias("k"), F.col("spans").alias("s")).dropDuplicates(["k"])
+    body = F.coalesce(F.col(text), F.lit(""))
+    keyed = docs.select(F.struct(*docs.columns).alias("row"), F.xxhash64(F.col(doc_id).cast("long"), body).alias("k"))
+    row = keyed.join(found, "k", "left")
+
+    def step(acc, x):
+        cut = F.greatest(x["start"], acc["at"])
+        fresh = x["start"] >= acc["at"]
+        lead = F.col("row")[text].substr(acc["at"] + 1, cut - acc["at"])
+        return F.struct(F.greatest(x["end"], acc["at"]).alias("at"), F.when(fresh, F.concat(acc["out"], lead, F.lit(mark))).otherwise(acc["out"]).alias("out"))
+
+    start = F.struct(F.lit(0).cast("int").alias("at"), F.lit("").alias("out"))
+    clean = F.aggregate("s", start, step, lambda acc: F.concat(acc["out"], F.col("row")[text].substr(acc["at"] + 1, F.length(F.col("row")[text]))))
+    new = F.when(F.col("s").isNull(), F.col("row")[text]).otherwise(clean)
+    return row.select(*[(new if c == text else F.col("row")[c]).alias(c) for c in docs.columns])
