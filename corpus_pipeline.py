@@ -1,8 +1,55 @@
-"""Corpus pipeline (being built)."""
+"""Corpus pipeline: quality rules, near-duplicate removal, benchmark decontamination, secret
+redaction and packing.  Each stage takes what the one before kept; all but the last return the
+columns of ``documents``.
 
-STAGES = []
+A stage drops or changes rows only by its own operator: rejected documents go (1), all but one
+of each group of near copies go (2), documents with a benchmark passage go (3), secrets are
+replaced by a mark and ``n_chars`` follows (4), the rest is packed (5)."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from langpath.llm import common, compression, decontam, minhash, packing, secrets
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return compression.keep(docs)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return minhash.one_of_each(docs)
+
+
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return decontam.clean(docs, common.read(spark, sf_dir, "benchmark", "item_id", "text"))
+
+
+def secret_redaction(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    clean = secrets.redact(docs)
+    return clean.withColumn("n_chars", F.coalesce(F.length("text"), F.lit(0)).cast("long")) if "n_chars" in docs.columns else clean
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.pack(docs, common.tokenizer_file(), end_id=0, with_ids=True)
+
+
+STAGES = [
+    ("quality_rules", quality_rules),
+    ("near_duplicates", near_duplicates),
+    ("decontamination", decontamination),
+    ("secret_redaction", secret_redaction),
+    ("packing", pack),
+]
+
+#: Compression, MinHash and byte-pair encoding have no SQL form; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Apply all stages to ``documents``; each result is a table before the next stage reads it."""
+    docs = common.read(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = common.cut(stage(spark, docs, sf_dir), f"pipeline-{name}")
+    return STAGES[-1][1](spark, docs, sf_dir)
