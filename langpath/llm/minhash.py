@@ -16,8 +16,13 @@ without listing pairs of what is already linked:
 3. what then still lies outside its bucket's largest component is checked against all
    classes of the bucket in other components.
 
-Every pair of classes that share a bucket ends up in one component or has been checked on full
-shingle sets; so no link between different texts of a bucket is lost, and a group of n near
+Pairs are checked on full shingle sets only if two exact bounds allow the similarity: the sizes
+of the sets, and the parity sketch.  The sketch has one bit per bin of hashes, the parity of the set's
+members in it; two sketches differ in at most as many bits as the sets have unshared members, and
+similarity s needs at most (1 - s) / (1 + s) of both sizes of these.
+
+Every pair of classes that share a bucket ends up in one component or has been ruled out by a bound or by
+full shingle sets; so no link between different texts of a bucket is lost, and a group of n near
 copies costs about n checks, not n**2.
 
 Defined cases: null or wordless texts have an empty set and link with nothing, not even with each
@@ -29,11 +34,12 @@ no rows; other columns are ignored.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import common
@@ -41,6 +47,7 @@ from .components import components
 
 TABLES, WIDTH = 14, 3
 SHINGLE_WORDS, PERCENT = 2, 80
+SKETCH = 16  # 64-bit words of the parity sketch
 
 
 def shingle_sets(column: pa.Array, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -68,8 +75,17 @@ def band_keys(h: np.ndarray, start: np.ndarray, tables: int = TABLES, width: int
     return out.view(np.int64)
 
 
+def sketches(h: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Parity sketch of each set, (sets, SKETCH) int64."""
+    bins = SKETCH * 64
+    owner = np.repeat(np.arange(len(start) - 1, dtype=np.int64), np.diff(start))
+    at = owner * bins + (common.mix(h + np.uint64(7)) % np.uint64(bins)).astype(np.int64)
+    odd = np.bincount(at, minlength=(len(start) - 1) * bins) & 1
+    return np.packbits(odd.astype(bool)).view(np.int64).reshape(-1, SKETCH)
+
+
 def features(docs: DataFrame, words: int, doc_id: str, text: str) -> DataFrame:
-    """doc_id, n_shingles, class and the keys of both collections."""
+    """doc_id, n_shingles, class, the keys of both collections and the sketch."""
     src = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -77,12 +93,15 @@ def features(docs: DataFrame, words: int, doc_id: str, text: str) -> DataFrame:
             h, start, cls = shingle_sets(batch.column("text"), words)
             n = np.diff(start)
             full = np.flatnonzero(n)
-            keys = band_keys(h, np.concatenate([start[full], start[-1:]]))
+            own = np.concatenate([start[full], start[-1:]])
+            keys, sketch = band_keys(h, own), sketches(h, own)
+            width = np.where(n > 0, SKETCH, 0)
+            drawn = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(width)]).astype(np.int32)), pa.array(sketch.reshape(-1)))
             size = np.where(n > 0, 2 * TABLES, 0)
             lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), pa.array(keys.reshape(-1)))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n), pa.array(cls), lists], ["doc_id", "n_shingles", "class", "keys"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n), pa.array(cls), lists, drawn], ["doc_id", "n_shingles", "class", "keys", "sketch"])
 
-    return src.mapInArrow(run, "doc_id long, n_shingles long, class long, keys array<long>")
+    return src.mapInArrow(run, "doc_id long, n_shingles long, class long, keys array<long>, sketch array<long>")
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, words: int, doc_id: str, text: str) -> DataFrame:
@@ -104,14 +123,14 @@ def sets_of(docs: DataFrame, wanted: DataFrame, words: int, doc_id: str, text: s
 
 
 def _buckets(classes: DataFrame) -> DataFrame:
-    """(key, class, n) of all tables in which a class is not alone; of buckets with the same members one."""
-    tagged = classes.select("class", "n", F.posexplode("keys").alias("t", "k"))
+    """(key, class, lead) of all tables in which a class is not alone; of buckets with the same members one."""
+    tagged = classes.select("class", F.posexplode("keys").alias("t", "k"))
     shared = tagged.groupBy("k").agg(F.count("*").alias("c")).where("c > 1").select("k")
-    alive = tagged.join(shared, "k").groupBy("class", "n").agg(
+    alive = tagged.join(shared, "k").groupBy("class").agg(
         F.collect_list(F.when(F.col("t") < TABLES, F.col("k"))).alias("a"), F.collect_list(F.when(F.col("t") >= TABLES, F.col("k"))).alias("b")
     )
     pair = F.flatten(F.transform("a", lambda x: F.transform("b", lambda y: F.xxhash64(x, y))))
-    rows = common.cut(alive.where((F.size("a") > 0) & (F.size("b") > 0)).select("class", "n", F.explode(pair).alias("key")), "mh-keys")
+    rows = common.cut(alive.where((F.size("a") > 0) & (F.size("b") > 0)).select("class", F.explode(pair).alias("key")), "mh-keys")
     full = rows.groupBy("key").agg(F.count("*").alias("c"), F.sum(F.xxhash64("class").cast("decimal(38,0)")).alias("who"), F.min("class").alias("lead")).where("c > 1")
     chosen = full.groupBy("c", "who").agg(F.min("key").alias("key"), F.first("lead").alias("lead"))
     out = common.cut(rows.join(chosen.select("key", "lead"), "key"), "mh-buckets")
@@ -119,8 +138,17 @@ def _buckets(classes: DataFrame) -> DataFrame:
     return out
 
 
-def _near_size(percent: int):
-    return (F.least("nx", "ny") * 100 >= F.greatest("nx", "ny") * percent) & (F.col("x") != F.col("y"))
+def _described(members: DataFrame, end: str) -> DataFrame:
+    """(end, size, sketch words) of the member classes, named for one end of a pair."""
+    words = [F.col("sketch")[k].alias(f"{end}{k}") for k in range(SKETCH)]
+    return members.select(F.col("class").alias(end), F.col("n").alias(f"n{end}"), *words)
+
+
+def _possible(percent: int) -> Column:
+    """Whether sizes and sketches of x and y allow the similarity; both bounds are exact."""
+    small, large = F.least("nx", "ny"), F.greatest("nx", "ny")
+    apart = reduce(lambda a, b: a + b, [F.bit_count(F.col(f"x{k}").bitwiseXOR(F.col(f"y{k}"))) for k in range(SKETCH)])
+    return (F.col("x") != F.col("y")) & (small * 100 >= large * percent) & (apart * (100 + percent) <= (small + large) * (100 - percent))
 
 
 def _checked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -147,34 +175,32 @@ def link(docs: DataFrame, words: int = SHINGLE_WORDS, percent: int = PERCENT, do
     """Per row of ``docs``: doc_id, n_shingles, component_id (smallest doc_id reachable)."""
     spark = docs.sparkSession
     feats = common.cut(features(docs, words, doc_id, text), "mh-features")
-    classes = feats.where("n_shingles > 0").groupBy("class").agg(F.min("doc_id").alias("who"), F.min("n_shingles").alias("n"), F.first("keys").alias("keys"))
+    classes = feats.where("n_shingles > 0").groupBy("class").agg(F.min("doc_id").alias("who"), F.min("n_shingles").alias("n"), F.first("keys").alias("keys"), F.first("sketch").alias("sketch"))
     classes = common.cut(classes, "mh-classes")
     buckets = _buckets(classes)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    members = buckets.select("class").distinct()
-    wanted = common.cut(classes.select("class", "who").join(members, "class"), "mh-wanted")
-    sets = sets_of(docs, wanted, words, doc_id, text).repartition(parts, "class").persist(StorageLevel.MEMORY_AND_DISK)
-    size = _near_size(percent)
+    members = common.cut(classes.select("class", "who", "n", "sketch").join(buckets.select("class").distinct(), "class"), "mh-members")
+    sets = sets_of(docs, members, words, doc_id, text).repartition(parts, "class").persist(StorageLevel.MEMORY_AND_DISK)
+    possible, x, y = _possible(percent), _described(members, "x"), _described(members, "y")
 
     # 1. the smallest class of its buckets
     star = buckets.where("class <> lead").groupBy(F.col("class").alias("x")).agg(F.min("lead").alias("y"))
-    tested = common.cut(_ordered(star), "mh-tested")
+    tested = common.cut(_ordered(star.join(x, "x").join(y, "y").where(possible)), "mh-tested")
     links = common.cut(_checked(tested, sets, percent), "mh-links")
-    first = wanted.select("class", F.col("class").alias("root"))
-    label = _relabel(first, links)
+    label = _relabel(members.select("class", F.col("class").alias("root")), links)
     common.drop_cut(links)
 
     # 2. pseudo-random members of the largest component of mixed buckets; 3. all that is left
     for last in (False, False, True):
-        at = buckets.join(label, "class")
+        at = buckets.select("key", "class").join(label, "class")
         sized = at.groupBy("key", "root").agg(F.count("*").alias("c"))
         main = sized.groupBy("key").agg(F.count("*").alias("roots"), F.max_by("root", F.struct("c", "root")).alias("main")).where("roots > 1").select("key", "main")
-        mixed = common.cut(at.select("key", "class", "n", "root").join(main, "key"), "mh-mixed")
-        out = mixed.where("root <> main").select("key", F.col("class").alias("x"), F.col("n").alias("nx"), F.col("root").alias("rx"))
-        ends = mixed.select("key", F.col("class").alias("y"), F.col("n").alias("ny"), F.col("root").alias("ry"), "main")
+        mixed = common.cut(at.join(main, "key"), "mh-mixed")
+        out = mixed.where("root <> main").select("key", F.col("class").alias("x"), F.col("root").alias("rx")).join(x, "x")
+        ends = mixed.select("key", F.col("class").alias("y"), F.col("root").alias("ry"), "main")
         if not last:
-            ends = ends.where("ry = main").groupBy("key").agg(F.min_by(F.struct("y", "ny", "ry"), F.xxhash64("y", "key", "main")).alias("e")).select("key", "e.*")
-        pairs = out.join(ends, "key").where(size & (F.col("rx") != F.col("ry")))
+            ends = ends.where("ry = main").groupBy("key").agg(F.min_by(F.struct("y", "ry"), F.xxhash64("y", "key", "main")).alias("e")).select("key", "e.*")
+        pairs = out.join(ends.join(y, "y"), "key").where(possible & (F.col("rx") != F.col("ry")))
         fresh = common.cut(_ordered(pairs).join(tested, ["x", "y"], "left_anti"), "mh-tested")
         links = common.cut(_checked(fresh, sets, percent), "mh-links")
         new = _relabel(label, links)
@@ -182,7 +208,7 @@ def link(docs: DataFrame, words: int = SHINGLE_WORDS, percent: int = PERCENT, do
         common.drop_cut(mixed, fresh, links, label, tested)
         label, tested = new, both
     sets.unpersist()
-    common.drop_cut(buckets, wanted, tested)
+    common.drop_cut(buckets, members, tested)
 
     named = classes.select("class", "who").join(label, "class", "left").withColumn("root", F.coalesce("root", "class"))
     least = named.groupBy("root").agg(F.min("who").alias("component_id"))
