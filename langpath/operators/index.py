@@ -43,7 +43,11 @@ class PathIndex:
     sources: DataFrame | None = None
 
     def reachable(self, box: str | None = None) -> DataFrame:
-        return self.facts.where(F.col("label") == (box or self.machine.start_box)).select("src", "dst").distinct()
+        pairs = self.facts.where(F.col("label") == (box or self.machine.start_box)).select("src", "dst").distinct()
+        if self.sources is None:
+            return pairs
+        # boxes are entered on demand at other vertices too
+        return pairs.join(self.sources.select(F.col("id").cast("long").alias("src")).distinct(), "src", "left_semi")
 
     @property
     def index_edges(self) -> DataFrame:

@@ -1,9 +1,592 @@
-"""Driver workloads of the path-query engine."""
+"""Driver workloads: experiment queries on the given tables, each with its SQL twin where one exists."""
 
+from __future__ import annotations
 
-def queries():
-    return {}
+from collections.abc import Callable
 
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 
-def oracle_sql():
-    return {}
+from ..graph import LabeledGraph
+from ..language import fsm as fa
+from ..language import grammar as gr
+from ..language import rsm
+from ..operators import baselines, boolmat, closure, kron, measure
+from ..operators import index as ix
+from ..operators import paths as pt
+from ..plans.sqlfront import LangPathSession
+from ..runtime import Stage
+from ..sources import builders as B
+from ..sources.io import load
+from ..streaming import Maintained, session_trails, trail_edges, windowed_labels
+from . import sql as S
+from .templates import GRAMMARS, TEMPLATES, TRAIL, bind
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLE: dict[str, str] = {}
+
+AB = {"a": "click", "b": "purchase"}
+ABC = {"a": "click", "b": "purchase", "c": "view"}
+
+
+def register(name: str, run: Query, oracle: str | None = None) -> None:
+    QUERIES[name] = run
+    if oracle:
+        ORACLE[name] = oracle
+
+
+def query(oracle: str | None = None, name: str | None = None):
+    def wrap(f: Query) -> Query:
+        register(name or f.__name__, f, oracle)
+        return f
+
+    return wrap
+
+
+def machine_of(name: str, binding: dict[str, str] | None = None, start: str | None = None) -> rsm.RecursiveMachine:
+    return rsm.from_grammar(gr.parse(bind(GRAMMARS[name], binding or {}), start))
+
+
+def grammar_of(name: str, binding: dict[str, str] | None = None) -> gr.Grammar:
+    return gr.parse(bind(GRAMMARS[name], binding or {}))
+
+
+def _regular(name: str, graph: str, text: str, strategy: str = "auto") -> None:
+    register(name, lambda s, d: ix.build(B.BUILDERS[graph](s, d), fa.from_regex(text), strategy=strategy).reachable(), S.regular(graph, text))
+
+
+# --------------------------------------------------------------------------- regular queries
+for _k, _t in TEMPLATES.items():
+    _regular(f"rpq_{_k}", "trail", bind(_t, TRAIL))
+for _k in ("q1", "q2", "q5", "q11_2", "q12", "q16"):
+    _regular(f"rpq_handoff_{_k}", "handoff", bind(TEMPLATES[_k], TRAIL), strategy="auto" if _k in ("q11_2", "q16") else "loop")
+_regular("rpq_onto_q2", "ontology", "type sco*")
+_regular("rpq_onto_q9", "ontology", "(sco | sco~)+")
+_regular("rpq_dialogue_q12", "dialogue", "(user assistant)+ | (system user)+")
+_regular("rpq_dialogue_q5", "dialogue", "system user* assistant")
+_regular("rpq_commerce_q11_3", "commerce", "placed_by located within")
+_regular("rpq_commerce_q16", "commerce", "sold_by located (within)?")
+
+
+@query("with l as (select distinct page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) href from pages)\nselect distinct a.page_id * 16 + 11 src, b.page_id * 16 + 11 dst from l a join l b on a.href = b.href")
+def rpq_web_cocite(spark, sf_dir):
+    return ix.build(B.weblinks(spark, sf_dir), fa.from_regex("links links~")).reachable()
+
+
+# --------------------------------------------------------------------------- grammar queries
+def _grammar(name: str, grammar: str, graph: str, oracle: str, binding: dict[str, str] | None = None, box: str | None = None, strategy: str = "auto") -> None:
+    def run(spark, sf_dir):
+        m = machine_of(grammar, binding)
+        return ix.build(B.BUILDERS[graph](spark, sf_dir), m, boxes=[box] if box else None, strategy=strategy).reachable(box)
+
+    register(name, run, oracle)
+
+
+_grammar("cf_anbn_trail", "anbn", "trail", S.linear("anbn", "trail", AB), AB)
+_grammar("cf_anbn_view_click", "anbn", "trail", S.linear("anbn", "trail", {"a": "view", "b": "click"}), {"a": "view", "b": "click"})
+_grammar("cf_anbn_handoff", "anbn", "handoff", S.linear("anbn", "handoff", AB), AB, strategy="loop")
+_grammar("cf_g1", "g1", "ontology", S.linear("g1", "ontology"))
+_grammar("cf_g2", "g2", "ontology", S.linear("g2", "ontology"))
+_grammar("cf_geo", "geo", "territory", S.linear("geo", "territory"))
+_grammar("cf_geo_full", "geo", "territory_full", S.linear("geo", "territory_full"))
+_grammar("cf_ma_s", "ma", "pointer", S.alias("S"))
+_grammar("cf_ma_v", "ma", "pointer", S.alias("V"), box="V")
+_grammar("cf_nullable", "nullable", "trail", S.linear("nullable", "trail", AB), AB)
+_grammar("cf_ambig", "ambig", "trail", S.regular("trail", "click+"), AB)
+_grammar("cf_regular_part", "regular_part", "trail", S.linear("regular_part", "trail", ABC), ABC)
+for _g, _graph in (("g1", "ontology"), ("g2", "ontology"), ("geo", "territory")):
+    _grammar(f"loop_{_g}", _g, _graph, S.linear(_g, _graph), strategy="loop")
+
+# --------------------------------------------------------------------------- closure variants
+_VARIANTS = {"naive": ("linear", False), "scratch": ("squaring", True), "delta": ("incremental", True), "packed": ("packed", True), "table": ("table", True)}
+_Q14 = bind(TEMPLATES["q14"], TRAIL)
+for _v, (_c, _d) in _VARIANTS.items():
+    register(f"variant_{_v}_g1", lambda s, d, c=_c, dl=_d: ix.build_full(B.ontology(s, d), machine_of("g1"), c, dl).reachable(), S.linear("g1", "ontology"))
+    register(f"variant_{_v}_q14", lambda s, d, c=_c, dl=_d: ix.build_full(B.trail(s, d), fa.from_regex(_Q14), c, dl).reachable(), S.regular("trail", _Q14))
+register("variant_rooted_q14", lambda s, d: ix.build(B.trail(s, d), fa.from_regex(_Q14), strategy="loop").reachable(), S.regular("trail", _Q14))
+register("variant_unminimized_g1", lambda s, d: ix.build(B.ontology(s, d), rsm.from_grammar(gr.parse(GRAMMARS["g1"]), minimize=False), strategy="task").reachable(), S.linear("g1", "ontology"))
+
+
+# --------------------------------------------------------------------------- baselines
+def _matrix(name: str, grammar: str, graph: str, oracle: str, binding=None, delta: bool = True) -> None:
+    register(name, lambda s, d: baselines.matrix_reach(B.BUILDERS[graph](s, d), grammar_of(grammar, binding), delta).where("label = 'S'").select("src", "dst"), oracle)
+
+
+_matrix("matrix_g1", "g1", "ontology", S.linear("g1", "ontology"))
+_matrix("matrix_g2", "g2", "ontology", S.linear("g2", "ontology"))
+_matrix("matrix_naive_g2", "g2", "ontology", S.linear("g2", "ontology"), delta=False)
+_matrix("matrix_geo", "geo", "territory", S.linear("geo", "territory"))
+_matrix("matrix_anbn", "anbn", "trail", S.linear("anbn", "trail", AB), AB)
+_matrix("matrix_ma", "ma", "pointer", S.alias("S"))
+_matrix("matrix_nullable", "nullable", "trail", S.linear("nullable", "trail", AB), AB)
+
+
+def _lengths(graph: str, base: str, pairs: list[tuple[str, str]], limit: int = 64) -> str:
+    values = ", ".join(f"('{x}', '{y}')" for x, y in pairs)
+    return S._with(
+        graph, f"w(x, y) as (values {values})",
+        f"s(src, dst, len) as ({base} union select a.src, b.dst, s.len + 2 from s join g a on a.dst = s.src join g b on b.src = s.dst join w on w.x = a.label and w.y = b.label where s.len < {limit})",
+        then="select src, dst, min(len) len from s group by src, dst",
+    )
+
+
+def _two_len(x: str, y: str) -> str:
+    return f"select a.src, b.dst, 2 len from g a join g b on b.src = a.dst where a.label = '{x}' and b.label = '{y}'"
+
+
+_G1_LEN = _lengths("ontology", _two_len("sco~", "sco") + " union " + _two_len("type~", "type"), [("sco~", "sco"), ("type~", "type")])
+_ANBN_LEN = _lengths("trail", _two_len("click", "purchase"), [("click", "purchase")])
+
+
+@query(_G1_LEN)
+def matrix_single_len_g1(spark, sf_dir):
+    return baselines.matrix_single_path(B.ontology(spark, sf_dir), grammar_of("g1")).where("label = 'S'").select("src", "dst", "len")
+
+
+@query(_ANBN_LEN)
+def matrix_single_len_anbn(spark, sf_dir):
+    return baselines.matrix_single_path(B.trail(spark, sf_dir), grammar_of("anbn", AB)).where("label = 'S'").select("src", "dst", "len")
+
+
+for _k in ("q2", "q5", "q12"):
+    register(f"bfs_{_k}", lambda s, d, t=bind(TEMPLATES[_k], TRAIL): baselines.bfs(B.handoff(s, d), fa.from_regex(t)), S.regular("handoff", bind(TEMPLATES[_k], TRAIL)))
+
+# --------------------------------------------------------------------------- sources, targets, insertion
+_Q5 = bind(TEMPLATES["q5"], TRAIL)
+
+
+@query(S.regular("trail", _Q5, "select id from vs where id % 97 = 0"))
+def ms_q5_src(spark, sf_dir):
+    g = B.trail(spark, sf_dir)
+    return ix.build(g, fa.from_regex(_Q5), sources=g.vertices.where("id % 97 = 0")).reachable()
+
+
+@query(S.linear("g1", "ontology", then="select distinct src, dst from s where src % 16 = 6"))
+def ms_g1_src(spark, sf_dir):
+    g = B.ontology(spark, sf_dir)
+    return ix.build(g, machine_of("g1"), sources=g.vertices.where("id % 16 = 6"), strategy="loop").reachable()
+
+
+@query(S.regular("handoff", _Q5) + " and dst % 10 = 0")
+def ms_q5_dst(spark, sf_dir):
+    from ..plans.optimizer import PathPlan, execute, optimize
+
+    g = B.handoff(spark, sf_dir)
+    return execute(optimize(PathPlan(g, rsm.from_regex(_Q5), targets=g.vertices.where("id % 10 = 0"), strategy="loop")))
+
+
+@query(S.linear("g2", "ontology"))
+def insert_g2(spark, sf_dir):
+    g = B.ontology(spark, sf_dir)
+    early = LabeledGraph(g.edges.where("(src + dst) % 32 < 16"), g.vertices)
+    return ix.build(early, machine_of("g2"), strategy="loop").insert(g.edges.where("(src + dst) % 32 >= 16")).reachable()
+
+
+# --------------------------------------------------------------------------- paths
+@query(S.bounded_wrapped("trail", [("click", "purchase")], [("click", "purchase")], 20))
+def paths_anbn_trail_20(spark, sf_dir):
+    return pt.as_words(pt.all_pairs(ix.PathIndex(B.trail(spark, sf_dir), machine_of("anbn", AB), None), 20))
+
+
+@query(S.bounded_words("trail", _Q5, 12))
+def paths_q5_trail(spark, sf_dir):
+    return pt.as_words(pt.all_pairs(ix.PathIndex(B.trail(spark, sf_dir), rsm.from_regex(_Q5), None), 12))
+
+
+_Q2 = bind(TEMPLATES["q2"], TRAIL)
+
+
+@query(S.bounded_words("handoff", _Q2, 2))
+def paths_q2_handoff(spark, sf_dir):
+    index = ix.build(B.handoff(spark, sf_dir), fa.from_regex(_Q2), strategy="loop")
+    return pt.as_words(pt.union_all(list(pt.levels(index, 2))))
+
+
+@query(S.bounded_wrapped("ontology", [("sco~", "sco"), ("type~", "type")], [("sco~", "sco"), ("type~", "type")], 4, then="select src, dst, len, word from s where src % 16 = 0 or src % 16 = 6"))
+def paths_g1_len4(spark, sf_dir):
+    g = B.ontology(spark, sf_dir)
+    start = g.vertices.where("id % 16 = 0 or id % 16 = 6")
+    index = ix.build(g, machine_of("g1"))
+    return pt.as_words(pt.union_all(list(pt.levels(index, 4, start))))
+
+
+_TOPK = "select src, dst, len, word from (select src, dst, len, word, row_number() over (partition by src, dst order by len, word, way) k from r where q in (@finals)) x where k <= 3"
+
+
+@query(S.bounded_words("handoff", _Q2, 2, _TOPK))
+def paths_topk(spark, sf_dir):
+    index = ix.build(B.handoff(spark, sf_dir), fa.from_regex(_Q2), strategy="loop")
+    return pt.as_words(pt.top_k(pt.union_all(list(pt.levels(index, 2))), 3))
+
+
+@query(_ANBN_LEN)
+def paths_single_len(spark, sf_dir):
+    index = ix.build(B.trail(spark, sf_dir), machine_of("anbn", AB))
+    return pt.single(index, 16).select("src", "dst", "len")
+
+
+_AB_PLUS = "(click | view)+"
+
+
+@query(S.bounded_words("trail", _AB_PLUS, 6, "select src, dst, len, cast(count(*) as bigint) n from r where q in (@finals) group by src, dst, len"))
+def paths_count_by_length(spark, sf_dir):
+    index = ix.PathIndex(B.trail(spark, sf_dir), rsm.from_regex(_AB_PLUS), spark.createDataFrame([], ix.FACTS))
+    return pt.count_by_length(index, 6).select("src", "dst", "len", F.col("n").cast("long").alias("n"))
+
+
+@query(S.bounded_words("handoff", "click view", 2, "select src, dst, len, word from r where q in (@finals) and len(list_distinct(string_split(way, ','))) = len(string_split(way, ','))"))
+def paths_simple(spark, sf_dir):
+    index = ix.build(B.handoff(spark, sf_dir), fa.from_regex("click view"))
+    return pt.as_words(pt.simple(pt.union_all(list(pt.levels(index, 2)))))
+
+
+@query("select cast(0 as bigint) wrong")
+def paths_verified(spark, sf_dir):
+    g, m = B.trail(spark, sf_dir), machine_of("anbn", AB)
+    return pt.verify(pt.all_pairs(ix.PathIndex(g, m, None), 20), g, m).agg(F.count("*").alias("wrong"))
+
+
+# --------------------------------------------------------------------------- worked example
+EXAMPLE = [(0, "a", 1), (1, "a", 0), (1, "b", 1)]
+
+
+def example(spark: SparkSession) -> LabeledGraph:
+    return LabeledGraph(spark.createDataFrame(EXAMPLE, "src long, label string, dst long"), spark.createDataFrame([(0,), (1,)], "id long"))
+
+
+def _example_full(spark):
+    return ix.build_full(example(spark), machine_of("anbn"), "incremental")
+
+
+@query("select * from (values (0::bigint, 1::bigint), (1, 1)) t(src, dst)")
+def example_facts(spark, sf_dir):
+    return _example_full(spark).reachable()
+
+
+@query("select * from (values (0::bigint, 0::bigint), (0, 1), (1, 1)) t(src, dst)")
+def example_nullable(spark, sf_dir):
+    return ix.build_full(example(spark), machine_of("nullable"), "incremental").reachable()
+
+
+@query("select cast(6 as bigint) index_edges, cast(11 as bigint) closure_pairs")
+def example_index(spark, sf_dir):
+    full = _example_full(spark)
+    return full.index_edges.agg(F.count("*").alias("index_edges")).crossJoin(full.closure.agg(F.count("*").alias("closure_pairs")))
+
+
+@query("select * from (values (1, 4::bigint, 5::bigint, 1::bigint), (2, 1, 4, 1), (3, 1, 2, 0)) t(round, product_new, closure_new, facts_new)")
+def example_trace(spark, sf_dir):
+    return measure.trace(_example_full(spark).metrics, spark).select("round", "product_new", "closure_new", "facts_new")
+
+
+@query("select * from (values (0::bigint, 1::bigint, true), (1, 1, true)) t(src, dst, infinite)")
+def paths_infinite_anbn(spark, sf_dir):
+    return pt.is_infinite(ix.build(example(spark), machine_of("anbn")))
+
+
+@query("select * from (values (0::bigint, 1::bigint, true), (1, 0, false)) t(src, dst, infinite)")
+def paths_infinite_regular(spark, sf_dir):
+    return pt.is_infinite(ix.build(example(spark), fa.from_regex("a b*"), strategy="loop"))
+
+
+@query("select * from (values (1, 'a a b b'), (2, 'a a a a b b b b'), (3, 'a a a a a a b b b b b b')) t(k, word)")
+def paths_lazy(spark, sf_dir):
+    walks = pt.iterate(ix.build(example(spark), machine_of("anbn")), 1, 1)
+    return spark.createDataFrame([(k, " ".join(e[1] for e in next(walks))) for k in (1, 2, 3)], "k int, word string")
+
+
+# --------------------------------------------------------------------------- matrix algebra
+def _numbers(df: DataFrame, key: str, mod: int) -> DataFrame:
+    return df.select((F.col(key) % mod).cast("long").alias("i"), (F.floor(F.col(key) / mod) % mod).cast("long").alias("j"), F.lit(1).cast("long").alias("x")).distinct()
+
+
+@query("""with a as (select distinct n_nationkey % 4 i, (n_nationkey // 4) % 4 j from nation), b as (select distinct s_suppkey % 7 k, (s_suppkey // 7) % 7 l from supplier)
+select cast(i * 7 + k as bigint) i, cast(j * 7 + l as bigint) j, cast(1 as bigint) x from a, b""")
+def kron_matrix(spark, sf_dir):
+    return kron.matrix(_numbers(load(spark, sf_dir, "nation"), "n_nationkey", 4), _numbers(load(spark, sf_dir, "supplier"), "s_suppkey", 7), 7, 7, b_is_small=True)
+
+
+_LITTLE = "select src, case label when 'user' then 'click' when 'assistant' then 'view' else 'error' end label, dst from (select distinct conv_id * 16 + turn src, role label, conv_id * 16 + nxt dst from (select conv_id, turn, role, lead(turn) over (partition by conv_id order by turn) nxt from conversations where conv_id % 50 = 0) t where nxt is not null) x"
+
+
+def _little(spark, sf_dir) -> LabeledGraph:
+    g = B.dialogue(spark, sf_dir)
+    label = F.when(F.col("label") == "user", "click").when(F.col("label") == "assistant", "view").otherwise("error")
+    return LabeledGraph(g.edges.where("(src div 16) % 50 = 0").select("src", label.alias("label"), "dst"), g.vertices)
+
+
+@query(S._with("handoff", f"e as ({_LITTLE})", then="select g.src src1, e.src src2, g.label, g.dst dst1, e.dst dst2 from g join e on e.label = g.label"))
+def kron_graphs(spark, sf_dir):
+    return kron.graphs(B.handoff(spark, sf_dir), _little(spark, sf_dir))
+
+
+@query(S._with("handoff", f"e as ({_LITTLE})", then="select g.src src1, e.src src2, g.dst dst1, e.dst dst2, string_agg(g.label, ' ' order by g.label) labels from g join e on e.label = g.label group by all"))
+def kron_label_sets(spark, sf_dir):
+    return kron.label_sets(B.handoff(spark, sf_dir), _little(spark, sf_dir)).withColumn("labels", F.array_join("labels", " "))
+
+
+@query(S._with("handoff", f"e as ({_LITTLE})", then="select g.label, count(*) n from g join e on e.label = g.label group by g.label"))
+def kron_families(spark, sf_dir):
+    parts = kron.families(B.handoff(spark, sf_dir).decompose(), _little(spark, sf_dir).decompose())
+    return pt.union_all([df.agg(F.count("*").alias("n")).select(F.lit(k).alias("label"), "n") for k, df in parts.items()]).where("n > 0")
+
+
+@query("select * from (values ('click view'), ('click view view')) t(word)")
+def fsm_intersection(spark, sf_dir):
+    m = fa.from_regex("click view*").intersect(fa.from_regex("(click | view) view view?"))
+    words = [w for w in ("click", "click view", "view view", "click view view", "click view view view") if m.accepts(w.split())]
+    return spark.createDataFrame([(w,) for w in words], "word string")
+
+
+@query(S._with("handoff", then="select label, count(*) n from g group by label"))
+def decompose(spark, sf_dir):
+    return pt.union_all([df.agg(F.count("*").alias("n")).select(F.lit(k).alias("label"), "n") for k, df in B.handoff(spark, sf_dir).decompose().items()])
+
+
+@query(S._with("handoff", then="select src, label, dst from g"))
+def compose(spark, sf_dir):
+    return LabeledGraph.compose(B.handoff(spark, sf_dir).label_sets()).edges
+
+
+@query(S._with("handoff", then="select distinct a.src, b.dst from g a join g b on b.src = a.dst where a.label = 'click' and b.label = 'view'"))
+def mxm(spark, sf_dir):
+    m = B.handoff(spark, sf_dir).decompose()
+    return boolmat.mxm(m["click"], m["view"])
+
+
+@query(S._with("handoff", then="select distinct dst id from g where src % 10 = 0 and label = 'click'"))
+def vxm(spark, sf_dir):
+    g = B.handoff(spark, sf_dir)
+    return boolmat.vxm(g.vertices.where("id % 10 = 0"), g.select_labels({"click"}).edges)
+
+
+@query(S._with("ontology", "e as (select src, dst from g where label = 'sco')", "c(src, dst) as (select src, dst from e union select c.src, e.dst from c join e on e.src = c.dst)", then="select src, dst from c"))
+def closure_edges(spark, sf_dir):
+    e = B.ontology(spark, sf_dir).select_labels({"sco"}).edges.select(F.col("src").alias("x"), F.col("dst").alias("y"))
+    return closure.scratch(e, Stage(spark), "squaring")[0].select(F.col("x").alias("src"), F.col("y").alias("dst"))
+
+
+@query(S._with("ontology", "e as (select src, dst from g where label = 'sco')", "c(src, dst) as (select src, dst from e union select c.src, e.dst from c join e on e.src = c.dst)", then="select src, dst from c"))
+def closure_packed(spark, sf_dir):
+    e = B.ontology(spark, sf_dir).select_labels({"sco"}).edges.select(F.col("src").alias("x"), F.col("dst").alias("y"))
+    rows, _, _ = closure.insert_packed(None, e, Stage(spark))
+    return closure.to_pairs(rows).select(F.col("x").alias("src"), F.col("y").alias("dst"))
+
+
+@query("select cast(event_id % 5 as int) q, event_id u from events")
+def flatten_roundtrip(spark, sf_dir):
+    n = 1 << 40
+    ev = load(spark, sf_dir, "events").select((F.col("event_id") % 5).cast("int").alias("q"), F.col("event_id").cast("long").alias("u"))
+    q, u = kron.unflatten(F.col("x"), n)
+    return ev.select(kron.flatten(F.col("q").cast("long"), F.col("u"), n).alias("x")).select(q.alias("q"), u.alias("u"))
+
+
+# --------------------------------------------------------------------------- measures
+@query(S._with("ontology", then="select 'vertices' measure, count(*) n from vs union all select 'edges', count(*) from g union all select 'label ' || label, count(*) from g group by label"))
+def graph_stats(spark, sf_dir):
+    return B.ontology(spark, sf_dir).stats()
+
+
+@query(S._with("commerce", then="select label, count(*) n, cast(row_number() over (order by count(*) desc, label) as int) rank from g group by label"))
+def label_frequency(spark, sf_dir):
+    return B.commerce(spark, sf_dir).label_frequency()
+
+
+@query("select * from (values ('anbn', 7, 1, 4), ('g1', 14, 1, 6), ('g2', 6, 1, 4), ('geo', 7, 1, 4)) t(grammar, grammar_size, boxes, states)")
+def grammar_sizes(spark, sf_dir):
+    return measure.grammar_growth({k: grammar_of(k) for k in ("anbn", "g1", "g2", "geo")}, spark).select("grammar", "grammar_size", "boxes", "states")
+
+
+def grammar_growth(spark, sf_dir):
+    return measure.grammar_growth({k: grammar_of(k) for k in GRAMMARS}, spark)
+
+
+register("grammar_growth", grammar_growth)
+
+
+def iteration_trace(spark, sf_dir):
+    return measure.trace(ix.build(B.ontology(spark, sf_dir), machine_of("g1"), strategy="loop").metrics, spark)
+
+
+register("iteration_trace", iteration_trace)
+
+
+@query(S.bounded_wrapped("trail", [("click", "purchase")], [("click", "purchase")], 20, then="select count(*) pairs, cast(sum(n) as bigint) walks, avg(n) mean_walks, max(n) most_walks from (select src, dst, count(*) n from s group by src, dst) x"))
+def paths_per_pair(spark, sf_dir):
+    return measure.paths_per_pair(pt.all_pairs(ix.PathIndex(B.trail(spark, sf_dir), machine_of("anbn", AB), None), 20))
+
+
+@query(S.linear("g1", "ontology", then="select cast(src % 16 as int) kind_src, cast(dst % 16 as int) kind_dst, count(*) n from (select distinct src, dst from s) x group by cube (cast(src % 16 as int), cast(dst % 16 as int))"))
+def cube_kinds(spark, sf_dir):
+    return measure.answer_rollup(QUERIES["cf_g1"](spark, sf_dir))
+
+
+@query("select src, dst, 1 in_a, 1 in_b from (values (1::bigint, 1::bigint)) t(src, dst) where false")
+def answers_differ(spark, sf_dir):
+    return measure.diff(QUERIES["cf_geo"](spark, sf_dir), QUERIES["matrix_geo"](spark, sf_dir))
+
+
+@query(S.linear("g1", "ontology", then="select src, count(distinct dst) n from s group by src order by n desc, src limit 10"))
+def topk_vertices(spark, sf_dir):
+    return QUERIES["cf_g1"](spark, sf_dir).groupBy("src").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "src").limit(10)
+
+
+# --------------------------------------------------------------------------- surrounding operators
+@query(S._with("trail", then="select src, label, dst from g"))
+def lead_edges(spark, sf_dir):
+    return B.trail(spark, sf_dir).edges
+
+
+@query("select a.event_id src, 'soon' as label, b.event_id dst from events a join events b on a.user_id = b.user_id and b.ts > a.ts and b.ts <= a.ts + interval 2 hour")
+def range_edges(spark, sf_dir):
+    return B.range_edges(spark, sf_dir)
+
+
+_ASOF = "1997-01-01"
+
+
+@query(f"select o_custkey * 16 + 2 src, 'latest' as label, arg_max(o_orderkey, struct_pack(d := o_orderdate, k := o_orderkey)) * 16 + 5 dst from orders where o_orderdate < timestamp '{_ASOF}' group by o_custkey")
+def asof_edges(spark, sf_dir):
+    return B.asof_edges(spark, sf_dir, _ASOF)
+
+
+@query("with l as (select distinct page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) href from pages) select page_id * 16 + 11 src, count(*) n from l group by page_id")
+def href_edges(spark, sf_dir):
+    return B.weblinks(spark, sf_dir).select_labels({"links"}).edges.groupBy("src").agg(F.count("*").alias("n"))
+
+
+@query("select event_id, cast(json_extract(props, '$.k') as int) k from events where cast(json_extract(props, '$.k') as int) < 20")
+def json_label(spark, sf_dir):
+    k = F.get_json_object("props", "$.k").cast("int")
+    return load(spark, sf_dir, "events").select("event_id", k.alias("k")).where("k < 20")
+
+
+def _set(op: str, first: str, second: str) -> str:
+    def body(text: str) -> tuple[str, str]:
+        m = fa.from_regex(text)
+        t = ", ".join(f"({q}, '{s}', {p})" for q, s, p in sorted(m.edges))
+        return t, ", ".join(map(str, sorted(m.finals)))
+
+    (t1, f1), (t2, f2) = body(first), body(second)
+    return S._with(
+        "trail", f"t1(q, s, p) as (values {t1})", f"t2(q, s, p) as (values {t2})",
+        "r1(src, q, dst) as (select id, 0, id from vs union select r1.src, t1.p, g.dst from r1 join t1 on t1.q = r1.q join g on g.src = r1.dst and g.label = t1.s)",
+        "r2(src, q, dst) as (select id, 0, id from vs union select r2.src, t2.p, g.dst from r2 join t2 on t2.q = r2.q join g on g.src = r2.dst and g.label = t2.s)",
+        then=f"select src, dst from r1 where q in ({f1}) {op} select src, dst from r2 where q in ({f2})",
+    )
+
+
+def _answers(spark, sf_dir, text):
+    return ix.build(B.trail(spark, sf_dir), fa.from_regex(text)).reachable()
+
+
+register("set_union", lambda s, d: _answers(s, d, _Q2).union(_answers(s, d, _AB_PLUS)).distinct(), _set("union", _Q2, _AB_PLUS))
+register("set_intersect", lambda s, d: _answers(s, d, _Q2).intersect(_answers(s, d, _AB_PLUS)), _set("intersect", _Q2, _AB_PLUS))
+register("set_except", lambda s, d: _answers(s, d, _AB_PLUS).subtract(_answers(s, d, _Q2)), _set("except", _AB_PLUS, _Q2))
+
+
+@query("select event_id, count(*) over (partition by user_id order by ts, event_id rows unbounded preceding) running, count(*) over (partition by user_id order by ts, event_id rows 4 preceding) last5, date_diff('second', lag(ts) over (partition by user_id order by ts, event_id), ts) gap_s from events")
+def window_running(spark, sf_dir):
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    ev = load(spark, sf_dir, "events")
+    gap = F.unix_timestamp("ts") - F.unix_timestamp(F.lag("ts").over(w))
+    return ev.select("event_id", F.count("*").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("running"), F.count("*").over(w.rowsBetween(-4, 0)).alias("last5"), gap.alias("gap_s"))
+
+
+@query("""with e as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 30 minute then 0 else 1 end fresh from events),
+s as (select *, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) k from e)
+select user_id, min(ts) session_start, max(ts) last_ts, count(*) n from s group by user_id, k""")
+def session_trails_q(spark, sf_dir):
+    return session_trails(load(spark, sf_dir, "events"))
+
+
+QUERIES["session_trails"], ORACLE["session_trails"] = QUERIES.pop("session_trails_q"), ORACLE.pop("session_trails_q")
+
+
+@query("select time_bucket(interval 1 hour, ts) window_start, event_type, count(*) n from events group by all")
+def tumbling_labels(spark, sf_dir):
+    return windowed_labels(load(spark, sf_dir, "events"), "1 hour")
+
+
+@query("select time_bucket(interval 30 minute, ts) - to_minutes(30 * k) window_start, event_type, count(*) n from events, range(4) t(k) group by all")
+def sliding_labels(spark, sf_dir):
+    return windowed_labels(load(spark, sf_dir, "events"), "2 hours", "30 minutes")
+
+
+@query("with w as (select user_id, string_agg(event_type, ' ' order by ts, event_id) word from events group by user_id) select user_id, regexp_full_match(word, '(.* )?click purchase( .*)?') accepted from w")
+def dfa_words_udf(spark, sf_dir):
+    from .. import functions
+
+    functions.register(spark)
+    ev = load(spark, sf_dir, "events").groupBy("user_id").agg(F.array_sort(F.collect_list(F.struct("ts", "event_id", "event_type"))).alias("e"))
+    every = "(click | view | purchase | error | signup)*"
+    return ev.select("user_id", F.expr(f"lp_accepts('{every} click purchase {every}', transform(e, x -> x.event_type))").alias("accepted"))
+
+
+@query("select user_id, count(*) filter (event_type = 'click') click, count(*) filter (event_type = 'view') \"view\", count(*) filter (event_type = 'purchase') purchase from events group by user_id")
+def pivot_events(spark, sf_dir):
+    p = load(spark, sf_dir, "events").groupBy("user_id").pivot("event_type", ["click", "view", "purchase"]).agg(F.count(F.lit(1)))
+    return p.select("user_id", *[F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c) for c in ("click", "view", "purchase")])
+
+
+@query(S.bounded_words("trail", "click view click", 3))
+def recursive_cte(spark, sf_dir):
+    B.trail(spark, sf_dir).edges.createOrReplaceTempView("lp_trail_edges")
+    return spark.sql("""
+        with recursive walk(src, dst, len, word) as (
+          select src, dst, 1, label from lp_trail_edges where label = 'click'
+          union all
+          select w.src, e.dst, w.len + 1, w.word || ' ' || e.label from walk w join lp_trail_edges e
+          on e.src = w.dst and e.label = case w.len when 1 then 'view' else 'click' end where w.len < 3)
+        select src, dst, len, word from walk where len = 3""")
+
+
+@query("select * from (values (0, 'a', 1, true, false), (1, 'b', 1, false, false), (1, 'c', 2, false, true)) t(q, symbol, p, from_start, to_final)")
+def udtf_transitions(spark, sf_dir):
+    from .. import functions
+
+    functions.register(spark)
+    return spark.sql("select * from lp_transitions('a b* c')")
+
+
+def _session(spark, sf_dir) -> LangPathSession:
+    s = LangPathSession(spark)
+    for name, build in B.BUILDERS.items():
+        s.register(name, lambda b=build: b(spark, sf_dir))
+    return s
+
+
+@query(S.regular("trail", _Q5, "select id from vs where id in (1, 2, 3, 4, 5, 6, 7, 8, 9, 10)"))
+def match_reach(spark, sf_dir):
+    return _session(spark, sf_dir).sql("MATCH click view* purchase ON trail FROM (1, 2, 3, 4, 5, 6, 7, 8, 9, 10)")
+
+
+@query(S.linear("geo", "territory", then="select distinct src, dst from s where dst in (19, 35, 51)"))
+def match_grammar(spark, sf_dir):
+    return _session(spark, sf_dir).sql("MATCH {S -> bt S bt~ | bt bt~} ON territory TO (19, 35, 51)")
+
+
+@query(S.bounded_words("handoff", "click view", 2, "select src, dst, len, word from r where q in (@finals) and src in (1, 2, 3)"))
+def match_paths(spark, sf_dir):
+    return _session(spark, sf_dir).sql("MATCH click view ON handoff FROM (1, 2, 3) RETURN paths UP TO 2")
+
+
+@query(S.linear("anbn", "trail", AB))
+def stream_insert(spark, sf_dir):
+    """Edges arrive in four batches; the maintained index ends as the batch build does."""
+    ev = load(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type")
+    edges = trail_edges(ev)
+    start = LabeledGraph(edges.limit(0), ev.select(F.col("event_id").cast("long").alias("id")))
+    kept = Maintained(ix.build(start, machine_of("anbn", AB), strategy="loop"))
+    for k in range(4):
+        kept.batch(edges.where(F.pmod(F.xxhash64("src"), F.lit(4)) == k), k)
+    return kept.index.reachable()
+
+
+def queries() -> dict[str, Query]:
+    return QUERIES
+
+
+def oracle_sql() -> dict[str, str]:
+    return ORACLE
