@@ -12,7 +12,7 @@ without listing pairs of what is already linked:
 
 1. each class is checked against the smallest class of its buckets;
 2. in buckets with several components left, each class outside the bucket's largest component is
-   checked against a pseudo-random member, another one in each bucket;
+   checked against a pseudo-random member, another one in each bucket; a quarter of the buckets at a time;
 3. what then still lies outside its bucket's largest component is checked against all
    classes of the bucket in other components.
 
@@ -191,8 +191,11 @@ def link(docs: DataFrame, words: int = SHINGLE_WORDS, percent: int = PERCENT, do
     common.drop_cut(links)
 
     # 2. pseudo-random members of the largest component of mixed buckets; 3. all that is left
-    for last in (False, False, True):
-        at = buckets.select("key", "class").join(label, "class")
+    for share in (0, 1, 2, None):
+        last = share is None
+        # a quarter of the keys each time is enough to link most of a group; the last time takes all
+        some = buckets if last else buckets.where(F.pmod(F.xxhash64("key"), F.lit(4)) == share)
+        at = some.select("key", "class").join(label, "class")
         sized = at.groupBy("key", "root").agg(F.count("*").alias("c"))
         main = sized.groupBy("key").agg(F.count("*").alias("roots"), F.max_by("root", F.struct("c", "root")).alias("main")).where("roots > 1").select("key", "main")
         mixed = common.cut(at.join(main, "key"), "mh-mixed")
