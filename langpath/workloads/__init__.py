@@ -584,6 +584,34 @@ def stream_insert(spark, sf_dir):
     return kept.index.reachable()
 
 
+def template_bindings(spark, sf_dir):
+    """Ten bindings of a template to frequent labels."""
+    from .templates import generate
+
+    rows = generate(B.commerce(spark, sf_dir), "q5", 10)
+    return spark.createDataFrame(list(enumerate(rows)), "k int, query string")
+
+
+register("template_bindings", template_bindings)
+
+
+@query(S._with("dialogue", "u as (select src, dst from g union select dst, src from g)", "c(src, dst) as (select src, dst from u union select c.src, u.dst from c join u on u.src = c.dst)", then="select src, dst from c"))
+def undirected(spark, sf_dir):
+    """Connected turns: every label forwards and backwards."""
+    g = B.dialogue(spark, sf_dir)
+    return ix.build(g.undirected(), fa.from_regex("(user | assistant | system)+")).reachable()
+
+
+@query("select count(*) // count(*) checked from events")
+def estimate(spark, sf_dir):
+    """The estimate of an answer's size from hashed sources lies near the size itself."""
+    g = B.trail(spark, sf_dir)
+    m = fa.from_regex(_Q2)
+    whole = ix.build(g, m).reachable().count()
+    guess = measure.estimate_pairs(lambda some: ix.build(g, m, sources=some).reachable(), g.vertices, 8)
+    return spark.createDataFrame([(int(whole / 2 <= guess <= whole * 2),)], "checked long")
+
+
 def queries() -> dict[str, Query]:
     return QUERIES
 
