@@ -3,8 +3,9 @@ vectorised word hashing and exact, cached tokenisation."""
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import itertools
-import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -15,7 +16,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 #: Texts are handled in slices of about so many bytes, which bounds a worker's memory.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 2 << 20
 
 
 # --------------------------------------------------------------------------- storage
@@ -75,9 +76,20 @@ def flat_text(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
+def trim() -> None:
+    """Give freed memory back: Arrow's pool, and the C heap where it can be trimmed."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = SLICE_BYTES, encoding: bool = False) -> Iterator[pa.RecordBatch]:
     """Cut record batches so that each holds about ``limit`` bytes of ``text``; a longer
-    single text stays whole."""
+    single text stays whole.  Workers are reused by other operators, so one that does not
+    encode first drops what encoders have cached."""
+    if not encoding and _encoders:
+        _encoders.clear()
+        trim()
     for batch in batches:
         if batch.num_rows == 0:
             continue
@@ -87,6 +99,8 @@ def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = SLICE_BYTE
         cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), batch.num_rows]
         for a, b in zip(cuts, cuts[1:], strict=False):
             yield batch.slice(a, b - a)
+        del batch, col
+        trim()
 
 
 # --------------------------------------------------------------------------- words
@@ -124,7 +138,11 @@ def mix(x: np.ndarray) -> np.ndarray:
 def prefix_hash(raw: np.ndarray) -> np.ndarray:
     """Prefix sums that give the hash of any byte range by :func:`range_hash`."""
     out = np.zeros(len(raw) + 1, np.uint64)
-    np.cumsum((raw.astype(np.uint64) + np.uint64(1)) * _power_table("up", len(raw) + 1)[: len(raw)], out=out[1:])
+    term = out[1:]
+    term[:] = raw
+    term += np.uint64(1)
+    term *= _power_table("up", len(raw) + 1)[: len(raw)]
+    np.cumsum(term, out=term)
     return out
 
 

@@ -180,7 +180,7 @@ def link(docs: DataFrame, words: int = SHINGLE_WORDS, percent: int = PERCENT, do
     buckets = _buckets(classes)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     members = common.cut(classes.select("class", "who", "n", "sketch").join(buckets.select("class").distinct(), "class"), "mh-members")
-    sets = sets_of(docs, members, words, doc_id, text).repartition(parts, "class").persist(StorageLevel.MEMORY_AND_DISK)
+    sets = sets_of(docs, members, words, doc_id, text).repartition(parts, "class").persist(StorageLevel.DISK_ONLY)
     possible, x, y = _possible(percent), _described(members, "x"), _described(members, "y")
 
     # 1. the smallest class of its buckets

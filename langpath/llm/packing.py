@@ -112,7 +112,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 0, tiers: tuple[int, ...
             kinds = [pa.int64()] * 10 + [pa.list_(pa.int32())] * with_ids
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names)
 
-        for batch in common.slices(batches, "text", 3 * common.SLICE_BYTES):
+        for batch in common.slices(batches, "text", 6 * common.SLICE_BYTES, encoding=True):
             ids, offsets = enc.encode(batch.column("text"))
             ids = np.insert(ids, offsets[1:], end_id).astype("<u4")
             edges = offsets + np.arange(len(offsets))

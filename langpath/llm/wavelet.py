@@ -198,7 +198,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, sh
             held, size, shard = [], 0, shard + 1
             return pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(row, kinds, strict=True)], ["part", "shard", "n_docs", "n_tokens", "image"])
 
-        for batch in common.slices(batches, "text", 3 * common.SLICE_BYTES):
+        for batch in common.slices(batches, "text", 6 * common.SLICE_BYTES, encoding=True):
             ids, offsets = enc.encode(batch.column("text"))
             # a null doc_id is kept as the smallest long, which sorts first as well
             names = batch.column("doc_id").fill_null(-(1 << 63)).to_numpy(zero_copy_only=False)
