@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..graph import EDGE, LabeledGraph
 from ..language.fsm import Fsm
 from ..language.grammar import Grammar
-from ..runtime import Stage
+from ..runtime import Grown, Stage
 
 
 def _start(graph: LabeledGraph, grammar: Grammar):
@@ -29,8 +29,8 @@ def matrix_reach(graph: LabeledGraph, grammar: Grammar, delta: bool = True) -> D
     Empty words are folded into the rules, so reflexive facts join the answer only."""
     nf, pairs, base, loops = _start(graph, grammar)
     stage = Stage(graph.edges.sparkSession)
-    known, n = stage.put(base.distinct())
-    fresh = known
+    fresh, n = stage.put(base.distinct())
+    known = Grown(stage, fresh)
 
     def times(left: DataFrame, right: DataFrame) -> DataFrame:
         head = left.join(F.broadcast(pairs), left["label"] == pairs["b"]).select("src", "a", "c", F.col("dst").alias("m"))
@@ -38,11 +38,11 @@ def matrix_reach(graph: LabeledGraph, grammar: Grammar, delta: bool = True) -> D
         return head.join(tail, ["m", "c"]).select("src", F.col("a").alias("label"), "dst")
 
     while n:
-        step = times(fresh, known).union(times(known, fresh)) if delta else times(known, known)
-        fresh, n = stage.put(step.distinct().join(known, EDGE, "left_anti"))
+        step = times(fresh, known.df).union(times(known.df, fresh)) if delta else times(known.df, known.df)
+        fresh, n = stage.put(step.distinct().join(known.df, EDGE, "left_anti"))
         if n:
-            known, _ = stage.put(known.union(fresh))
-    own = known.where(F.col("label").isin(sorted(nf.names)))
+            known.add(fresh)
+    own = known.df.where(F.col("label").isin(sorted(nf.names)))
     return own.union(loops).distinct() if loops is not None else own
 
 

@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..runtime import Stage
+from ..runtime import Grown, Stage
 
 XY = ["x", "y"]
 
@@ -31,13 +31,14 @@ def scratch(edges: DataFrame, stage: Stage, strategy: str = "squaring") -> tuple
     """Closure of all edges.  ``linear`` extends new pairs by an edge, ``squaring`` joins new pairs
     with all pairs on either side, so its rounds grow with the logarithm of the longest way."""
     edges, n = stage.put(edges.select(*XY).distinct())
-    known, fresh, total = edges, edges, n
+    known, fresh, total = Grown(stage, edges), edges, n
     while n:
-        step = _then(fresh, edges) if strategy == "linear" else _then(fresh, known).union(_then(known, fresh))
-        fresh, n = stage.put(step.distinct().join(known, XY, "left_anti"))
+        step = _then(fresh, edges) if strategy == "linear" else _then(fresh, known.df).union(_then(known.df, fresh))
+        fresh, n = stage.put(step.distinct().join(known.df, XY, "left_anti"))
         if n:
-            known, total = stage.put(known.union(fresh))
-    return known, total
+            known.add(fresh)
+            total += n
+    return known.df, total
 
 
 def insert(closure: DataFrame | None, new_edges: DataFrame, stage: Stage) -> tuple[DataFrame, DataFrame, int]:
@@ -49,14 +50,14 @@ def insert(closure: DataFrame | None, new_edges: DataFrame, stage: Stage) -> tup
         known, total = scratch(new_edges, stage)
         return known, known, total
     fresh, n = stage.put(new_edges.select(*XY).distinct().join(closure, XY, "left_anti"))
-    known, added, total = closure, None, 0
+    known, added, total = Grown(stage, closure), None, 0
     while n:
         added = fresh if added is None else added.union(fresh)
         total += n
-        known, _ = stage.put(known.union(fresh))
-        step = _then(fresh, known).union(_then(known, fresh)).distinct()
-        fresh, n = stage.put(step.join(known, XY, "left_anti"))
-    return known, added if added is not None else closure.limit(0), total
+        known.add(fresh)
+        step = _then(fresh, known.df).union(_then(known.df, fresh)).distinct()
+        fresh, n = stage.put(step.join(known.df, XY, "left_anti"))
+    return known.df, added if added is not None else closure.limit(0), total
 
 
 # --------------------------------------------------------------------------- packed rows

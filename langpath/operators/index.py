@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from ..graph import EDGE, LabeledGraph
 from ..language.fsm import Fsm
 from ..language.rsm import RecursiveMachine, from_fsm
-from ..runtime import LOCAL_ROWS, Stage, small, union_all
+from ..runtime import LOCAL_ROWS, Grown, Stage, small, union_all
 from . import closure as cl
 from . import kron
 from .solver import regular_pairs, solve
@@ -282,43 +282,41 @@ def _loop(graph: LabeledGraph, machine: RecursiveMachine, wanted: list[str], sou
     seeds = (sources if sources is not None else graph.vertices).select(F.col("id").cast("long").alias("id")).distinct()
     entry = F.explode(F.array(*[F.lit(starts[b]) for b in wanted]))
     seed_rows = seeds.select(F.col("id").alias("u"), entry.alias("q"), F.col("id").alias("v"))
+    accepted = F.count(F.when(F.col("q").isin(sorted({f for _, fs in machine.boxes.values() for f in fs})), 1))
+    put = lambda df: stage.observed(df, done=accepted)
     if before is None:
-        known, n = stage.put(seed_rows)
-        fresh, facts, new_facts = known, None, None
+        fresh, seen = put(seed_rows)
+        known, facts = Grown(stage, fresh), None
     else:
         old = before.reach
         more = follow(old, step, delta.select(*EDGE)).union(seed_rows).distinct().join(old, ["u", "q", "v"], "left_anti")
-        fresh, n = stage.put(more)
-        known, _ = stage.put(old.union(fresh))
-        facts, new_facts = before.facts, None
-    rounds = 0
-    while n and (max_rounds is None or rounds < max_rounds):
-        rounds += 1
-        got = harvest(fresh)
-        m = 0
-        if calls or not one_final:
-            got = got.distinct()
-            new_facts, m = stage.put(got if facts is None else got.join(facts, EDGE, "left_anti"))
-            facts = new_facts if facts is None else facts.union(new_facts)
+        fresh, seen = put(more)
+        known, facts = Grown(stage, old.union(fresh)), Grown(stage, before.facts)
+    while seen["n"] and (max_rounds is None or len(metrics) < max_rounds):
+        m = seen["done"]
+        if m and one_final:
+            # one final state: a row in it is a fact, and new rows are new facts
+            new_facts = harvest(fresh)
+        elif m:
+            got = harvest(fresh).distinct()
+            new_facts, m = stage.put(got if facts is None else got.join(facts.df, EDGE, "left_anti"))
+            if facts is None:
+                facts = Grown(stage, new_facts)
+            else:
+                facts.add(new_facts)
+        all_facts = harvest(known.df) if one_final else facts.df if facts is not None else None
         if calls:
-            step_rows = follow(fresh, step, terminal.union(facts)).union(demand(fresh))
+            step_rows = follow(fresh, step, terminal if all_facts is None else terminal.union(all_facts)).union(demand(fresh))
             if m:
-                step_rows = step_rows.union(follow(known, call_step, new_facts))
+                step_rows = step_rows.union(follow(known.df, call_step, new_facts))
         else:
             step_rows = follow(fresh, step, terminal)
-        metrics.append({"round": rounds, "reach_new": n, "facts_new": m})
-        fresh, n = stage.put(step_rows.distinct().join(known, ["u", "q", "v"], "left_anti"))
-        if n:
-            known = known.union(fresh)
-            if rounds % 4 == 0:
-                known, _ = stage.put(known)
-                if facts is not None:
-                    facts, _ = stage.put(facts)
-    if not (calls or not one_final):
-        facts = harvest(known)
-    if facts is None:
-        facts = spark.createDataFrame([], FACTS)
-    return PathIndex(graph, machine, facts, known, metrics, sources)
+        metrics.append({"round": len(metrics) + 1, "reach_new": seen["n"], "facts_new": m})
+        fresh, seen = put(step_rows.distinct().join(known.df, ["u", "q", "v"], "left_anti"))
+        if seen["n"]:
+            known.add(fresh)
+    found = harvest(known.df) if one_final else facts.df if facts is not None else spark.createDataFrame([], FACTS)
+    return PathIndex(graph, machine, found, known.df, metrics, sources)
 
 
 # --------------------------------------------------------------------------- whole closures

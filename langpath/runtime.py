@@ -9,7 +9,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 #: A relation below this many rows may be solved inside one task or broadcast.
@@ -36,17 +36,35 @@ class Stage:
 
     def put(self, df: DataFrame) -> tuple[DataFrame, int]:
         """Write a relation and count it in the same job."""
+        out, seen = self.observed(df)
+        return out, seen["n"]
+
+    def observed(self, df: DataFrame, **measures: Column) -> tuple[DataFrame, dict[str, int]]:
+        """The same with further counts of the rows written."""
         self.k += 1
         path = f"{self.root}/{self.k}"
         seen = Observation()
-        df.observe(seen, F.count(F.lit(1)).alias("n")).write.parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path), int(seen.get["n"])
+        df.observe(seen, F.count(F.lit(1)).alias("n"), *[m.alias(k) for k, m in measures.items()]).write.parquet(path)
+        return self.spark.read.schema(df.schema).parquet(path), {k: int(v or 0) for k, v in seen.get.items()}
 
     def drop(self) -> None:
         path = self.spark._jvm.org.apache.hadoop.fs.Path(self.root)
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+class Grown:
+    """A relation that grows by staged segments; reading it reads all of them, and after
+    ``most`` segments they are written together."""
+
+    def __init__(self, stage: Stage, first: DataFrame, most: int = 8):
+        self.stage, self.most, self.df, self.parts = stage, most, first, 1
+
+    def add(self, segment: DataFrame) -> None:
+        self.df, self.parts = self.df.union(segment), self.parts + 1
+        if self.parts >= self.most:
+            (self.df, _), self.parts = self.stage.put(self.df), 1
+
+
 def small(df: DataFrame, limit: int = LOCAL_ROWS) -> bool:
     """Whether a relation has at most ``limit`` rows; reads no more than needed to tell."""
     return df.limit(limit + 1).count() <= limit
