@@ -7,6 +7,8 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..runtime import local_table
+
 from . import regex as rx
 
 TRANSITIONS = "q int, symbol string, p int"
@@ -136,14 +138,14 @@ class Fsm:
 
     # ---- relations
     def to_df(self, spark: SparkSession) -> DataFrame:
-        return spark.createDataFrame(sorted(self.edges), TRANSITIONS)
+        return local_table(spark, sorted(self.edges), TRANSITIONS)
 
     def as_graph(self, spark: SparkSession):
         """The automaton as a labelled graph; start and final states are marked in ``vertices``."""
         from ..graph import LabeledGraph
 
-        edges = spark.createDataFrame([(q, s, p) for q, s, p in sorted(self.edges)], "src long, label string, dst long")
-        vertices = spark.createDataFrame([(q, q in self.starts, q in self.finals) for q in range(self.n)], "id long, is_start boolean, is_final boolean")
+        edges = local_table(spark, [(q, s, p) for q, s, p in sorted(self.edges)], "src long, label string, dst long")
+        vertices = local_table(spark, [(q, q in self.starts, q in self.finals) for q in range(self.n)], "id long, is_start boolean, is_final boolean")
         return LabeledGraph(edges, vertices)
 
     def matrices(self) -> dict[str, set[tuple[int, int]]]:

@@ -6,6 +6,8 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..runtime import local_table
+
 from . import fsm as fa
 from . import grammar as gr
 from . import regex as rx
@@ -62,11 +64,11 @@ class RecursiveMachine:
         return sorted((q, s, p, s in self.boxes) for q, s, p in self.edges)
 
     def transitions_df(self, spark: SparkSession) -> DataFrame:
-        return spark.createDataFrame(self.transitions(), "q int, symbol string, p int, is_call boolean")
+        return local_table(spark, self.transitions(), "q int, symbol string, p int, is_call boolean")
 
     def boxes_df(self, spark: SparkSession) -> DataFrame:
         rows = [(b, s, f) for b, (s, fs) in sorted(self.boxes.items()) for f in sorted(fs)]
-        return spark.createDataFrame(rows, "box string, start int, final int")
+        return local_table(spark, rows, "box string, start int, final int")
 
     def reversed(self) -> RecursiveMachine:
         """The machine of the reversed words: each box's automaton reversed, calls kept."""

@@ -8,14 +8,14 @@ from pyspark.sql import functions as F
 from ..graph import EDGE, LabeledGraph
 from ..language.fsm import Fsm
 from ..language.grammar import Grammar
-from ..runtime import Grown, Stage
+from ..runtime import Grown, Stage, local_table
 
 
 def _start(graph: LabeledGraph, grammar: Grammar):
     spark = graph.edges.sparkSession
     nf = grammar.to_binary_normal_form()
-    units = spark.createDataFrame(sorted(nf.units), "a string, t string")
-    pairs = spark.createDataFrame(sorted(nf.pairs), "a string, b string, c string") if nf.pairs else spark.createDataFrame([], "a string, b string, c string")
+    units = local_table(spark, sorted(nf.units), "a string, t string")
+    pairs = local_table(spark, sorted(nf.pairs), "a string, b string, c string") if nf.pairs else local_table(spark, [], "a string, b string, c string")
     base = graph.edges.join(F.broadcast(units), graph.edges["label"] == units["t"]).select("src", F.col("a").alias("label"), "dst")
     null = sorted(nf.nullable & nf.names)
     loops = graph.vertices.select(F.col("id").alias("src"), F.explode(F.array(*map(F.lit, null))).alias("label"), F.col("id").alias("dst")) if null else None

@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..runtime import Grown, Stage
+from ..runtime import Grown, Stage, local_table
 
 XY = ["x", "y"]
 
@@ -99,7 +99,7 @@ def insert_packed(rows: DataFrame | None, new_edges: DataFrame, stage: Stage, ta
 
     Whole words travel: the row of j is joined to all x that reach j, OR-ed per word, and what
     x has already is taken out."""
-    empty = new_edges.sparkSession.createDataFrame([], "x long, block long, word long")
+    empty = local_table(new_edges.sparkSession, [], "x long, block long, word long")
     known = rows if rows is not None else empty
     fresh, n = stage.put(and_not(to_rows(new_edges), known, table))
     added, total = empty, 0

@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from ..graph import EDGE, LabeledGraph
 from ..language.fsm import Fsm
 from ..language.rsm import RecursiveMachine, from_fsm
-from ..runtime import LOCAL_ROWS, Grown, Stage, small, union_all
+from ..runtime import LOCAL_ROWS, Grown, Stage, local_table, small, union_all
 from . import closure as cl
 from . import kron
 from .solver import regular_pairs, solve
@@ -261,8 +261,8 @@ def _loop(graph: LabeledGraph, machine: RecursiveMachine, wanted: list[str], sou
     moves = machine.transitions_df(spark)
     step = F.broadcast(moves.select("q", "symbol", "p"))
     starts = {b: q for b, (q, _) in machine.boxes.items()}
-    finals = spark.createDataFrame([(f, b) for b, (_, fs) in machine.boxes.items() for f in fs], "q int, label string")
-    entries = spark.createDataFrame([(b, q) for b, q in starts.items()], "symbol string, entry int")
+    finals = local_table(spark, [(f, b) for b, (_, fs) in machine.boxes.items() for f in fs], "q int, label string")
+    entries = local_table(spark, [(b, q) for b, q in starts.items()], "symbol string, entry int")
     terminal, _ = stage.put(graph.select_labels(machine.terminals).edges.select(*EDGE))
     calls = machine.has_calls
     call_step = F.broadcast(moves.where("is_call").select("q", "symbol", "p"))
@@ -315,7 +315,7 @@ def _loop(graph: LabeledGraph, machine: RecursiveMachine, wanted: list[str], sou
         fresh, seen = put(step_rows.distinct().join(known.df, ["u", "q", "v"], "left_anti"))
         if seen["n"]:
             known.add(fresh)
-    found = harvest(known.df) if one_final else facts.df if facts is not None else spark.createDataFrame([], FACTS)
+    found = harvest(known.df) if one_final else facts.df if facts is not None else local_table(spark, [], FACTS)
     return PathIndex(graph, machine, found, known.df, metrics, sources)
 
 
@@ -331,11 +331,11 @@ def build_full(graph: LabeledGraph, machine: RecursiveMachine | Fsm, closure: st
     spark = graph.edges.sparkSession
     stage, n_states = Stage(spark), machine.n
     moves = machine.transitions_df(spark)
-    ends = spark.createDataFrame([(b, s, f) for b, (s, fs) in machine.boxes.items() for f in fs], "label string, start int, final int")
+    ends = local_table(spark, [(b, s, f) for b, (s, fs) in machine.boxes.items() for f in fs], "label string, start int, final int")
     table = cl.block_table(spark, table_width) if closure == "table" else None
     terminal, _ = stage.put(graph.select_labels(machine.terminals).edges.select(*EDGE))
     null = [b for b, (s, fs) in machine.boxes.items() if s in fs]
-    facts, n_facts = stage.put(graph.vertices.select(F.col("id").alias("src"), F.explode(F.array(*map(F.lit, null))).alias("label"), F.col("id").alias("dst"))) if null else stage.put(spark.createDataFrame([], FACTS))
+    facts, n_facts = stage.put(graph.vertices.select(F.col("id").alias("src"), F.explode(F.array(*map(F.lit, null))).alias("label"), F.col("id").alias("dst"))) if null else stage.put(local_table(spark, [], FACTS))
     new = terminal.union(facts)  # reflexive facts are part of the first delta
     index = closed = None
     metrics: list[dict] = []

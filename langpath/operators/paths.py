@@ -16,7 +16,7 @@ from pyspark.sql.functions import pandas_udf
 
 from ..graph import LabeledGraph
 from ..language.rsm import RecursiveMachine
-from ..runtime import LOCAL_ROWS, Stage, small, union_all
+from ..runtime import LOCAL_ROWS, Stage, local_table, small, union_all
 from . import closure as cl
 from .index import PathIndex, _rows_by_piece, by_piece
 from .solver import bounded_paths
@@ -51,7 +51,7 @@ def levels(index: PathIndex, max_length: int, sources: DataFrame | None = None,
     e, _ = stage.put(index.pruned() if prune else index.index_edges)
     terms = e.where("not is_call").select("q", F.col("u").alias("v"), "symbol", "p", F.col("v").alias("w"))
     calls = e.where("is_call").select("q", F.col("u").alias("v"), "symbol", "p", F.col("v").alias("w"))
-    owner = F.broadcast(spark.createDataFrame([(f, b) for b, (_, fs) in machine.boxes.items() for f in fs], "q int, box string"))
+    owner = F.broadcast(local_table(spark, [(f, b) for b, (_, fs) in machine.boxes.items() for f in fs], "q int, box string"))
     key = ["s", "q", "v"]
     empty = F.array().cast(f"array<{STEP}>")
     start = {b: q for b, (q, _) in machine.boxes.items()}
@@ -60,7 +60,7 @@ def levels(index: PathIndex, max_length: int, sources: DataFrame | None = None,
         base = base.join(sources.select(F.col("id").alias("s")), "s", "left_semi")
     seeds = base.select("s", F.lit(start[box]).alias("q"), F.col("s").alias("v"))
     if machine.has_calls:
-        entry = F.broadcast(spark.createDataFrame([(b, q) for b, q in start.items()], "symbol string, entry int"))
+        entry = F.broadcast(local_table(spark, [(b, q) for b, q in start.items()], "symbol string, entry int"))
         seeds = seeds.union(calls.select("symbol", "v").distinct().join(entry, "symbol").select(F.col("v").alias("s"), F.col("entry").alias("q"), "v")).distinct()
     partial: list[DataFrame] = []
     done: list[DataFrame] = []
@@ -179,7 +179,7 @@ def iterate(index: PathIndex, u: int, v: int, box: str | None = None, max_length
     """Walks from u to v by growing length, without end if there are infinitely many; nothing beyond the
     level in use is computed."""
     spark = index.graph.edges.sparkSession
-    start = spark.createDataFrame([(u,)], "id long")
+    start = local_table(spark, [(u,)], "id long")
     for level in levels(index, max_length, start, box):
         rows = level.where((F.col("src") == u) & (F.col("dst") == v)).orderBy(word("path"), "path")
         for r in rows.toLocalIterator():
@@ -237,8 +237,8 @@ def is_infinite(index: PathIndex, box: str | None = None) -> DataFrame:
     e, _ = stage.put(index.pruned())
     place = lambda s, q, v: F.concat_ws(":", F.lit("p"), s, q, v)
     fact = lambda b, s, v: F.concat_ws(":", F.lit("f"), b, s, v)
-    starts = spark.createDataFrame([(q, b) for b, (q, _) in machine.boxes.items()], "q int, box string")
-    owners = spark.createDataFrame([(f, b) for b, (_, fs) in machine.boxes.items() for f in fs], "q int, box string")
+    starts = local_table(spark, [(q, b) for b, (q, _) in machine.boxes.items()], "q int, box string")
+    owners = local_table(spark, [(f, b) for b, (_, fs) in machine.boxes.items() for f in fs], "q int, box string")
     # rooted places reached from the seeds
     seed = index.facts.select(F.col("src").alias("s"), F.col("label").alias("box")).distinct().join(F.broadcast(starts), "box").select("s", "q", F.col("s").alias("v"))
     known, n = stage.put(seed.distinct())

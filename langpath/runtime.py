@@ -25,6 +25,19 @@ def shared_root(spark: SparkSession) -> str:
     return root.rstrip("/")
 
 
+def local_table(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    """A few driver rows as a local relation: scanning or broadcasting it starts no job."""
+    import pyarrow as pa
+    from pyspark.sql.pandas.types import to_arrow_schema
+    from pyspark.sql.types import StructType
+
+    kind = StructType.fromDDL(schema)
+    fields = to_arrow_schema(kind)
+    cols = list(zip(*rows, strict=True)) or [()] * len(fields)
+    table = pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(cols, fields, strict=True)], schema=fields)
+    return spark.createDataFrame(table, kind)
+
+
 class Stage:
     """Staged relations of one run; :meth:`close` deletes those that nothing reads any more."""
 
