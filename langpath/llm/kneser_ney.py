@@ -168,7 +168,8 @@ def trusted_texts(docs: DataFrame, trusted: DataFrame) -> DataFrame:
             yield batch.filter(pa.array(common.in_filter(bits.value, ids)))
 
     some = docs.select("doc_id", "text").mapInArrow(run, "doc_id long, text string")
-    return some.join(trusted, "doc_id", "left_semi")
+    # the list of trusted documents grows with the corpus, so it is never the broadcast side
+    return some.join(trusted.hint("merge"), "doc_id", "left_semi")
 
 
 def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN, doc_id: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
