@@ -100,7 +100,8 @@ def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = SLICE_BYTE
         for a, b in zip(cuts, cuts[1:], strict=False):
             yield batch.slice(a, b - a)
         del batch, col
-        trim()
+        if not encoding:
+            trim()
 
 
 # --------------------------------------------------------------------------- words
