@@ -221,7 +221,8 @@ def link(docs: DataFrame, words: int = SHINGLE_WORDS, percent: int = PERCENT, do
 
 
 def one_of_each(docs: DataFrame, words: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents of smallest doc_id of each group of near copies, and all that have none."""
+    """The documents of smallest doc_id of each group of near copies, and all that have none.  A
+    document without a doc_id is never dropped."""
     linked = link(docs, words, percent, doc_id, text)
     gone = linked.where(F.col("component_id") != F.col("doc_id")).select(F.col("doc_id").alias(doc_id)).distinct()
     return docs.join(gone, doc_id, "left_anti").select(*docs.columns)

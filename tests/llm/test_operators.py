@@ -419,3 +419,25 @@ def test_lpf_of_one_text():
 
 def test_repeats_of_nothing(nothing):
     assert lpf.remove_repeats(nothing).count() == 0
+
+
+# --------------------------------------------------------------------------- nulls in every column
+def test_null_ids_and_texts(spark):
+    t = prose(60)
+    df = spark.createDataFrame([(None, t, None), (None, t, None), (None, None, None), (1, None, "en"), (1, t, "en"), (2, "", None)], "doc_id long, text string, lang string")
+    bench = spark.createDataFrame([(None, " ".join(t.split(" ")[:12])), (2, None)], "item_id long, text string")
+    labels = spark.createDataFrame([(None, 1), (1, 1), (1, None)], "doc_id long, quality int")
+    tok = common.tokenizer_file()
+    n = len(ids_of(t))
+    starts = [tuple(r) for r in wavelet.read_documents(wavelet.write_shards(df, common.new_path(spark, "w"), tok)).select("start", "n_tokens", "doc_id").orderBy("start").collect()]
+    assert starts == [(0, 1, None), (1, n, None), (1 + n, n, None), (1 + 2 * n, 1, 1), (2 + 2 * n, n, 1), (2 + 3 * n, 1, 2)]
+    assert packing.pack(df, tok).agg(F.sum("length")).first()[0] == 3 * n + 3
+    assert compression.score(df).count() == 6
+    assert sorted(r["kept"] for r in kneser_ney.classify(df, labels).collect()) == [False] * 3 + [True] * 3
+    assert sorted(r["kept"] for r in decontam.find(df, bench).collect()) == [False] * 3 + [True] * 3
+    rows = slots.records(df)
+    assert slots.assign(rows, slots.new_map(slots.slot_loads(rows), 3)).count() == 6
+    got = minhash.link(df).collect()
+    assert sorted((r["component_id"] or 0) for r in got if r["n_shingles"]) == [1, 1, 1]
+    cut = lpf.remove_repeats(df, length=50, gram=16, keep="none").collect()
+    assert sum(r["n_removed"] for r in cut) == 3 * len(t.encode())
