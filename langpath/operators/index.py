@@ -175,14 +175,12 @@ def _unrolled(graph: LabeledGraph, machine: RecursiveMachine, sources: DataFrame
 # --------------------------------------------------------------------------- parts in tasks
 def _rows_by_piece(graph: LabeledGraph, strategy: str) -> DataFrame:
     """Edges and vertices (with null label) of all parts, one shuffle, parts in a row."""
-    spark = graph.edges.sparkSession
     e, v = graph.edges.select(*EDGE), graph.vertices.select(F.col("id").alias("src"), F.lit(None).cast("string").alias("label"), F.lit(None).cast("long").alias("dst"))
     rows = e.union(v)
     if strategy == "task":
         return rows.select(F.lit(0).cast("long").alias("piece"), *EDGE).coalesce(1)
-    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     tagged = rows.join(graph.pieces.select(F.col("id").alias("src"), "piece"), "src").select("piece", *EDGE)
-    return tagged.repartition(n, "piece").sortWithinPartitions("piece")
+    return tagged.repartition("piece").sortWithinPartitions("piece")  # no fixed number: small partitions are merged at run time
 
 
 def by_piece(rows: DataFrame, work, schema: str) -> DataFrame:
