@@ -1,15 +1,21 @@
-"""Quality classifier: interpolated modified Kneser-Ney n-grams over character classes.
+"""Quality classifier: interpolated modified Kneser-Ney n-grams over subword tokens.
 
-Trusted texts (labelled of good quality) train the model: all of them, whole.  A text's bytes become
-one of ``CLASSES`` = 64 classes (letters in either case, digits, kinds of punctuation and of multi-byte
-characters), and 4-grams of these are counted per task and then summed, sharded by gram.  Lower orders hold
-continuation counts.  Joins of the sharded count tables (gram with its context's totals, gram with the
-probability of its suffix) give each seen gram its interpolated probability and each context its
-back-off weight.
+Trusted texts (labelled of good quality) train the model: all of them, whole.  Texts are encoded by the
+byte-level vocabulary, so every script has its own tokens, and 3-grams of tokens are counted per slice, then
+summed, sharded by gram.  A gram is packed exactly into one long.  Lower orders hold continuation counts.
+Joins of the sharded count tables (gram with its context's totals, gram with the probability of its
+suffix) give each seen gram its interpolated probability and each context its back-off weight.
 
-With 64 classes there are at most 64**4 grams, whatever the corpus: the finished model has a proven bound of
-64 MB (one float per gram) and is sent to all workers, which score whole documents in one pass.  A document's perplexity is
-held against a quantile of the trusted documents of its language.
+Documents are scored by joins too: their grams, each distinct one once, meet the tables of probabilities and
+of back-off weights, and the result meets the documents' grams.  Only tables with at most one entry per token of the
+vocabulary are broadcast.  Costs are summed as integers, so equal texts score equally.
+
+Documents are in two folds.  A document is scored by the model of the other fold's trusted texts, so no
+text is judged by a model that has read it, and the trusted documents' scores show what good text unseen by the
+model gets.  A document's perplexity (per byte) is held against a quantile of the trusted documents of its language.
+
+``fit``, ``table`` and ``dense`` give the same interpolation over ``CLASSES`` = 64 byte classes, a model small enough to be
+summed up whole; no query uses it.
 
 Defined cases: null or empty texts have no perplexity and are not kept; documents of a language without trusted texts
 use the quantile over all; a null language is a language; repeated rows get equal scores; without any trusted text all
@@ -18,11 +24,11 @@ with a perplexity are kept; an empty table gives no rows; other columns are igno
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import common
@@ -30,6 +36,10 @@ from . import common
 ORDER, CLASSES = 4, 64
 QUANTILE, MARGIN = 0.995, 1.25
 BEGIN, END = 0, 1
+# tokens: grams of TOKENS, BITS bits each, and above them the fold of the texts they are counted in
+TOKENS, BITS = 3, 20
+FOLD = 1 << TOKENS * BITS
+UNIT = 1 << 20  # costs are counted in so many parts of a bit
 
 
 def _classes() -> np.ndarray:
@@ -91,23 +101,29 @@ def discounts(counts: DataFrame) -> tuple[float, float, float]:
 
 
 def fit(texts: DataFrame) -> list[tuple[DataFrame, DataFrame]]:
-    """For orders 1 to ORDER: (gram, p) of seen grams and (context, back-off weight)."""
-    counts = [common.cut(count_grams(texts), "kn-counts")]
-    for n in range(ORDER - 1, 0, -1):
+    """For orders 1 to ORDER over byte classes: (gram, p) of seen grams and (context, back-off weight)."""
+    return interpolate(count_grams(texts), ORDER, CLASSES, lambda g: F.floor(g / CLASSES), lambda g, n: g % CLASSES**n)
+
+
+def interpolate(top: DataFrame, order: int, size: int, context: Callable[[Column], Column], suffix: Callable[[Column, int], Column]) -> list[tuple[DataFrame, DataFrame]]:
+    """For orders 1 to ``order``: (gram, p) of seen grams and (context, back-off weight w), from (gram, c) of the highest;
+    ``size`` is the number of symbols."""
+    counts = [common.cut(top, "kn-counts")]
+    for n in range(order - 1, 0, -1):
         # distinct left neighbours of the shorter gram
-        counts.insert(0, counts[0].groupBy((F.col("gram") % CLASSES**n).alias("gram")).agg(F.count("*").alias("c")))
+        counts.insert(0, counts[0].groupBy(suffix(F.col("gram"), n).alias("gram")).agg(F.count("*").alias("c")))
     out: list[tuple[DataFrame, DataFrame]] = []
     lower = None
     for n, g in enumerate(counts, 1):
         d = discounts(g)
         cut = F.when(F.col("c") == 1, d[0]).when(F.col("c") == 2, d[1]).otherwise(d[2])
-        row = g.select("gram", "c", cut.alias("d"), F.floor(F.col("gram") / CLASSES).alias("context"))
+        row = g.select("gram", "c", cut.alias("d"), context(F.col("gram")).alias("context"))
         ctx = row.groupBy("context").agg(F.sum("c").alias("total"), F.sum("d").alias("mass"))
         joined = row.join(ctx, "context")
         if lower is None:
-            tail = F.lit(1.0 / CLASSES)
+            tail = F.lit(1.0 / size)
         else:
-            joined = joined.withColumn("suffix", F.col("gram") % CLASSES ** (n - 1)).join(lower.select(F.col("gram").alias("suffix"), F.col("p").alias("tail")), "suffix")
+            joined = joined.withColumn("suffix", suffix(F.col("gram"), n - 1)).join(lower.select(F.col("gram").alias("suffix"), F.col("p").alias("tail")), "suffix")
             tail = F.col("tail")
         p = joined.select("gram", ((F.col("c") - F.col("d") + F.col("mass") * tail) / F.col("total")).alias("p"))
         lower = common.cut(p, f"kn-order{n}")
@@ -137,25 +153,95 @@ def dense(sparse: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]) -
     return np.log(np.maximum(p, 1e-12))
 
 
-def perplexities(docs: DataFrame, sparse: list, keep: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, the columns ``keep``, n_bytes and perplexity of each document."""
-    sent = docs.sparkSession.sparkContext.broadcast(sparse)
-    held: list[np.ndarray] = []
-    kinds = dict(docs.dtypes)
+# --------------------------------------------------------------------------- tokens
+def fold_of(doc_id: Column) -> Column:
+    return F.pmod(F.xxhash64(doc_id), F.lit(2))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if not held:
-            held.append(dense(sent.value))
-        for batch in common.slices(batches, "text"):
-            raw, off = common.flat_text(batch.column("text"))
-            code, first = grams(raw, off)
-            logs = np.add.reduceat(held[0][code], first[:-1], dtype=np.float64) if len(code) else np.zeros(0)
-            n = np.diff(off)
-            ppl = pa.array(np.exp(-logs / (n + 1)), mask=n == 0)
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", *keep)), pa.array(n), ppl], ["doc_id", *keep, "n_bytes", "perplexity"])
 
-    schema = ", ".join(f"{c} {kinds[c]}" for c in ("doc_id", *keep))
-    return docs.select("doc_id", *keep, "text").mapInArrow(run, f"{schema}, n_bytes long, perplexity double")
+def suffix_of(gram: Column, n: int) -> Column:
+    """The last n tokens of a gram, in its fold."""
+    return gram.bitwiseAND(F.lit(FOLD | (1 << n * BITS) - 1))
+
+
+def context_of(gram: Column) -> Column:
+    """All tokens but the last, in the same fold."""
+    return F.shiftright(gram.bitwiseAND(F.lit(FOLD - 1)), BITS).bitwiseOR(gram.bitwiseAND(F.lit(FOLD)))
+
+
+def token_grams(texts: DataFrame, tokenizer: str) -> DataFrame:
+    """(key, gram, n): how often each gram stands in the text of ``key``; ``texts`` has key, fold and text.
+    Empty texts have none."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enc = common.encoder(tokenizer)
+        for batch in common.slices(batches, "text", encoding=True):
+            ids, off = enc.encode(batch.column("text"))
+            keep = np.diff(off) > 0
+            n = np.diff(off)[keep]
+            if not len(n):
+                continue
+            size = n + TOKENS
+            begin = np.cumsum(size) - size
+            seq = np.full(int(size.sum()), BEGIN, np.int64)
+            seq[common.gather(begin + TOKENS - 1, n)] = ids.astype(np.int64) + END + 1
+            seq[begin + size - 1] = END
+            code = np.zeros(len(seq) - TOKENS + 1, np.int64)
+            for k in range(TOKENS):
+                code = (code << BITS) | seq[k : len(seq) - TOKENS + 1 + k]
+            owner = np.repeat(np.arange(len(n)), n + 1)
+            code = code[common.gather(begin, n + 1)] | batch.column("fold").to_numpy()[keep][owner] * FOLD
+            order = np.lexsort((code, owner))
+            code, owner = code[order], owner[order]
+            new = np.ones(len(code), bool)
+            new[1:] = (code[1:] != code[:-1]) | (owner[1:] != owner[:-1])
+            at = np.flatnonzero(new)
+            count = np.diff(np.concatenate([at, [len(code)]]))
+            key = batch.column("key").to_numpy()[keep][owner[at]]
+            for a in range(0, len(at), 1 << 16):
+                part = slice(a, a + (1 << 16))
+                yield pa.RecordBatch.from_arrays([pa.array(key[part]), pa.array(code[at[part]]), pa.array(count[part])], ["key", "gram", "n"])
+
+    return texts.select("key", "fold", "text").mapInArrow(run, "key long, gram long, n long")
+
+
+def vocabulary_size(tokenizer: str) -> int:
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(tokenizer).get_vocab_size() + 1  # the end mark included
+
+
+def fit_tokens(texts: DataFrame, tokenizer: str) -> list[tuple[DataFrame, DataFrame]]:
+    """The model of each fold; ``texts`` has key, fold and text."""
+    top = token_grams(texts, tokenizer).groupBy("gram").agg(F.sum("n").alias("c"))
+    return interpolate(top, TOKENS, vocabulary_size(tokenizer), context_of, suffix_of)
+
+
+def gram_costs(grams_: DataFrame, model: list[tuple[DataFrame, DataFrame]], size: int) -> DataFrame:
+    """(gram, cost): what each distinct gram costs, in parts of a bit; unseen ones by back-off."""
+    out = grams_.select("gram").distinct().withColumn("p", F.lit(1.0 / size))
+    for n, (seen, contexts) in enumerate(model, 1):
+        # one entry per token at most up to here; beyond, the tables grow with the corpus
+        small = {"gram": n == 1, "context": n <= 2}
+        g = suffix_of(F.col("gram"), n)
+        for key, table_, of in (("gram", seen, g), ("context", contexts, context_of(g))):
+            other = table_.select(F.col(key).alias("at"), F.col({"gram": "p", "context": "w"}[key]).alias(f"new_{key}"))
+            out = out.withColumn("here", of).join(other.hint("broadcast" if small[key] else "merge"), F.col("here") == F.col("at"), "left").drop("here", "at")
+        p = F.coalesce("new_gram", F.coalesce("new_context", F.lit(1.0)) * F.col("p"))
+        out = out.select("gram", p.alias("p"))
+    return out.select("gram", F.round(-F.log2("p") * UNIT).cast("long").alias("cost"))
+
+
+def perplexities(docs: DataFrame, model: list[tuple[DataFrame, DataFrame]], tokenizer: str, keep: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, the columns ``keep``, n_bytes and perplexity of each document, by the model of the other fold."""
+    text = F.coalesce("text", F.lit(""))
+    row = docs.select("doc_id", *keep, F.xxhash64("doc_id", text).alias("key"), (1 - fold_of(F.col("doc_id"))).alias("fold"), text.alias("text"))
+    found = token_grams(row, tokenizer)
+    costs = gram_costs(found, model, vocabulary_size(tokenizer))
+    # equal rows share a key; each text has one end mark, which tells how many there are
+    ends = F.sum(F.when(suffix_of(F.col("gram"), 1).bitwiseAND(F.lit(FOLD - 1)) == END, F.col("n")))
+    total = found.join(costs.hint("merge"), "gram").groupBy("key").agg((F.sum(F.col("n") * F.col("cost")) / ends / UNIT).alias("bits"))
+    sized = row.select("doc_id", *keep, "key", F.octet_length("text").cast("long").alias("n_bytes"))
+    return sized.join(total, "key", "left").select("doc_id", *keep, "n_bytes", F.pow(F.lit(2.0), F.col("bits") / (F.col("n_bytes") + 1)).alias("perplexity"))
 
 
 def trusted_texts(docs: DataFrame, trusted: DataFrame) -> DataFrame:
@@ -172,13 +258,14 @@ def trusted_texts(docs: DataFrame, trusted: DataFrame) -> DataFrame:
     return some.join(trusted.hint("merge"), "doc_id", "left_semi")
 
 
-def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN, doc_id: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
+def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", tokenizer: str | None = None) -> DataFrame:
     """Per document: doc_id, lang, n_bytes, perplexity, threshold, kept."""
     src = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(lang).cast("string").alias("lang"), F.col(text).alias("text"))
     trusted = common.cut(labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), "kn-trusted")
-    model = fit(trusted_texts(src, trusted))
-    sparse = table(model)
-    scores = common.cut(perplexities(src, sparse, ("lang",)), "kn-scores")
+    tokenizer = tokenizer or common.tokenizer_file()
+    texts = trusted_texts(src, trusted).select(F.col("doc_id").alias("key"), fold_of(F.col("doc_id")).alias("fold"), "text")
+    model = fit_tokens(texts, tokenizer)
+    scores = common.cut(perplexities(src, model, tokenizer, ("lang",)), "kn-scores")
     good = scores.join(trusted, "doc_id", "left_semi").where("perplexity is not null")
     at = F.percentile_approx("perplexity", quantile, 10_000)
     limits = good.groupBy("lang").agg((at * margin).alias("own"))

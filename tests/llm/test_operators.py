@@ -157,6 +157,38 @@ def test_kneser_ney_is_a_distribution_and_separates(spark, nothing):
     assert all(r["kept"] for r in kneser_ney.classify(df.where("doc_id < 3"), labels.limit(0)).collect())
 
 
+def test_word_salad_and_unknown_scripts_score_worse(spark):
+    order = np.random.default_rng(8)
+    follow = {w: order.choice(VOCAB, 3).tolist() for w in VOCAB}
+
+    def walk(n):
+        out = [str(order.choice(VOCAB))]
+        while len(out) < n:
+            out.append(str(order.choice(follow[out[-1]])))
+        return out
+
+    good = [walk(150) for _ in range(60)]
+    salad = [order.permutation(w).tolist() for w in good[:15]]
+    junk = ["".join(chr(c) for c in order.integers(0x430, 0x450, 400)) for _ in range(5)]
+    cyrillic = ["привет мир как дела сегодня хорошо " * 6] * 6
+    texts = [" ".join(w) for w in good] + cyrillic + [" ".join(w) for w in salad] + junk
+    df = spark.createDataFrame([(i, t, "en") for i, t in enumerate(texts)], "doc_id long, text string, lang string")
+    rows = {r["doc_id"]: r["perplexity"] for r in kneser_ney.classify(df, spark.createDataFrame([(i, 1) for i in range(66)], "doc_id long, quality int")).collect()}
+    assert max(rows[i] for i in range(60)) < min(rows[66 + i] for i in range(15))
+    assert max(rows[i] for i in range(60, 66)) < min(rows[81 + i] for i in range(5))
+
+
+def test_token_model_is_a_distribution(spark):
+    tok = common.tokenizer_file()
+    df = spark.createDataFrame([(i, i % 2, prose(30)) for i in range(6)], "key long, fold long, text string")
+    model = kneser_ney.fit_tokens(df, tok)
+    size = kneser_ney.vocabulary_size(tok)
+    ctx = [r["gram"] >> 20 for r in kneser_ney.token_grams(df.where("fold = 0"), tok).limit(2).collect()]
+    every = spark.range(1, size + 1).select(F.explode(F.array(*[F.lit(c << 20).cast("long") + F.col("id") for c in [*ctx, (7 << 20) + 9]])).alias("gram"))
+    cost = kneser_ney.gram_costs(every, model, size).select(F.shiftright("gram", 20).alias("c"), F.pow(F.lit(2.0), -F.col("cost") / kneser_ney.UNIT).alias("p"))
+    assert all(r["s"] == pytest.approx(1, abs=1e-3) for r in cost.groupBy("c").agg(F.sum("p").alias("s")).collect())
+
+
 def test_gram_counts(spark):
     df = spark.createDataFrame([("abca",), ("ab",), (None,), ("",)], "text string")
     want = Counter()
