@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from . import common
 
 ORDER, CLASSES = 4, 64
-QUANTILE, MARGIN = 0.995, 1.25
+QUANTILE = 0.995
 BEGIN, END = 0, 1
 # tokens: grams of TOKENS, BITS bits each, and above them the fold of the texts they are counted in
 TOKENS, BITS = 3, 20
@@ -258,7 +258,7 @@ def trusted_texts(docs: DataFrame, trusted: DataFrame) -> DataFrame:
     return some.join(trusted.hint("merge"), "doc_id", "left_semi")
 
 
-def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", tokenizer: str | None = None) -> DataFrame:
+def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", tokenizer: str | None = None) -> DataFrame:
     """Per document: doc_id, lang, n_bytes, perplexity, threshold, kept."""
     src = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(lang).cast("string").alias("lang"), F.col(text).alias("text"))
     trusted = common.cut(labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), "kn-trusted")
@@ -268,8 +268,8 @@ def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, mar
     scores = common.cut(perplexities(src, model, tokenizer, ("lang",)), "kn-scores")
     good = scores.join(trusted, "doc_id", "left_semi").where("perplexity is not null")
     at = F.percentile_approx("perplexity", quantile, 10_000)
-    limits = good.groupBy("lang").agg((at * margin).alias("own"))
-    every = good.agg((at * margin).alias("every"))
+    limits = good.groupBy("lang").agg(at.alias("own"))
+    every = good.agg(at.alias("every"))
     out = scores.join(limits.withColumnRenamed("lang", "l"), F.col("lang").eqNullSafe(F.col("l")), "left").join(F.broadcast(every))
     limit = F.coalesce("own", "every", F.lit(float("inf")))
     return out.select("doc_id", "lang", "n_bytes", "perplexity", limit.alias("threshold"), F.coalesce(F.col("perplexity") <= limit, F.lit(False)).alias("kept"))

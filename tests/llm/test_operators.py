@@ -189,6 +189,12 @@ def test_token_model_is_a_distribution(spark):
     assert all(r["s"] == pytest.approx(1, abs=1e-3) for r in cost.groupBy("c").agg(F.sum("p").alias("s")).collect())
 
 
+def test_threshold_is_the_quantile_itself(spark):
+    df = spark.createDataFrame([(i, prose(40 + i), "en") for i in range(12)], "doc_id long, text string, lang string")
+    rows = kneser_ney.classify(df, spark.createDataFrame([(i, 1) for i in range(12)], "doc_id long, quality int")).collect()
+    assert {r["threshold"] for r in rows} == {max(r["perplexity"] for r in rows)}
+
+
 def test_gram_counts(spark):
     df = spark.createDataFrame([("abca",), ("ab",), (None,), ("",)], "text string")
     want = Counter()
