@@ -10,9 +10,10 @@ suffixes that can share so long a string.
    of equals.  Equal strings of LENGTH bytes have equal anchors at the same place, so a position, which belongs to
    the one anchor of its run, can only match positions of anchors with the same hash.  Anchors seen once are done.
 2. The other anchors bring their context: the bytes of the runs they own.  Equal contexts become one, with a count.
-3. Contexts of one anchor hash meet, and their suffixes are put in order to depth LENGTH.  In that order, suffixes equal
-   to that depth stand together by position, so the previous smaller position in the order is the earlier match, and the
-   first of each is the one to keep.  Groups of over ``HOT`` contexts are instead split by the hash of the LENGTH bytes.
+3. Contexts of one anchor hash meet, and their suffixes are put in order to depth LENGTH by prefix doubling over their bytes.
+   Suffixes equal to that depth stand together by position, so the previous smaller position of each but the first is
+   its neighbour there and LPF >= LENGTH; the first has no earlier match so long and is the one to keep.  Only groups of
+   over ``HOT`` contexts have no suffix order: they are split by the 64-bit hash of the LENGTH bytes.
 
 Texts that equal others as a whole take part once.  ``keep="first"`` removes later copies only; ``keep="none"`` removes
 all occurrences, the first included.
@@ -187,8 +188,37 @@ def _run_hashes(parts: list[bytes], n_runs: np.ndarray, length: int) -> np.ndarr
     return np.concatenate(out) if out else np.zeros(0, np.uint64)
 
 
+def suffix_ranks(raw: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
+    """Rank of the suffixes that start at ``at`` among each other, in order of their first ``length`` bytes; equal ones
+    share a rank.  Prefix doubling: two neighbouring ranks make the rank of twice the depth."""
+    width = min(8, length)
+    padded = np.concatenate([raw, np.zeros(length, np.uint8)]).astype(np.uint64)
+    key = np.zeros(len(raw), np.uint64)
+    for k in range(width):
+        key = (key << np.uint64(8)) | padded[k : k + len(raw)]
+    del padded
+    while width < length:
+        rank = _dense_ranks(key)
+        step = min(width, length - width)
+        second = np.zeros(len(raw), np.int64)
+        second[: max(len(raw) - step, 0)] = rank[step:]
+        key = rank * (len(raw) + 1) + second
+        width += step
+    return _dense_ranks(key[at])
+
+
+def _dense_ranks(key: np.ndarray) -> np.ndarray:
+    order = np.argsort(key)
+    key = key[order]
+    new = np.zeros(len(key), np.int64)
+    new[1:] = key[1:] != key[:-1]
+    rank = np.empty(len(key), np.int64)
+    rank[order] = np.cumsum(new)
+    return rank
+
+
 def repeated_runs(h: np.ndarray, n_runs: np.ndarray, weight: np.ndarray, who: np.ndarray, first_run: np.ndarray):
-    """Suffixes in order to depth LENGTH: per run whether it occurs again, and its first occurrence."""
+    """Per run, by its suffix rank ``h`` to depth LENGTH: whether it occurs again, and its first occurrence."""
     ctx = np.repeat(np.arange(len(n_runs)), n_runs)
     pos = common.gather(first_run, n_runs)
     order = np.lexsort((pos, who[ctx], h))  # equal suffixes by position: the one before is the previous smaller
@@ -231,7 +261,10 @@ def _judge(distinct: DataFrame, length: int) -> DataFrame:
         def flush(rows: list[tuple]) -> pa.RecordBatch:
             h, ctx, m, who, first, n, parts = zip(*rows, strict=True)
             n = np.array(n, np.int64)
-            _, again, w, p = repeated_runs(_run_hashes(list(parts), n, length), n, np.array(m, np.int64), np.array(who, np.int64), np.array(first, np.int64))
+            size_of = np.array([len(x) for x in parts], np.int64)
+            at = common.gather(np.cumsum(size_of) - size_of, n)
+            ranks = suffix_ranks(np.frombuffer(b"".join(parts), np.uint8), at, length)
+            _, again, w, p = repeated_runs(ranks, n, np.array(m, np.int64), np.array(who, np.int64), np.array(first, np.int64))
             return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(ctx, pa.int64()), pa.array(_spans(n, again, w, p), pa.list_(pa.struct([("at", pa.int32()), ("n", pa.int32()), ("who", pa.int64()), ("pos", pa.int64())])))], ["hash", "ctx", "spans"])
 
         for batch in batches:

@@ -455,6 +455,15 @@ def test_lpf_of_one_text():
         assert sorted(lpf.suffix_array(text).tolist(), key=lambda p: text[p:]) == lpf.suffix_array(text).tolist()
 
 
+def test_suffix_order_to_a_depth():
+    for length in (5, 8, 50, 400):
+        raw = np.frombuffer(b"ab" * 300 + bytes(RNG.integers(97, 99, 900).astype(np.uint8)) + b"ab" * 300, np.uint8)
+        at = np.arange(0, len(raw) - length + 1)
+        runs = [raw[p : p + length].tobytes() for p in at]
+        name = {r: k for k, r in enumerate(sorted(set(runs)))}
+        assert lpf.suffix_ranks(raw, at, length).tolist() == [name[r] for r in runs]
+
+
 def test_repeats_of_nothing(nothing):
     assert lpf.remove_repeats(nothing).count() == 0
 
