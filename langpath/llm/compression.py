@@ -33,9 +33,10 @@ WINDOW = 8
 class Bands:
     """Limits by length: (bytes at least, lowest ratio, highest ratio), longest last."""
 
-    whole: tuple[tuple[int, float, float], ...] = ((0, 0.55, 2.6), (256, 0.85, 3.2), (1024, 1.05, 4.0), (4096, 1.2, 5.0), (16384, 1.25, 6.5), (65536, 1.25, 8.0))
+    # lowest ratios: below the least of good prose of each length, above base64 (1.09 to 1.33) and, from 1 KB on, words of random letters (1.60 to 1.72)
+    whole: tuple[tuple[int, float, float], ...] = ((0, 0.55, 2.6), (256, 1.15, 3.2), (512, 1.35, 3.2), (1024, 1.66, 4.0), (2048, 1.75, 4.0), (4096, 1.85, 5.0), (16384, 1.9, 6.5), (65536, 1.9, 8.0))
     chunk_bytes: int = 4096
-    chunk: tuple[tuple[int, float, float], ...] = ((0, 0.55, 2.6), (256, 0.85, 3.2), (1024, 1.05, 4.0), (4096, 1.2, 5.0))
+    chunk: tuple[tuple[int, float, float], ...] = ((0, 0.55, 2.6), (256, 1.15, 3.2), (512, 1.35, 3.2), (1024, 1.66, 4.0), (2048, 1.75, 4.0), (4096, 1.85, 5.0))
     bad_chunks: float = 0.3  # share of a document's chunks that may lie outside
     level: int = 3
 

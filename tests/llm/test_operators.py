@@ -141,6 +141,20 @@ def test_bands_reject_repetition_and_noise(spark):
     assert got == {0: True, 1: False, 2: False}
 
 
+def test_default_bands_reject_noise(spark):
+    import base64
+
+    def words(chars, n, least, most):
+        return " ".join("".join(RNG.choice(chars, RNG.integers(least, most))) for _ in range(n))
+
+    letters, cjk = list("abcdefghijklmnopqrstuvwxyz"), [chr(c) for c in range(0x4E00, 0x9FFF)]
+    texts = [f(n) for n in (1500, 6000, 40_000) for f in (lambda n: base64.encodebytes(RNG.bytes(n)).decode(), lambda n: words(letters, n // 7, 3, 10), lambda n: words(cjk, n // 75, 20, 30))]
+    df = spark.createDataFrame([*enumerate(texts), (100, prose(700))], "doc_id long, text string")
+    got = {r["doc_id"]: r["kept"] for r in compression.score(df).collect()}
+    assert got == {**dict.fromkeys(range(9), False), 100: True}
+    assert [r["doc_id"] for r in compression.keep(df).collect()] == [100]
+
+
 # --------------------------------------------------------------------------- 3 Kneser-Ney
 def test_kneser_ney_is_a_distribution_and_separates(spark, nothing):
     good = [(i, prose(60), "en") for i in range(40)]
