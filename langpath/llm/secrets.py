@@ -10,6 +10,9 @@ within the scope (``SCOPE`` code points):
 - ``wid`` (account identifier): a secret, strong or weak, in scope;
 - ``endpoint``: an identifier and a secret in scope.
 
+A strong span inside the value of an identifier does not confirm that one; inside an endpoint it is a secret in scope.
+Neither keeps the weak part from being one.  An opaque token is left out only where a strong span covers it whole.
+
 Only positions are shuffled, and only of documents with at least one weak part.
 
 Defined cases: a null text is empty (no spans); repeated rows give equal results; null doc_id
@@ -72,7 +75,21 @@ def link(parts: DataFrame, scope: int = SCOPE) -> DataFrame:
     """(key, extra): the weak parts of each document that complementary parts confirm."""
     some = parts.where(F.size("weak") > 0).select("key", F.concat("base", "weak").alias("all")).dropDuplicates(["key"])
     one = some.select("key", F.inline("all"))
-    ids, secrets, ends = [F.col("kind").isin(*k) for k in ((1, 3), (0, 2, 4), (5,))]
+    base, wid, wsecret, endpoint = F.col("kind") < len(BASE_KINDS), *(F.col("kind") == k for k in (3, 4, 5))
+    by_start = Window.partitionBy("key").orderBy("start")
+    upto, onward = by_start.rangeBetween(Window.unboundedPreceding, 0), by_start.rangeBetween(0, Window.unboundedFollowing)
+
+    def covered(role: Column) -> Column:
+        return F.coalesce(F.max(F.when(role, F.col("end"))).over(upto) >= F.col("end"), F.lit(False))
+
+    def covers(role: Column) -> Column:
+        return F.coalesce(F.min(F.when(role, F.col("end"))).over(onward) <= F.col("end"), F.lit(False))
+
+    # a weak token that a strong span covers is that secret itself, not another part
+    seen = one.select("*", covered(base).alias("in_base"), covered(wid).alias("in_wid"), covered(endpoint).alias("in_end")).where(~(wsecret & F.col("in_base")))
+    # a strong span in the value of an identifier is no other part for that one; for all others it stands where its cover does
+    seen = seen.withColumn("holds", (wid & covers(base)) | (endpoint & covers(base & ~F.col("in_wid"))))
+    secret = wsecret | (base & ~F.col("in_wid") & ~F.col("in_end")) | F.col("holds")
     near = Window.partitionBy("key").orderBy("start", "end", "kind")
     back, fore = near.rowsBetween(Window.unboundedPreceding, -1), near.rowsBetween(1, Window.unboundedFollowing)
 
@@ -81,14 +98,9 @@ def link(parts: DataFrame, scope: int = SCOPE) -> DataFrame:
         after = F.min(F.when(role, F.col("start"))).over(fore)
         return F.coalesce(F.col("start") - before <= scope, F.lit(False)) | F.coalesce(after - F.col("end") <= scope, F.lit(False))
 
-    # a weak token that a strong span covers is that secret itself, not another part
-    strong_until = F.coalesce(F.max(F.when(F.col("kind") < len(BASE_KINDS), F.col("end"))).over(back), F.lit(-1))
-    strong_from = F.coalesce(F.min(F.when(F.col("kind") < len(BASE_KINDS), F.col("start"))).over(fore), F.lit(2**31 - 1))
-    seen = one.withColumn("apart", (F.col("start") >= strong_until) & (F.col("end") <= strong_from))
-    seen = seen.where((F.col("kind") < len(BASE_KINDS)) | F.col("apart"))
-    judged = seen.select("key", "kind", "start", "end", close(ids).alias("near_id"), close(secrets).alias("near_secret"), close(ends).alias("near_end"))
-    wid, wsecret, endpoint = (F.col("kind") == k for k in (3, 4, 5))
-    good = judged.where((wid & F.col("near_secret")) | (wsecret & (F.col("near_id") | F.col("near_end"))) | (endpoint & F.col("near_id") & F.col("near_secret")))
+    # an access key id is an account identifier as well
+    judged = seen.select("key", "kind", "start", "end", close(wid | (F.col("kind") == 1)).alias("near_id"), close(secret).alias("near_secret"), close(endpoint).alias("near_end"), "holds")
+    good = judged.where((wid & F.col("near_secret")) | (wsecret & (F.col("near_id") | F.col("near_end"))) | (endpoint & F.col("near_id") & (F.col("near_secret") | F.col("holds"))))
     return good.groupBy("key").agg(F.collect_list(F.struct("kind", "start", "end")).alias("extra"))
 
 

@@ -371,6 +371,18 @@ def test_weak_parts_need_each_other(spark):
     assert clean[1] == rows[0][1] and clean[2] == "[SECRET] and [SECRET]" and clean[8] == '[SECRET] [SECRET]"'
 
 
+def test_strong_spans_inside_weak_parts_leave_them_parts(spark):
+    tok = "Zx9" + "aB3dE5gH" * 3
+    rows = [
+        (1, f"client_id = 1a2b3c4d5e6f7a8b9c0d and {tok}"), (2, f"https://host.example.org/0123456789abcdef/x then {tok}"), (3, "client_id = 1a2b3c4d5e6f7a8b9c0d"),
+        (4, f"prefix_0123456789abcdefAbC9xyzQ client_id = svc-user-01"), (5, f"password = {tok}"), (6, f"client_id: svc-user-01 https://h.example.org/?token=abcdefghijkl1"),
+    ]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r["doc_id"]: sorted(secrets.KINDS[x["kind"]] for x in r["spans"]) for r in secrets.scan(df).collect()}
+    assert got == {1: ["hex", "wid", "wsecret"], 2: ["hex", "wsecret"], 3: ["hex"], 4: ["hex", "wid", "wsecret"], 5: ["assign"], 6: ["assign", "endpoint", "wid"]}
+    assert not any(tok in r["text"] for r in secrets.redact(df).collect())
+
+
 def test_redaction_keeps_columns_and_other_text(docs):
     before = sorted(map(tuple, docs.collect()), key=repr)
     after = secrets.redact(docs)
