@@ -42,6 +42,7 @@ NAMES = re.compile(
 TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>"']|"[^"]*"|'[^']*')*)>""", re.S)
 MARKER = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>]+))?""", re.I)
 CLOSE_ITEM = {"li": ("li", ("ul", "ol", "menu")), "dt": ("dt dd", ("dl",)), "dd": ("dt dd", ("dl",)), "tr": ("tr td th", ("table",)), "td": ("td th", ("tr", "table")), "th": ("td th", ("tr", "table")), "option": ("option", ("select",))}
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 SHARE = 0.25
 
 
@@ -156,11 +157,6 @@ def extract(page: str | None) -> str:
     if not page:
         return ""
     items = [x for x in blocks(page) if not x[2]]
-    for root in ("article", "main"):
-        inside = [x for x in items if any(t.split(".")[0] == root for t in x[0])]
-        if inside:
-            items = inside
-            break
     if not items:
         return ""
     scores = path_scores(items)
@@ -171,11 +167,16 @@ def extract(page: str | None) -> str:
     weight: dict[tuple[str, ...], int] = {}
     for path, said, _ in items:
         if path in chosen:
-            for k in range(len(path) + 1):
+            for k in range(len(path)):
                 weight[path[:k]] = weight.get(path[:k], 0) + len(said)
     most = weight.get((), 0)
-    home = max((p for p, n in weight.items() if n >= 0.8 * most and p not in scores), key=len, default=())
-    return " ".join(said for path, said, _ in items if path in chosen or (home and path[: len(home)] == home))
+    home = max((p for p, n in weight.items() if n >= 0.8 * most), key=len, default=())
+
+    def belongs(path: tuple[str, ...]) -> bool:
+        rest = path[len(home) :]
+        return bool(home) and path[: len(home)] == home and (len(rest) < 2 or rest[-1].split(".")[0] in HEADINGS)
+
+    return " ".join(said for path, said, _ in items if path in chosen or belongs(path))
 
 
 def extract_pages(pages: DataFrame, page_id: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:

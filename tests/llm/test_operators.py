@@ -276,6 +276,13 @@ def test_pages(spark):
     assert html.extract_pages(df.limit(0)).count() == 0
 
 
+def test_ratios_choose_the_text_whatever_its_container():
+    body = "".join(f"<p>A long paragraph, number {k}, of the story; it has much text, and marks. It goes on, and on.</p>" for k in range(8))
+    page = f"<body><article><h2>Teaser</h2><p>Read more</p></article><div class=story><h1>Head</h1>{body}<span>odd</span></div></body>"
+    got = html.extract(page)
+    assert got.startswith("Head A long paragraph, number 0") and got.count("number") == 8 and "Teaser" not in got and "Read more" not in got
+
+
 # --------------------------------------------------------------------------- 6 decontamination
 def test_decontamination(spark, docs, nothing):
     item = prose(40)
