@@ -4,11 +4,13 @@ A page is read as a list of text blocks, each with the path of block-level tags
 from the root.  Per tag path the text length, the number of blocks and the punctuation are summed.  Two
 ratios follow: text length per block, and punctuation per block; both are smoothed along the paths in
 page order and fused by their product.  Paths that reach a share of the page's deviation are
-content.  The container that most content text shares then decides about short blocks: headings and
-the like directly inside it belong to the article.
+content.  The container that most content text shares then decides about short blocks: what stands directly inside it,
+and headings anywhere inside it, belong to the article.  An <article> or <main> has no say of its own.
 
 Text of blocks that can't be article text by their tag or class (menus, headers, footers, sidebars, notices,
-adverts, forms, scripts, styles, reader comments) never enters a path's sums.
+adverts, forms, scripts, styles, reader comments) never enters a path's sums.  A class or id counts only as a
+whole name, never on the page's frame (html, body, main, article) nor on what holds ``MOST`` of the text; if all
+blocks are barred, the ratios decide among all.
 
 Defined cases: null or empty html gives an empty text; a page without markup is one block; broken and
 unclosed tags are closed as browsers do; repeated rows give equal results; an empty table gives no rows;
@@ -35,28 +37,35 @@ INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font
 CLOSES_P = frozenset("address article aside blockquote center details div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr main menu nav ol p pre section table ul".split())
 BARRED = frozenset("nav header footer aside form button dialog menu head".split())
 MARKS = frozenset(".,;:!?…。，、；：！？")
+# whole class names and ids; parts of longer names say nothing ("no-sidebar" is a layout)
 NAMES = re.compile(
-    r"(?:^|[\s_-])(?:ads?|advert\w*|banner|sponsor\w*|promo\w*|comments?|commentlist|respond|disqus|replies|sidebar|side|rail|widget\w*|menu|nav\w*|breadcrumbs?|footer|foot|header|masthead|topbar|cookies?\w*|consent|gdpr|notices?|popup|modal|overlay|newsletter|subscribe|subscription|signup|login|search|share|sharing|social|related|recommend\w*|more-stories|pagination|pager|toolbar|skip|hidden|legal|copyright|disclaimer)(?:$|[\s_-])",
+    r"(?:ads?|advert\w*|banner|sponsor\w*|promo\w*|comments?|commentlist|respond|disqus|replies|sidebar|side|rail|widget\w*|menu|nav\w*|breadcrumbs?|footer|foot|header|masthead|topbar|consent|gdpr|notices?|popup|modal|overlay|newsletter|subscribe|subscription|signup|login|search|share|sharing|social|related|recommend\w*|more-stories|pagination|pager|toolbar|skip|hidden|legal|copyright|disclaimer"
+    r"|(?:cookies?|ads?|advert|sponsored|promo|popup|newsletter)(?:[_-]\w+)*"
+    r"|(?:site|page|main|top|global|primary|secondary|left|right)[_-](?:header|footer|nav\w*|menu|sidebar)"
+    r"|(?:comments?|related|share|social|nav|menu|sidebar|widget|footer|breadcrumbs?|search)[_-](?:list|area|section|posts?|articles?|stories|links?|buttons?|bar|box|form|menu|left|right))",
     re.I,
 )
+UNNAMED = frozenset("html body main article".split())  # never barred for their names
+MOST = 0.8
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>"']|"[^"]*"|'[^']*')*)>""", re.S)
 MARKER = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>]+))?""", re.I)
 CLOSE_ITEM = {"li": ("li", ("ul", "ol", "menu")), "dt": ("dt dd", ("dl",)), "dd": ("dt dd", ("dl",)), "tr": ("tr td th", ("table",)), "td": ("td th", ("tr", "table")), "th": ("td th", ("tr", "table")), "option": ("option", ("select",))}
-HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 SHARE = 0.25
 
 
 def blocks(page: str) -> list[tuple[tuple[str, ...], str, bool]]:
     """(tag path, text, barred) of each block with text, in page order."""
-    out: list[tuple[tuple[str, ...], str, bool]] = []
-    stack: list[tuple[str, str, bool]] = []  # tag, tag with class, barred
+    found: list[tuple[tuple[str, ...], str, bool, list[int]]] = []
+    stack: list[tuple[str, str, bool, int]] = []  # tag, tag with class, barred, number if barred for its name
     text: list[str] = []
+    named = 0
 
     def close_block() -> None:
         if text:
             said = " ".join("".join(text).split())
             if said:
-                out.append((tuple(x[1] for x in stack), said, any(x[2] for x in stack)))
+                found.append((tuple(x[1] for x in stack), said, any(x[2] for x in stack), [x[3] for x in stack if x[3]]))
             text.clear()
 
     def pop_to(names: tuple[str, ...], stop: tuple[str, ...] = ()) -> None:
@@ -88,7 +97,7 @@ def blocks(page: str) -> list[tuple[tuple[str, ...], str, bool]]:
         if tag in INLINE:
             if tag == "br":
                 text.append(" ")
-            elif not closing and m.group(3) and _barred(m.group(3)):
+            elif not closing and m.group(3) and (_barred(m.group(3)) or _named(m.group(3))):
                 # an inline element that is hidden or an advert: its text is left out
                 shut = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
                 at = shut.end() if shut else at
@@ -107,9 +116,18 @@ def blocks(page: str) -> list[tuple[tuple[str, ...], str, bool]]:
         if m.group(3).rstrip().endswith("/") and ":" in tag:
             continue
         mark = " ".join(a.lower() for k, a in _marks(m.group(3)) if k == "class")
-        stack.append((tag, f"{tag}.{mark}" if mark else tag, tag in BARRED or _barred(m.group(3))))
+        by_name = tag not in UNNAMED and _named(m.group(3))
+        named += by_name
+        stack.append((tag, f"{tag}.{mark}" if mark else tag, tag in BARRED or _barred(m.group(3)), named if by_name else 0))
     close_block()
-    return out
+    # a name does not bar what holds most of the text
+    total, inside = 0, [0] * (named + 1)
+    for _, said, barred, names in found:
+        if not barred:
+            total += len(said)
+            for k in names:
+                inside[k] += len(said)
+    return [(path, said, barred or any(inside[k] < MOST * total for k in names)) for path, said, barred, names in found]
 
 
 def _marks(attributes: str) -> list[tuple[str, str]]:
@@ -120,13 +138,15 @@ def _barred(attributes: str) -> bool:
     for k, v in _marks(attributes):
         if k == "hidden" or (k == "aria-hidden" and v.lower() == "true"):
             return True
-        if k in ("class", "id") and NAMES.search(v):
-            return True
         if k == "role" and v.lower() in ("navigation", "banner", "contentinfo", "complementary", "search", "form", "dialog", "alert", "menu"):
             return True
     return False
 
 
+def _named(attributes: str) -> bool:
+    return any(k in ("class", "id") and any(map(NAMES.fullmatch, v.split())) for k, v in _marks(attributes))
+
+
 def smooth(xs: list[float], radius: int = 1) -> list[float]:
     """Gaussian means over neighbours; the ends use what there is."""
     w = [math.exp(-(d * d) / (2 * radius * radius)) for d in range(-radius, radius + 1)]
@@ -156,7 +176,8 @@ def extract(page: str | None) -> str:
     """Main text of one page."""
     if not page:
         return ""
-    items = [x for x in blocks(page) if not x[2]]
+    every = blocks(page)
+    items = [x for x in every if not x[2]] or every
     if not items:
         return ""
     scores = path_scores(items)

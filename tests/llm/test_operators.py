@@ -283,6 +283,15 @@ def test_ratios_choose_the_text_whatever_its_container():
     assert got.startswith("Head A long paragraph, number 0") and got.count("number") == 8 and "Teaser" not in got and "Read more" not in got
 
 
+def test_layout_names_bar_nothing():
+    body = "".join(f"<p>A long paragraph, number {k}, of the story; it has much text, and marks.</p>" for k in range(4))
+    for mark in ('class="no-sidebar"', 'class="page has-sidebar header-fixed"', 'id="search-results"', 'id="legal-text"', 'class="search"', 'class="content-with-sidebar"'):
+        for page in (f"<html {mark}><body>{body}</body></html>", f"<body {mark}>{body}</body>", f"<body><div {mark}>{body}</div></body>", f"<body><div {mark}>{body}<div class='sidebar'><p>Side, text.</p></div></div></body>"):
+            got = html.extract(page)
+            assert got.count("number") == 4 and "Side" not in got, page
+    assert html.extract("<nav><p>All, there is.</p></nav>") == "All, there is."
+
+
 # --------------------------------------------------------------------------- 6 decontamination
 def test_decontamination(spark, docs, nothing):
     item = prose(40)
