@@ -5,7 +5,6 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
-import itertools
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -196,12 +195,15 @@ class ExactEncoder:
     """Byte-level BPE of whole texts, each distinct word form of a slice encoded once.
 
     A pre-token of this vocabulary always begins at a single space or line feed between two
-    other characters, so a text may be cut there and its pieces encoded alone.  Texts with
-    white space beside white space are encoded whole.  Pieces are encoded many at a time,
-    joined by line feeds, which are tokens of their own there."""
+    other characters, so a text may be cut before it and its pieces encoded alone.  Texts with
+    white space beside white space are encoded whole.  Pieces are encoded many at a time, each
+    led by a line feed, which is a token of its own there.
+
+    Forms already encoded are kept in flat arrays, sorted by hash: at most ``_cached`` of them, some 40
+    bytes each.  A form is known only if its bytes are equal, not just its hash."""
 
     _joined = 1024
-    _cached = 700_000
+    _cached = 1_000_000
 
     def __init__(self, path: str):
         import os
@@ -210,8 +212,12 @@ class ExactEncoder:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self._index: dict[str, int] = {}
-        self._ids, self._at, self._len = np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self._fast = getattr(self.tok, "encode_batch_fast", self.tok.encode_batch)
+        # by form, in order of hash: hash, first byte, bytes, first id, ids
+        self._hash = np.zeros(0, np.uint64)
+        self._from, self._size = np.zeros(0, np.int32), np.zeros(0, np.int32)
+        self._at, self._len = np.zeros(0, np.int32), np.zeros(0, np.int32)
+        self._bytes, self._ids = np.zeros(0, np.uint8), np.zeros(0, np.uint32)
         probe = self.tok.encode("\n", add_special_tokens=False).ids
         self.line_feed = probe[0] if len(probe) == 1 else None
         self._check()
@@ -219,14 +225,13 @@ class ExactEncoder:
     def _check(self) -> None:
         """Cutting is used only where it holds for the vocabulary at hand."""
         text = "Ab, c'd  é\nF-1 \tg %% 22 h.\n\nI x"
-        got = self.line_feed is not None and self._cut_ok([" Ab,", " c'd", " é", " 22%%"])
+        got = self.line_feed is not None and self._cut_ok([" Ab,", " c'd", " é", " 22%%"]) and self._cut_ok(["I'm"]) and self._cut_ok(["22"])
         self.can_cut = bool(got) and self.tok.encode(text, add_special_tokens=False).ids == self.encode_one(text)
 
     def _cut_ok(self, pieces: list[str]) -> bool:
         whole = self.tok.encode("".join(pieces), add_special_tokens=False).ids
-        joined = self.tok.encode("\n".join(pieces), add_special_tokens=False).ids
-        alone = [self.tok.encode(p, add_special_tokens=False).ids for p in pieces]
-        flat = [i for p in alone for i in p]
+        joined = self.tok.encode("".join("\n" + p for p in pieces), add_special_tokens=False).ids
+        flat = [i for p in pieces for i in self.tok.encode(p, add_special_tokens=False).ids]
         return whole == flat and [i for i in joined if i != self.line_feed] == flat
 
     def encode_one(self, text: str) -> list[int]:
@@ -236,84 +241,119 @@ class ExactEncoder:
         """(ids uint32, offsets) of the texts of a column; null reads as empty."""
         texts = pc.fill_null(column, "").cast(pa.large_string())
         n = len(texts)
-        if n == 0:
-            return np.zeros(0, np.uint32), np.zeros(1, np.int64)
-        whole = np.zeros(n, bool)
+        raw, off = flat_text(texts)
+        if n == 0 or len(raw) == 0:
+            return np.zeros(0, np.uint32), np.zeros(n + 1, np.int64)
         if self.can_cut:
             whole = pc.match_substring_regex(texts, r"[\p{Z}\s\x00-\x1f\x85][ \n]|^[ \n]|[ \n]$").to_numpy(zero_copy_only=False)
         else:
-            whole[:] = True
-        parts = pc.split_pattern(pc.replace_substring(pc.if_else(pa.array(whole), "", texts), "\n", " \n"), " ")
-        counts = pc.list_value_length(parts).to_numpy(zero_copy_only=False).astype(np.int64)
-        coded = parts.flatten().dictionary_encode()
-        code = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
-        forms = coded.dictionary
-        begin = np.cumsum(counts) - counts
-        # first pieces have no space before them; whole texts are pieces of their own
-        first = texts.take(pa.array(np.flatnonzero(whole))).to_pylist()
-        plain = np.flatnonzero(~whole)
-        heads = forms.take(pa.array(code[begin[plain]])).to_pylist()
-        ids, at, lens = self._encode_forms(forms, [*heads, *first])
-        base = len(forms)
-        code = code.copy()
-        code[begin[plain]] = base + np.arange(len(plain))
-        code[begin[np.flatnonzero(whole)]] = base + len(plain) + np.arange(int(whole.sum()))
-        out = ids[gather(at[code], lens[code])]
-        per_text = np.add.reduceat(lens[code], begin) if len(code) else np.zeros(n, np.int64)
-        return out, np.concatenate([[0], np.cumsum(per_text)]).astype(np.int64)
-
-    def _encode_forms(self, forms: pa.Array, others: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(ids, at, lengths) of the forms with a space before each, and of others as they are.
-        Forms seen before come from a cache of at most ``_cached`` forms."""
-        words = forms.to_pylist()
-        known = np.fromiter(map(self._index.get, words, itertools.repeat(-1)), np.int64, len(words))
-        fresh = np.flatnonzero(known < 0)
-        new = [words[i] for i in fresh.tolist()]
-        spaced = np.zeros(len(new), bool)
-        if new:
-            col = pa.array(new, pa.large_string())
-            spaced = pc.match_substring_regex(col, r"[\p{Z}\s\x00-\x1f\x85]|<\|").to_numpy(zero_copy_only=False)
-            spaced |= pc.equal(pc.binary_length(col), 0).to_numpy(zero_copy_only=False)
-            led = pc.match_substring_regex(col, r"^\n[^\p{Z}\s\x00-\x1f\x85]+$").to_numpy(zero_copy_only=False)
-            led &= ~pc.match_substring(col, "<|").to_numpy(zero_copy_only=False)
-        fast = getattr(self.tok, "encode_batch_fast", self.tok.encode_batch)
-        lens = np.zeros(len(new) + len(others), np.int64)
-        easy_len, chunks, done = [], [], []
-        # forms after a space are joined by line feeds, which are dropped again; forms after a
-        # line feed bring their own, which stays
-        for chosen, glue, keep in ((np.flatnonzero(~spaced), "\n ", 0), (np.flatnonzero(led), "", 1)) if new else ():
-            forms_ = [new[i] for i in chosen.tolist()]
-            groups = [forms_[a : a + self._joined] for a in range(0, len(forms_), self._joined)]
-            done.append(chosen)
-            for enc in fast([" " * (not keep) + glue.join(g) for g in groups], add_special_tokens=False) if groups else []:
+            whole = np.ones(n, bool)
+        edge = (raw == 0x20) | (raw == 0x0A)
+        edge &= ~np.repeat(whole, np.diff(off))
+        edge[off[:-1][np.diff(off) > 0]] = True
+        start = np.flatnonzero(edge)
+        end = np.append(start[1:], len(raw))
+        first = np.searchsorted(start, off)
+        coded = pa.array(range_hash(prefix_hash(raw), start, end)).dictionary_encode()
+        code = coded.indices.to_numpy(zero_copy_only=False)
+        where = np.empty(len(coded.dictionary), np.int64)
+        where[code[::-1]] = np.arange(len(code) - 1, -1, -1)
+        size = end - start
+        if (size != size[where[code]]).any() or (raw[gather(start[where[code]], size)] != raw).any():
+            lists = [e.ids for e in self._fast(texts.to_pylist(), add_special_tokens=False)]  # two forms share a hash
+            lens = np.array([len(x) for x in lists], np.int64)
+            return np.array([i for x in lists for i in x], np.uint32), np.concatenate([[0], np.cumsum(lens)])
+        alone = np.repeat(whole, np.diff(first))[where]
+        ids, at, lens = self._forms(raw, coded.dictionary.to_numpy(zero_copy_only=False), start[where], size[where], alone)
+        per_piece = lens[code]
+        total = np.concatenate([[0], np.cumsum(per_piece)])
+        return ids[gather(at[code], per_piece)], total[first]
+
+    def _forms(self, raw: np.ndarray, h: np.ndarray, start: np.ndarray, size: np.ndarray, alone: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(ids, at, lengths) of distinct forms; ``alone`` are whole texts, which are not kept."""
+        at, lens = np.zeros(len(h), np.int64), np.zeros(len(h), np.int64)
+        pos = np.searchsorted(self._hash, h)
+        known = np.zeros(len(h), bool)
+        inside = np.flatnonzero(pos < len(self._hash))
+        inside = inside[(self._hash[pos[inside]] == h[inside]) & (self._size[pos[inside]] == size[inside])]
+        if len(inside):
+            n = size[inside]
+            same = raw[gather(start[inside], n)] == self._bytes[gather(self._from[pos[inside]].astype(np.int64), n)]
+            inside = inside[np.logical_and.reduceat(same, np.cumsum(n) - n)]
+            known[inside] = True
+        old = pos[inside]
+        lens[inside] = self._len[old]
+        at[inside] = np.cumsum(lens[inside]) - lens[inside]
+        have = self._ids[gather(self._at[old].astype(np.int64), lens[inside])]
+        new = np.flatnonzero(~known)
+        if not len(new):
+            return have, at, lens
+        ids, lens[new] = self._encode_new(raw, start[new], size[new], alone[new])
+        at[new] = len(have) + np.cumsum(lens[new]) - lens[new]
+        self._keep(raw, h, start, size, new, alone, ids, at - len(have), lens)
+        return np.concatenate([have, ids]), at, lens
+
+    def _encode_new(self, raw: np.ndarray, start: np.ndarray, size: np.ndarray, alone: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        forms = _strings(raw[gather(start, size)], size)
+        easy = pc.match_substring_regex(forms, r"^[ \n]?[^\p{Z}\s\x00-\x1f\x85]+$").to_numpy(zero_copy_only=False)
+        easy &= ~pc.match_substring(forms, "<|").to_numpy(zero_copy_only=False) & ~alone
+        lens = np.zeros(len(start), np.int64)
+        chunks, done = [], []
+        simple = np.flatnonzero(easy)
+        own = raw[start] == 0x0A  # brings its line feed, which stays
+        for a in range(0, len(simple), self._joined * 16):
+            some = simple[a : a + self._joined * 16]
+            lead = np.where(own[some], 0, 1)
+            size_ = size[some] + lead
+            out = np.full(int(size_.sum()), 0x0A, np.uint8)
+            begin = np.cumsum(size_) - size_
+            out[gather(begin + lead, size[some])] = raw[gather(start[some], size[some])]
+            cuts = [*begin[:: self._joined].tolist(), len(out)]
+            for k, enc in enumerate(self._fast([out[x:y].tobytes().decode() for x, y in zip(cuts, cuts[1:], strict=False)], add_special_tokens=False)):
+                part = some[k * self._joined : (k + 1) * self._joined]
                 got = np.array(enc.ids, np.uint32)
                 feeds = np.flatnonzero(got == self.line_feed)
-                edges = np.concatenate([feeds, [len(got)]]) if keep else np.concatenate([[-1], feeds, [len(got)]])
-                easy_len.append(np.diff(edges) - (not keep))
-                chunks.append(got if keep else got[got != self.line_feed])
-        hard = np.flatnonzero(spaced & ~led) if new else np.zeros(0, np.int64)
-        odd = [new[i] if new[i][:1] == "\n" else " " + new[i] for i in hard.tolist()] + others
-        lists = [e.ids for e in fast(odd, add_special_tokens=False)] if odd else []
+                if len(feeds) != len(part):
+                    easy[part] = False  # encoded one by one below
+                    continue
+                drop = ~own[part]
+                lens[part] = np.diff(np.append(feeds, len(got))) - drop
+                stay = np.ones(len(got), bool)
+                stay[feeds[drop]] = False
+                chunks.append(got[stay])
+                done.append(part)
+        hard = np.flatnonzero(~easy)
+        lists = [e.ids for e in self._fast(forms.take(pa.array(hard)).to_pylist(), add_special_tokens=False)] if len(hard) else []
+        lens[hard] = [len(x) for x in lists]
         chunks += [np.array(x, np.uint32) for x in lists]
-        order = np.concatenate([*done, hard, len(new) + np.arange(len(others))]).astype(np.int64)
-        src_len = np.concatenate([*easy_len, np.array([len(x) for x in lists], np.int64)])
-        lens[order] = src_len
-        at = np.empty(len(lens), np.int64)
-        at[order] = np.cumsum(src_len) - src_len
-        ids = np.concatenate([self._ids, *chunks])
-        at += len(self._ids)
-        form_at, form_len = np.empty(len(words), np.int64), np.empty(len(words), np.int64)
-        old = np.flatnonzero(known >= 0)
-        form_at[old], form_len[old] = self._at[known[old]], self._len[known[old]]
-        form_at[fresh], form_len[fresh] = at[: len(new)], lens[: len(new)]
-        room = self._cached - len(self._index)
-        if room > 0 and new:
-            new, k = new[:room], min(room, len(new))
-            self._index.update(zip(new, range(len(self._at), len(self._at) + k), strict=True))
-            self._at = np.concatenate([self._at, len(self._ids) + np.cumsum(lens[:k]) - lens[:k]])
-            self._len = np.concatenate([self._len, lens[:k]])
-            self._ids = np.concatenate([self._ids, ids[gather(at[:k], lens[:k])]])
-        return ids, np.concatenate([form_at, at[len(fresh) :]]), np.concatenate([form_len, lens[len(fresh) :]])
+        order = np.concatenate([*done, hard]).astype(np.int64)
+        ids = np.concatenate(chunks) if chunks else np.zeros(0, np.uint32)
+        at = np.empty(len(start), np.int64)
+        at[order] = np.cumsum(lens[order]) - lens[order]
+        return ids[gather(at, lens)], lens
+
+    def _keep(self, raw: np.ndarray, h: np.ndarray, start: np.ndarray, size: np.ndarray, new: np.ndarray, alone: np.ndarray, ids: np.ndarray, at: np.ndarray, lens: np.ndarray) -> None:
+        take = new[~alone[new] & (size[new] < 256)][: max(self._cached - len(self._hash), 0)]
+        take = take[np.argsort(h[take])]
+        where = np.searchsorted(self._hash, h[take])
+        if len(self._hash):  # another form with the same hash stays
+            free = self._hash[np.minimum(where, len(self._hash) - 1)] != h[take]
+            take, where = take[free], where[free]
+        if not len(take):
+            return
+        n, m = size[take], lens[take]
+        put = lambda old, x: np.insert(old, where, x.astype(old.dtype))
+        self._from = put(self._from, len(self._bytes) + np.cumsum(n) - n)
+        self._at = put(self._at, len(self._ids) + np.cumsum(m) - m)
+        self._hash, self._size, self._len = put(self._hash, h[take]), put(self._size, n), put(self._len, m)
+        self._bytes = np.concatenate([self._bytes, raw[gather(start[take], n)]])
+        self._ids = np.concatenate([self._ids, ids[gather(at[take], m)]])
+
+
+def _strings(raw: np.ndarray, size: np.ndarray) -> pa.Array:
+    """Strings of the given sizes, one after another in ``raw``."""
+    offsets = np.concatenate([[0], np.cumsum(size)]).astype(np.int64)
+    return pa.Array.from_buffers(pa.large_string(), len(size), [None, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(raw))])
 
 
 _encoders: dict[str, ExactEncoder] = {}
