@@ -36,7 +36,7 @@ BASE_KINDS = (
 )
 WEAK_KINDS = (
     ("wid", r"""(?i:\b(?:access|client|account|user|app|aws)[_-]?(?:access[_-]?)?(?:key[_-]?)?(?:id|name))["']?\x20*[:=]\x20*["']?[A-Za-z0-9._@-]{4,}""", 0, 8),
-    ("wsecret", r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_-]{0,64}[0-9])(?=[A-Z0-9+/_-]{0,64}[a-z])(?=[a-z0-9+/_-]{0,64}[A-Z])[A-Za-z0-9+/_-]{24,}={0,2}", 0, 24),
+    ("wsecret", r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_-]*+[0-9])(?=[A-Z0-9+/_-]*+[a-z])(?=[a-z0-9+/_-]*+[A-Z])[A-Za-z0-9+/_-]{24,}={0,2}", 0, 24),
     ("endpoint", r"""\b(?:https?|wss?|ftp|sftp|ssh|amqp|redis|mongodb|postgres|mysql|jdbc:[a-z]+)://[^\s"'<>]+""", 0, 8),
 )
 KINDS = [k for k, *_ in (*BASE_KINDS, *WEAK_KINDS)]
