@@ -16,6 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 #: Texts are handled in slices of about so many bytes, which bounds a worker's memory.
 SLICE_BYTES = 2 << 20
+SHUFFLE_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
 # --------------------------------------------------------------------------- storage
@@ -38,7 +39,12 @@ def cut(df: DataFrame, name: str) -> DataFrame:
     executor never replays what stands before."""
     spark = df.sparkSession
     path = new_path(spark, name)
-    df.write.parquet(path)
+    before = spark.conf.get(SHUFFLE_CLEANUP, None)
+    spark.conf.set(SHUFFLE_CLEANUP, "true")  # the table is what is read from now on, so its shuffles go at once
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(SHUFFLE_CLEANUP) if before is None else spark.conf.set(SHUFFLE_CLEANUP, before)
     out = spark.read.schema(df.schema).parquet(path)
     out.shared_path = path
     return out
