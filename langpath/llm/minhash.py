@@ -12,9 +12,12 @@ without listing pairs of what is already linked:
 
 1. each class is checked against the smallest class of its buckets;
 2. in buckets with several components left, each class outside the bucket's largest component is
-   checked against a pseudo-random member, another one in each bucket; a quarter of the buckets at a time;
-3. what then still lies outside its bucket's largest component is checked against all
-   classes of the bucket in other components.
+   checked against a pseudo-random member, another one in each bucket; a quarter of the buckets at a time, and of each
+   class and component one pair that the bounds below allow;
+3. what then still lies outside its bucket's largest component is checked against all classes it shares a table with in other
+   components.  Here a table is met by its factors: both classes have one key of either collection in common, so a class
+   needs ``TABLES`` rows and not the square.  One pair of each class and other component goes first; what that links needs
+   no further check.
 
 Pairs are checked on full shingle sets only if two exact bounds allow the similarity: the sizes
 of the sets, and the parity sketch.  The sketch has one bit per bin of hashes, the parity of the set's
@@ -122,20 +125,45 @@ def sets_of(docs: DataFrame, wanted: DataFrame, words: int, doc_id: str, text: s
     return one.dropDuplicates(["class"])
 
 
-def _buckets(classes: DataFrame) -> DataFrame:
-    """(key, class, lead) of all tables in which a class is not alone; of buckets with the same members one."""
+def _buckets(classes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(key, class, lead) of all tables in which a class is not alone, of buckets with the same members one; and the
+    shared keys (class, a, b) that table keys are made from."""
     tagged = classes.select("class", F.posexplode("keys").alias("t", "k"))
     shared = tagged.groupBy("k").agg(F.count("*").alias("c")).where("c > 1").select("k")
     alive = tagged.join(shared, "k").groupBy("class").agg(
         F.collect_list(F.when(F.col("t") < TABLES, F.col("k"))).alias("a"), F.collect_list(F.when(F.col("t") >= TABLES, F.col("k"))).alias("b")
     )
+    alive = common.cut(alive.where((F.size("a") > 0) & (F.size("b") > 0)), "mh-alive")
     pair = F.flatten(F.transform("a", lambda x: F.transform("b", lambda y: F.xxhash64(x, y))))
-    rows = common.cut(alive.where((F.size("a") > 0) & (F.size("b") > 0)).select("class", F.explode(pair).alias("key")), "mh-keys")
+    rows = common.cut(alive.select("class", F.explode(pair).alias("key")), "mh-keys")
     full = rows.groupBy("key").agg(F.count("*").alias("c"), F.sum(F.xxhash64("class").cast("decimal(38,0)")).alias("who"), F.min("class").alias("lead")).where("c > 1")
     chosen = full.groupBy("c", "who").agg(F.min("key").alias("key"), F.first("lead").alias("lead"))
     out = common.cut(rows.join(chosen.select("key", "lead"), "key"), "mh-buckets")
     common.drop_cut(rows)
-    return out
+    return out, alive
+
+
+def _mixed(buckets: DataFrame, label: DataFrame) -> DataFrame:
+    """(key, class, root, main) of the buckets with several components, lazily; main is the largest."""
+    at = buckets.select("key", "class").join(label, "class")
+    sized = at.groupBy("key", "root").agg(F.count("*").alias("c"))
+    main = sized.groupBy("key").agg(F.count("*").alias("roots"), F.max_by("root", F.struct("c", "root")).alias("main")).where("roots > 1").select("key", "main")
+    return at.join(main, "key")
+
+
+def _one_each(pairs: DataFrame) -> DataFrame:
+    """One pair of each class and other component."""
+    return pairs.groupBy("x", "ry").agg(F.min_by("y", F.xxhash64("x", "y")).alias("y"))
+
+
+def _advance(pairs: DataFrame, label: DataFrame, tested: DataFrame, sets: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
+    """Check the pairs not tested before: components after it, and all tested pairs."""
+    fresh = common.cut(_ordered(pairs).join(tested, ["x", "y"], "left_anti"), "mh-tested")
+    links = common.cut(_checked(fresh, sets, percent), "mh-links")
+    new = _relabel(label, links)
+    both = common.cut(tested.union(fresh), "mh-tested")
+    common.drop_cut(fresh, links, label, tested)
+    return new, both
 
 
 def _described(members: DataFrame, end: str) -> DataFrame:
@@ -177,9 +205,10 @@ def link(docs: DataFrame, words: int = SHINGLE_WORDS, percent: int = PERCENT, do
     feats = common.cut(features(docs, words, doc_id, text), "mh-features")
     classes = feats.where("n_shingles > 0").groupBy("class").agg(F.min("doc_id").alias("who"), F.min("n_shingles").alias("n"), F.first("keys").alias("keys"), F.first("sketch").alias("sketch"))
     classes = common.cut(classes, "mh-classes")
-    buckets = _buckets(classes)
+    buckets, alive = _buckets(classes)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    members = common.cut(classes.select("class", "who", "n", "sketch").join(buckets.select("class").distinct(), "class"), "mh-members")
+    members = common.cut(classes.select("class", "who", "n", "sketch").join(alive, "class").join(buckets.select("class").distinct(), "class"), "mh-members")
+    common.drop_cut(alive)
     sets = sets_of(docs, members, words, doc_id, text).repartition(parts, "class").persist(StorageLevel.DISK_ONLY)
     possible, x, y = _possible(percent), _described(members, "x"), _described(members, "y")
 
@@ -190,31 +219,32 @@ def link(docs: DataFrame, words: int = SHINGLE_WORDS, percent: int = PERCENT, do
     label = _relabel(members.select("class", F.col("class").alias("root")), links)
     common.drop_cut(links)
 
-    # 2. pseudo-random members of the largest component of mixed buckets; 3. all that is left
-    for share in (0, 1, 2, None):
-        last = share is None
-        # a quarter of the keys each time is enough to link most of a group; the last time takes all
-        some = buckets if last else buckets.where(F.pmod(F.xxhash64("key"), F.lit(4)) == share)
-        at = some.select("key", "class").join(label, "class")
-        sized = at.groupBy("key", "root").agg(F.count("*").alias("c"))
-        main = sized.groupBy("key").agg(F.count("*").alias("roots"), F.max_by("root", F.struct("c", "root")).alias("main")).where("roots > 1").select("key", "main")
-        mixed = common.cut(at.join(main, "key"), "mh-mixed")
+    # 2. pseudo-random members of the largest component of mixed buckets, a quarter of the buckets at a time
+    for share in range(3):
+        mixed = common.cut(_mixed(buckets.where(F.pmod(F.xxhash64("key"), F.lit(4)) == share), label), "mh-mixed")
         out = mixed.where("root <> main").select("key", F.col("class").alias("x"), F.col("root").alias("rx")).join(x, "x")
-        ends = mixed.select("key", F.col("class").alias("y"), F.col("root").alias("ry"), "main")
-        if not last:
-            ends = ends.where("ry = main").groupBy("key").agg(F.min_by(F.struct("y", "ry"), F.xxhash64("y", "key", "main")).alias("e")).select("key", "e.*")
-        pairs = out.join(ends.join(y, "y"), "key").where(possible & (F.col("rx") != F.col("ry")))
-        fresh = common.cut(_ordered(pairs).join(tested, ["x", "y"], "left_anti"), "mh-tested")
-        links = common.cut(_checked(fresh, sets, percent), "mh-links")
-        new = _relabel(label, links)
-        both = common.cut(tested.union(fresh), "mh-tested")
-        common.drop_cut(mixed, fresh, links, label, tested)
-        label, tested = new, both
+        ends = mixed.where("root = main").select("key", F.col("class").alias("y"), F.col("root").alias("ry"), "main")
+        ends = ends.groupBy("key").agg(F.min_by(F.struct("y", "ry"), F.xxhash64("y", "key", "main")).alias("e")).select("key", "e.*")
+        label, tested = _advance(_one_each(out.join(ends.join(y, "y"), "key").where(possible)), label, tested, sets, percent)
+        common.drop_cut(mixed)
+
+    # 3. what still lies outside: first one pair of each class and component, then all pairs
+    for every in (False, True):
+        opened = common.cut(_mixed(buckets, label).where("root <> main").select("class").distinct(), "mh-open")
+        named = members.select("class", "a", "b").join(label, "class")
+        out = named.join(opened, "class").select(F.explode("a").alias("k"), F.col("class").alias("x"), F.col("root").alias("rx"), F.col("b").alias("bx"))
+        out = common.cut(out, "mh-out")
+        ends = named.select(F.explode("a").alias("k"), F.col("class").alias("y"), F.col("root").alias("ry"), F.col("b").alias("by"))
+        ends = ends.join(out.select("k").distinct(), "k", "left_semi")
+        met = out.join(x, "x").join(ends.join(y, "y"), "k").where(possible & (F.col("rx") != F.col("ry")) & F.arrays_overlap("bx", "by"))
+        label, tested = _advance(met if every else _one_each(met), label, tested, sets, percent)
+        common.drop_cut(opened, out)
     sets.unpersist()
     common.drop_cut(buckets, members, tested)
 
     named = classes.select("class", "who").join(label, "class", "left").withColumn("root", F.coalesce("root", "class"))
-    least = named.groupBy("root").agg(F.min("who").alias("component_id"))
+    # a table of its own, so that a root with very many classes can be split when both meet
+    least = common.cut(named.groupBy("root").agg(F.min("who").alias("component_id")), "mh-least")
     of_class = named.join(least, "root").select("class", "component_id")
     rows = feats.select("doc_id", "n_shingles", "class").join(of_class, "class", "left")
     return rows.select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
