@@ -15,6 +15,9 @@ suffixes that can share so long a string.
    its neighbour there and LPF >= LENGTH; the first has no earlier match so long and is the one to keep.  Only groups of
    over ``HOT`` contexts have no suffix order: they are split by the 64-bit hash of the LENGTH bytes.
 
+The same is done at a second depth, ``PASSAGE`` bytes, to find passages: the longest stretches made of strings of that length
+that occur elsewhere, if they hold more than ``PASSAGE_WORDS`` words.  They are reported, not removed.
+
 Texts that equal others as a whole take part once.  ``keep="first"`` removes later copies only; ``keep="none"`` removes
 all occurrences, the first included.
 
@@ -36,6 +39,7 @@ from pyspark.sql import functions as F
 from . import common
 
 LENGTH, GRAM, HOT = 400, 128, 32_768
+PASSAGE, PASSAGE_GRAM, PASSAGE_WORDS = 200, 96, 50
 SEGMENT = 4 << 20
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
 NO_ID = (1 << 63) - 1
@@ -84,6 +88,9 @@ def lpf_array(text: bytes) -> np.ndarray:
 
 
 # --------------------------------------------------------------------------- anchors
+Depths = tuple[tuple[int, int], ...]  # (bytes to be equal, bytes of an anchor)
+
+
 def anchors(raw: np.ndarray, length: int = LENGTH, gram: int = GRAM):
     """(position, hash, first run, last run) of the anchors of one text: the anchor belongs to
     the runs of ``length`` bytes that start at first..last."""
@@ -120,17 +127,28 @@ def _texts(batch: pa.RecordBatch) -> list[bytes]:
     return [blob[a:b] for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True)]
 
 
-def _first_pass(docs: DataFrame, length: int, gram: int) -> DataFrame:
+def _anchors_of(raw: np.ndarray, depths: Depths) -> list[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+    """(depth, hash, first run, last run) for each depth; hashes of different depths never meet."""
+    out = []
+    for length, gram in depths:
+        _, h, lo, hi = anchors(raw, length, gram)
+        out.append((length, common.mix(h.view(np.uint64) + np.uint64(length)).view(np.int64), lo, hi))
+    return out
+
+
+def _first_pass(docs: DataFrame, depths: Depths) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in common.slices(batches, "text"):
             texts = _texts(batch)
             names = [_class(t) for t in texts]
-            found = [anchors(np.frombuffer(t, np.uint8), length, gram)[1] for t in texts]
+            found = [np.concatenate([x[1] for x in _anchors_of(np.frombuffer(t, np.uint8), depths)]) for t in texts]
             size = np.array([len(x) for x in found], np.int64)
+            words = [len(t.split()) for t in texts]
             lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), pa.array(np.concatenate(found) if found else np.zeros(0, np.int64)))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([len(t) for t in texts], pa.int64()), pa.array([x[0] for x in names], pa.int64()), pa.array([x[1] for x in names]), lists], ["doc_id", "n_bytes", "class", "sha", "anchors"])
+            cols = [batch.column("doc_id"), pa.array([len(t) for t in texts], pa.int64()), pa.array(words, pa.int64()), pa.array([x[0] for x in names], pa.int64()), pa.array([x[1] for x in names]), lists]
+            yield pa.RecordBatch.from_arrays(cols, ["doc_id", "n_bytes", "n_words", "class", "sha", "anchors"])
 
-    return docs.mapInArrow(run, "doc_id long, n_bytes long, class long, sha string, anchors array<long>")
+    return docs.mapInArrow(run, "doc_id long, n_bytes long, n_words long, class long, sha string, anchors array<long>")
 
 
 def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -150,24 +168,25 @@ def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return hit.dropDuplicates(["class"])
 
 
-def _contexts(texts: DataFrame, length: int, gram: int) -> DataFrame:
-    """One row per repeated anchor: its hash, its context and where its runs start."""
+def _contexts(texts: DataFrame, depths: Depths) -> DataFrame:
+    """One row per repeated anchor: its depth and hash, its context and where its runs start."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in common.slices(batches, "bytes"):
-            cols: list[list] = [[] for _ in range(7)]
+            cols: list[list] = [[] for _ in range(8)]
             for cls, who, raw, rep in zip(*(batch.column(c).to_pylist() for c in ("class", "who", "bytes", "repeated")), strict=True):
-                _, h, lo, hi = anchors(np.frombuffer(raw, np.uint8), length, gram)
-                for k in np.flatnonzero(np.isin(h, np.array(rep, np.int64))).tolist():
-                    a, b = int(lo[k]), int(hi[k])
-                    part = raw[a : b + length]
-                    ctx = int.from_bytes(hashlib.blake2b(part, digest_size=8).digest(), "little", signed=True)
-                    for c, v in zip(cols, (int(h[k]), ctx, cls, who, a, b - a + 1, part), strict=True):
-                        c.append(v)
-            kinds = [pa.int64()] * 6 + [pa.binary()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], ["hash", "ctx", "class", "who", "first_run", "n_runs", "part"])
+                wanted = np.array(rep, np.int64)
+                for length, h, lo, hi in _anchors_of(np.frombuffer(raw, np.uint8), depths):
+                    for k in np.flatnonzero(np.isin(h, wanted)).tolist():
+                        a, b = int(lo[k]), int(hi[k])
+                        part = raw[a : b + length]
+                        ctx = int.from_bytes(hashlib.blake2b(part, digest_size=8).digest(), "little", signed=True)
+                        for c, v in zip(cols, (length, int(h[k]), ctx, cls, who, a, b - a + 1, part), strict=True):
+                            c.append(v)
+            kinds = [pa.int32()] + [pa.int64()] * 6 + [pa.binary()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], ["depth", "hash", "ctx", "class", "who", "first_run", "n_runs", "part"])
 
-    return texts.select("class", "who", "bytes", "repeated").mapInArrow(run, "hash long, ctx long, class long, who long, first_run long, n_runs long, part binary")
+    return texts.select("class", "who", "bytes", "repeated").mapInArrow(run, "depth int, hash long, ctx long, class long, who long, first_run long, n_runs long, part binary")
 
 
 SPANS = "array<struct<at:int,n:int,who:bigint,pos:bigint>>"
@@ -251,7 +270,7 @@ def _spans(n_runs: np.ndarray, again: np.ndarray, who: np.ndarray, pos: np.ndarr
     return out
 
 
-def _judge(distinct: DataFrame, length: int) -> DataFrame:
+def _judge(distinct: DataFrame) -> DataFrame:
     """(hash, ctx, spans) of contexts; all contexts of a hash stand in one partition, in a row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -259,17 +278,17 @@ def _judge(distinct: DataFrame, length: int) -> DataFrame:
         size = 0
 
         def flush(rows: list[tuple]) -> pa.RecordBatch:
-            h, ctx, m, who, first, n, parts = zip(*rows, strict=True)
+            depth, h, ctx, m, who, first, n, parts = zip(*rows, strict=True)
             n = np.array(n, np.int64)
             size_of = np.array([len(x) for x in parts], np.int64)
             at = common.gather(np.cumsum(size_of) - size_of, n)
-            ranks = suffix_ranks(np.frombuffer(b"".join(parts), np.uint8), at, length)
+            ranks = suffix_ranks(np.frombuffer(b"".join(parts), np.uint8), at, depth[0])
             _, again, w, p = repeated_runs(ranks, n, np.array(m, np.int64), np.array(who, np.int64), np.array(first, np.int64))
             return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(ctx, pa.int64()), pa.array(_spans(n, again, w, p), pa.list_(pa.struct([("at", pa.int32()), ("n", pa.int32()), ("who", pa.int64()), ("pos", pa.int64())])))], ["hash", "ctx", "spans"])
 
         for batch in batches:
             for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if size > common.SLICE_BYTES and row[0] != held[-1][0]:
+                if held and (row[0] != held[-1][0] or (size > common.SLICE_BYTES and row[1] != held[-1][1])):
                     yield flush(held)
                     held, size = [], 0
                 held.append(row)
@@ -277,7 +296,7 @@ def _judge(distinct: DataFrame, length: int) -> DataFrame:
         if held:
             yield flush(held)
 
-    return distinct.select("hash", "ctx", "m", "who", "first_run", "n_runs", "part").mapInArrow(run, f"hash long, ctx long, spans {SPANS}")
+    return distinct.select("depth", "hash", "ctx", "m", "who", "first_run", "n_runs", "part").mapInArrow(run, f"hash long, ctx long, spans {SPANS}")
 
 
 def _judge_hot(distinct: DataFrame, length: int) -> DataFrame:
@@ -298,48 +317,57 @@ def _judge_hot(distinct: DataFrame, length: int) -> DataFrame:
 
 
 # --------------------------------------------------------------------------- the operator
-def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, keep: str = "first", with_text: bool = False, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256, removed spans (start, end), and the
-    rest itself with ``with_text`` (null if nothing was removed: the text stays as it is)."""
+def remove_repeats(
+    docs: DataFrame, length: int = LENGTH, gram: int = GRAM, keep: str = "first", with_text: bool = False, doc_id: str = "doc_id", text: str = "text", passage: tuple[int, int, int] | None = None
+) -> DataFrame:
+    """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256, removed spans (start, end), passages (start, end), and the
+    rest itself with ``with_text`` (null if nothing was removed: the text stays as it is).  ``passage``: bytes, anchor bytes and
+    words of what is reported as a passage; without it there are none."""
     if keep not in ("first", "none"):
         raise ValueError("keep is 'first' or 'none'")
     spark = docs.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     src = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    rows = common.cut(_first_pass(src, length, gram), "lpf-rows")
-    classes = common.cut(rows.groupBy("class").agg(F.min("doc_id").alias("who"), F.count("*").alias("copies"), F.first("anchors").alias("anchors")), "lpf-classes")
+    depths: Depths = ((length, gram), passage[:2]) if passage else ((length, gram),)
+    rows = common.cut(_first_pass(src, depths), "lpf-rows")
+    classes = common.cut(rows.groupBy("class").agg(F.min("doc_id").alias("who"), F.count("*").alias("copies"), F.first("n_words").alias("n_words"), F.first("anchors").alias("anchors")), "lpf-classes")
     each = classes.select("class", F.explode("anchors").alias("hash"))
-    twice = each.groupBy("hash").agg(F.count("*").alias("c")).where("c > 1").select("hash")
+    # a table of its own: an anchor that very many texts share is then split where both meet
+    twice = common.cut(each.groupBy("hash").agg(F.count("*").alias("c")).where("c > 1").select("hash"), "lpf-twice")
     shared = each.join(twice, "hash").groupBy("class").agg(F.collect_set("hash").alias("repeated"))
     wanted = common.cut(classes.select("class", "who").join(shared, "class"), "lpf-wanted")
     texts = common.cut(_texts_of(src, wanted), "lpf-texts")
 
-    ctx = common.cut(_contexts(texts, length, gram), "lpf-contexts")
+    ctx = common.cut(_contexts(texts, depths), "lpf-contexts")
     order = F.struct("who", "first_run")
-    distinct = ctx.groupBy("hash", "ctx").agg(F.count("*").alias("m"), F.min(order).alias("o"), F.first("n_runs").alias("n_runs"), F.first("part").alias("part")).select("hash", "ctx", "m", F.col("o.who").alias("who"), F.col("o.first_run").alias("first_run"), "n_runs", "part")
+    distinct = ctx.groupBy("hash", "ctx").agg(F.first("depth").alias("depth"), F.count("*").alias("m"), F.min(order).alias("o"), F.first("n_runs").alias("n_runs"), F.first("part").alias("part")).select("depth", "hash", "ctx", "m", F.col("o.who").alias("who"), F.col("o.first_run").alias("first_run"), "n_runs", "part")
     distinct = common.cut(distinct, "lpf-distinct")
     crowd = distinct.groupBy("hash").agg(F.count("*").alias("c"))
     hot = crowd.where(F.col("c") > HOT).select("hash")
     cool = distinct.join(F.broadcast(hot), "hash", "left_anti") if hot.limit(1).count() else distinct
-    found = _judge(cool.repartition(parts, "hash").sortWithinPartitions("hash", "ctx"), length)
+    found = _judge(cool.repartition(parts, "hash").sortWithinPartitions("depth", "hash", "ctx"))
     if cool is not distinct:
-        found = found.unionByName(_judge_hot(distinct.join(F.broadcast(hot), "hash"), length))
+        for depth, _ in depths:
+            found = found.unionByName(_judge_hot(distinct.where(F.col("depth") == depth).join(F.broadcast(hot), "hash"), depth))
     found = common.cut(found.where(F.size("spans") > 0), "lpf-found")
     s = F.col("s")
-    hit = ctx.select("hash", "ctx", "class", "who", "first_run").join(found, ["hash", "ctx"]).select("class", F.col("who").alias("own"), "first_run", F.explode("spans").alias("s"))
+    hit = ctx.select("depth", "hash", "ctx", "class", "who", "first_run").join(found, ["hash", "ctx"]).select("depth", "class", F.col("who").alias("own"), "first_run", F.explode("spans").alias("s"))
     if keep == "first":
-        hit = hit.where(~((s["who"] == F.col("own")) & (s["pos"] == F.col("first_run") + s["at"])))
-    spans = hit.select("class", F.struct((F.col("first_run") + s["at"]).alias("a"), (F.col("first_run") + s["at"] + s["n"] + (length - 1)).alias("b")).alias("r")).groupBy("class").agg(F.collect_list("r").alias("spans"))
-    cut_rows = common.cut(_apply(texts.select("class", "bytes").join(spans, "class"), with_text), "lpf-cut")
-    common.drop_cut(wanted, texts, ctx, distinct, found)
+        hit = hit.where((F.col("depth") != length) | ~((s["who"] == F.col("own")) & (s["pos"] == F.col("first_run") + s["at"])))
+    reach = F.struct((F.col("depth") != length).alias("p"), (F.col("first_run") + s["at"]).alias("a"), (F.col("first_run") + s["at"] + s["n"] + (F.col("depth") - 1)).alias("b"))
+    spans = hit.select("class", reach.alias("r")).groupBy("class").agg(F.collect_list("r").alias("spans"))
+    cut_rows = common.cut(_apply(texts.select("class", "bytes").join(spans, "class"), with_text, passage[2] if passage else 0), "lpf-cut")
+    common.drop_cut(twice, wanted, texts, ctx, distinct, found)
 
-    info = classes.select("class", F.col("who").alias("first_doc"), "copies").join(cut_rows, "class", "left")
+    info = classes.select("class", F.col("who").alias("first_doc"), "copies", "n_words").join(cut_rows, "class", "left")
     out = rows.select("doc_id", "n_bytes", "class", "sha").join(info, "class")
     copied = (F.col("copies") > 1) & (F.col("n_bytes") >= length)
     if keep == "first":
         # of whole copies the first stays, but for what it repeats of others
         copied = copied & (F.coalesce("doc_id", F.lit(NO_ID)) != F.coalesce("first_doc", F.lit(NO_ID)))
     whole = F.array(F.struct(F.lit(0).cast("long").alias("a"), F.col("n_bytes").alias("b")))
+    none = F.array().cast("array<struct<a:bigint,b:bigint>>")
+    long = (F.col("copies") > 1) & (F.col("n_bytes") >= passage[0]) & (F.col("n_words") > passage[2]) if passage else F.lit(False)
     pick = lambda all_, part, none: F.when(copied, all_).otherwise(F.coalesce(part, none))
     cols = [
         "doc_id",
@@ -347,32 +375,41 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, keep
         pick(F.col("n_bytes"), F.col("n_removed"), F.lit(0).cast("long")).alias("n_removed"),
         pick(F.lit(1).cast("long"), F.col("n_spans"), F.lit(0).cast("long")).alias("n_spans"),
         pick(F.lit(EMPTY_SHA), F.col("kept_sha256"), F.col("sha")).alias("kept_sha256"),
-        pick(whole, F.col("removed"), F.array().cast("array<struct<a:bigint,b:bigint>>")).alias("removed"),
+        pick(whole, F.col("removed"), none).alias("removed"),
+        F.when(long, whole).otherwise(F.coalesce("passages", none)).alias("passages"),
     ]
     if with_text:
         cols.append(F.when(copied, F.lit(b"")).otherwise(F.col("kept")).alias("kept"))
     return out.select(*cols)
 
 
-def _apply(texts: DataFrame, with_text: bool) -> DataFrame:
-    """Merge each text's spans and take them out."""
-    schema = "class long, n_removed long, n_spans long, kept_sha256 string, removed array<struct<a:bigint,b:bigint>>" + ", kept binary" * with_text
-    names = ["class", "n_removed", "n_spans", "kept_sha256", "removed"] + ["kept"] * with_text
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))] + [pa.binary()] * with_text
+def _merged(spans: Iterator[tuple[int, int]]) -> list[list[int]]:
+    out: list[list[int]] = []
+    for a, b in sorted(spans):
+        if out and a <= out[-1][1]:
+            out[-1][1] = max(out[-1][1], b)
+        else:
+            out.append([a, b])
+    return out
+
+
+def _apply(texts: DataFrame, with_text: bool, words: int) -> DataFrame:
+    """Merge each text's spans and take them out; passages are the merged ones of over ``words`` words."""
+    span = "array<struct<a:bigint,b:bigint>>"
+    schema = f"class long, n_removed long, n_spans long, kept_sha256 string, removed {span}, passages {span}" + ", kept binary" * with_text
+    names = ["class", "n_removed", "n_spans", "kept_sha256", "removed", "passages"] + ["kept"] * with_text
+    ends = pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), ends, ends] + [pa.binary()] * with_text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in common.slices(batches, "bytes"):
             cols: list[list] = [[] for _ in names]
             for cls, raw, spans in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                merged: list[list[int]] = []
-                for a, b in sorted((s["a"], s["b"]) for s in spans):
-                    if merged and a <= merged[-1][1]:
-                        merged[-1][1] = max(merged[-1][1], b)
-                    else:
-                        merged.append([a, b])
-                edges = [0, *(x for m in merged for x in m), len(raw)]
+                gone = _merged((s["a"], s["b"]) for s in spans if not s["p"])
+                edges = [0, *(x for m in gone for x in m), len(raw)]
                 rest = b"".join(raw[a:b] for a, b in zip(edges[::2], edges[1::2], strict=True))
-                row = [cls, len(raw) - len(rest), len(merged), hashlib.sha256(rest).hexdigest(), [{"a": a, "b": b} for a, b in merged], rest]
+                said = [{"a": a, "b": b} for a, b in _merged((s["a"], s["b"]) for s in spans if s["p"]) if len(raw[a:b].split()) > words]
+                row = [cls, len(raw) - len(rest), len(gone), hashlib.sha256(rest).hexdigest(), [{"a": a, "b": b} for a, b in gone], said, rest]
                 for c, v in zip(cols, row, strict=False):
                     c.append(v)
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], names)

@@ -490,6 +490,20 @@ def test_repeats(spark, keep, hot, monkeypatch):
         assert (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) == (len(b), int(gone.sum()), spans, hashlib.sha256(rest).hexdigest()), d
 
 
+def test_passages(spark):
+    p = " ".join(RNG.choice(list("abcdefgh"), 40)) + " end"
+    texts = [prose(20) + " " + p, prose(7) + p + " " + prose(9), p, p, "", None, prose(30) + p[:60] + prose(10), "x" * 90 + prose(5)]
+    rows = [(10 + i, (t or "").encode()) for i, t in enumerate(texts)]
+    df = spark.createDataFrame([(10 + i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    got = {r["doc_id"]: r for r in lpf.remove_repeats(df, length=70, gram=16, keep="first", passage=(50, 16, 35)).collect()}
+    plain = {r["doc_id"]: r for r in lpf.remove_repeats(df, length=70, gram=16, keep="first").collect()}
+    for (d, b), found in zip(rows, removed(rows, 50, False), strict=True):
+        edge = np.flatnonzero(np.diff(np.concatenate([[0], found.astype(int), [0]]))).tolist()
+        want = [(x, y) for x, y in zip(edge[::2], edge[1::2], strict=True) if len(b[x:y].split()) > 35]
+        assert [tuple(x) for x in got[d]["passages"]] == want, d
+        assert got[d]["kept_sha256"] == plain[d]["kept_sha256"] and got[d]["removed"] == plain[d]["removed"] and plain[d]["passages"] == []
+
+
 def test_lpf_of_one_text():
     for text in (b"", b"a", b"aaaa", b"abracadabra", bytes(RNG.integers(97, 100, 200).astype(np.uint8))):
         want = [max([k for j in range(i) for k in range(len(text) - i + 1) if text[j : j + k] == text[i : i + k]], default=0) for i in range(len(text))]
