@@ -220,7 +220,7 @@ def link(docs: DataFrame, words: int = SHINGLE_WORDS, percent: int = PERCENT, do
     common.drop_cut(links)
 
     # 2. pseudo-random members of the largest component of mixed buckets, a quarter of the buckets at a time
-    for share in range(3):
+    for share in range(2):
         mixed = common.cut(_mixed(buckets.where(F.pmod(F.xxhash64("key"), F.lit(4)) == share), label), "mh-mixed")
         out = mixed.where("root <> main").select("key", F.col("class").alias("x"), F.col("root").alias("rx")).join(x, "x")
         ends = mixed.where("root = main").select("key", F.col("class").alias("y"), F.col("root").alias("ry"), "main")
