@@ -7,6 +7,7 @@ ambiguous and nullable machines, and a lazy reader stops it after any level."""
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Iterator
 
 import pandas as pd
@@ -42,9 +43,12 @@ def concat(left: DataFrame, right: DataFrame) -> DataFrame:
     return both.distinct().select("src", "dst", F.size("path").alias("len"), "path")
 
 
-def levels(index: PathIndex, max_length: int, sources: DataFrame | None = None, box: str | None = None, one: bool = False, prune: bool = True) -> Iterator[DataFrame]:
-    """Walks of each length 0, 1, 2, ... of a box.  ``one`` keeps the first walk of each partial
-    row only (shortest witnesses)."""
+def levels(index: PathIndex, max_length: int | None = None, sources: DataFrame | None = None, box: str | None = None, one: bool = False, prune: bool = True) -> Iterator[DataFrame]:
+    """Walks of each length 0, 1, 2, ... of a box, up to ``max_length`` or until no longer walk can come.  ``one`` keeps
+    the first walk of each partial row only (shortest witnesses), of which there are finitely many always.
+
+    A partial row of level n extends one of level n - 1 by an edge, or joins one of a level j to a walk of length n - j.  So
+    after the last level P with partial rows, nothing can come beyond level 2 P."""
     machine, spark = index.machine, index.graph.edges.sparkSession
     box = box or machine.start_box
     stage = Stage(spark)
@@ -74,12 +78,12 @@ def levels(index: PathIndex, max_length: int, sources: DataFrame | None = None,
         tail = more.select(F.col("box").alias("symbol"), F.col("s").alias("v"), F.col("v").alias("w"), F.col("path").alias("tail"))
         return call.join(tail, ["symbol", "v", "w"]).select("s", F.col("p").alias("q"), F.col("w").alias("v"), F.concat("path", "tail").alias("path"))
 
-    def settle(rows: DataFrame, level: int) -> DataFrame:
-        """Rows of one level, with calls that bring all labels or none, until nothing is new."""
+    def settle(rows: DataFrame, level: int) -> tuple[DataFrame, bool]:
+        """Rows of one level, with calls that bring all labels or none, until nothing is new; and whether there are any."""
         fresh, n = stage.put(first_only(rows.distinct(), level))
-        known = fresh
+        known, some = fresh, n > 0
         if not machine.has_calls:
-            return known
+            return known, some
         while n:
             ended = finished(fresh)
             if level:
@@ -90,7 +94,7 @@ def levels(index: PathIndex, max_length: int, sources: DataFrame | None = None,
             fresh, n = stage.put(first_only(new.join(known, key, "left_anti") if one else new, level))
             if n:
                 known, _ = stage.put(known.union(fresh))
-        return known
+        return known, some
 
     def first_only(rows: DataFrame, level: int) -> DataFrame:
         if not one:
@@ -100,7 +104,10 @@ def levels(index: PathIndex, max_length: int, sources: DataFrame | None = None,
             rows = rows.join(before, key, "left_anti")
         return rows
 
-    for level in range(max_length + 1):
+    highest = 0
+    for level in itertools.count() if max_length is None else range(max_length + 1):
+        if level > (2 * highest if machine.has_calls else highest) and level > highest + 1:
+            return
         if level == 0:
             rows = seeds.select(*key, empty.alias("path"))
         else:
@@ -110,7 +117,9 @@ def levels(index: PathIndex, max_length: int, sources: DataFrame | None = None,
             if machine.has_calls:
                 parts += [extend(partial[level - k], done[k]) for k in range(1, level)]
             rows = union_all(parts)
-        partial.append(settle(rows, level))
+        settled, some = settle(rows, level)
+        partial.append(settled)
+        highest = level if some else highest
         done.append(finished(partial[level]))
         mine = done[level].where(F.col("box") == box)
         if sources is not None:
@@ -155,8 +164,8 @@ def top_k(paths: DataFrame, k: int) -> DataFrame:
     return paths.withColumn("k", F.row_number().over(w)).where(F.col("k") <= k).drop("k")
 
 
-def single(index: PathIndex, max_length: int, sources: DataFrame | None = None, box: str | None = None) -> DataFrame:
-    """One shortest walk per pair; stops at the first level that has all pairs."""
+def single(index: PathIndex, max_length: int | None = None, sources: DataFrame | None = None, box: str | None = None) -> DataFrame:
+    """One shortest walk per pair; stops at the first level that has all pairs, without a bound as well."""
     box = box or index.machine.start_box
     pairs = index.reachable(box)
     if sources is not None:
@@ -175,9 +184,9 @@ def single(index: PathIndex, max_length: int, sources: DataFrame | None = None,
     return union_all(found)
 
 
-def iterate(index: PathIndex, u: int, v: int, box: str | None = None, max_length: int = 1 << 30) -> Iterator[list[tuple[int, str, int]]]:
-    """Walks from u to v by growing length, without end if there are infinitely many; nothing beyond the
-    level in use is computed."""
+def iterate(index: PathIndex, u: int, v: int, box: str | None = None, max_length: int | None = None) -> Iterator[list[tuple[int, str, int]]]:
+    """Walks from u to v by growing length; nothing beyond the level in use is computed.  It ends when no partial walk
+    from u can grow, and goes on if one always can."""
     spark = index.graph.edges.sparkSession
     start = local_table(spark, [(u,)], "id long")
     for level in levels(index, max_length, start, box):

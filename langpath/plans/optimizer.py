@@ -67,12 +67,15 @@ def optimize(plan: PathPlan, rules=RULES) -> PathPlan:
 
 
 def execute(plan: PathPlan) -> DataFrame:
-    """reach: (src, dst); paths and single: (src, dst, len, word)."""
+    """reach: (src, dst); paths and single: (src, dst, len, word).  Without a length bound, ``single`` finds a walk of every
+    pair and ``paths`` all walks; if these are infinitely many, a bound must be given."""
     index = ix.build(plan.graph, plan.machine, sources=plan.sources, strategy=plan.strategy)
     if plan.mode == "reach":
         out = index.reachable()
     else:
-        length = plan.max_length if plan.max_length is not None else 8
+        length = plan.max_length
+        if length is None and plan.mode == "paths" and _infinite(index, plan.sources):
+            raise ValueError("some pair is joined by infinitely many walks: give a length bound (UP TO n)")
         if plan.mode == "single":
             rows = pt.single(index, length, plan.sources)
         else:
@@ -88,6 +91,13 @@ def execute(plan: PathPlan) -> DataFrame:
     return out
 
 
+def _infinite(index: ix.PathIndex, sources: DataFrame | None) -> bool:
+    pairs = pt.is_infinite(index).where("infinite")
+    if sources is not None:
+        pairs = pairs.join(sources.select(F.col("id").alias("src")), "src", "left_semi")
+    return not pairs.isEmpty()
+
+
 def _turned(rows: DataFrame) -> DataFrame:
     """Walks of the reversed graph as walks of the graph."""
     back = F.transform(F.reverse("path"), lambda e: F.struct(e["dst"].alias("src"), e["label"].alias("label"), e["src"].alias("dst")))

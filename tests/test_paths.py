@@ -136,3 +136,24 @@ def test_online_match_equals_batch(spark, tmp_path):
     from langpath.operators.solver import solve
 
     assert got == solve(edges, rsm.from_fsm(m), None)["S"]
+
+
+def test_no_bound_is_silent(spark):
+    """Without a bound nothing is lost on finite sets, and infinite ones ask for a bound."""
+    s = LangPathSession(spark)
+    s.register("chain", graph_of(spark, [(i, "a", i + 1) for i in range(12)]))
+    s.register("ring", graph_of(spark, [(0, "a", 1), (1, "a", 0)]))
+    for mode in ("reach", "single", "paths"):
+        assert s.sql(f"MATCH a+ ON chain FROM (0) RETURN {mode}").count() == 12
+    assert sorted((r["dst"], r["len"]) for r in s.sql("MATCH a+ ON ring FROM (0) RETURN single").collect()) == [(0, 2), (1, 1)]
+    with pytest.raises(ValueError):
+        s.sql("MATCH a+ ON ring FROM (0) RETURN paths")
+    assert s.sql("MATCH a+ ON ring FROM (0) RETURN paths UP TO 5").count() == 5
+
+
+def test_lazy_walks_end(spark):
+    graph = graph_of(spark, [(0, "a", 1), (1, "a", 2), (2, "b", 3), (3, "b", 4), (0, "c", 4)])
+    regular = ix.build(graph, rsm.from_regex("(a | b | c)+"))
+    assert [[e[1] for e in w] for w in pt.iterate(regular, 0, 4)] == [["c"], ["a", "a", "b", "b"]]
+    nested = ix.build(graph, rsm.from_grammar("S -> a S b | a b"))
+    assert [[e[1] for e in w] for w in pt.iterate(nested, 0, 4)] == [["a", "a", "b", "b"]]
