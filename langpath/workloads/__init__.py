@@ -398,13 +398,14 @@ def grammar_sizes(spark, sf_dir):
     return measure.grammar_growth({k: grammar_of(k) for k in ("anbn", "g1", "g2", "geo")}, spark).select("grammar", "grammar_size", "boxes", "states")
 
 
+@query(
+    "select * from (values ('g1', 14, 1, 6, 8, 10, 26), ('g2', 6, 1, 4, 4, 5, 12), ('geo', 7, 1, 4, 4, 5, 13), ('ma', 21, 2, 8, 11, 27, 70), ('anbn', 7, 1, 4, 4, 5, 13), ('nullable', 5, 1, 4, 3, 5, 13), "
+    "('ambig', 5, 1, 3, 3, 2, 5), ('regular_part', 11, 1, 5, 5, 9, 22)) t(grammar, grammar_size, boxes, states, transitions, normal_rules, normal_size)"
+)
 def grammar_growth(spark, sf_dir):
     return measure.grammar_growth({k: grammar_of(k) for k in GRAMMARS}, spark)
 
 
-register("grammar_growth", grammar_growth)
-
-
 def iteration_trace(spark, sf_dir):
     return measure.trace(ix.build(B.ontology(spark, sf_dir), machine_of("g1"), strategy="loop").metrics, spark)
 
@@ -612,6 +613,116 @@ def estimate(spark, sf_dir):
     return spark.createDataFrame([(int(whole / 2 <= guess <= whole * 2),)], "checked long")
 
 
+# --------------------------------------------------------------------------- further relational operators
+_EV = "event_id, user_id, ts, event_type, value"
+
+
+def _events(spark, sf_dir) -> DataFrame:
+    return load(spark, sf_dir, "events").select(*_EV.split(", "))
+
+
+@query("select a.event_id src, b.event_id dst from events a join events b on a.user_id = b.user_id and date_trunc('day', a.ts) = date_trunc('day', b.ts) and a.value < b.value and a.ts < b.ts")
+def theta_join(spark, sf_dir):
+    """Rising values of one user on one day: equal keys to meet, the rest as a condition of the join."""
+    e = _events(spark, sf_dir).withColumn("day", F.to_date("ts"))
+    a, b = e.alias("a"), e.alias("b")
+    on = (F.col("a.user_id") == F.col("b.user_id")) & (F.col("a.day") == F.col("b.day")) & (F.col("a.value") < F.col("b.value")) & (F.col("a.ts") < F.col("b.ts"))
+    return a.join(b, on).select(F.col("a.event_id").alias("src"), F.col("b.event_id").alias("dst"))
+
+
+@query("select distinct l_orderkey * 16 + 5 src, o_custkey * 16 + 2 dst from lineitem join orders on l_orderkey = o_orderkey")
+def shuffle_hash_join(spark, sf_dir):
+    o = load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
+    ends = load(spark, sf_dir, "lineitem").select("l_orderkey").join(o.hint("shuffle_hash"), F.col("l_orderkey") == F.col("o_orderkey"))
+    return ends.select((F.col("l_orderkey") * 16 + 5).alias("src"), (F.col("o_custkey") * 16 + 2).alias("dst")).distinct()
+
+
+@query("select l_orderkey * 16 + 5 src, l_partkey * 16 + 4 mid, o_custkey * 16 + 2 dst, count(*) n from lineitem join orders on l_orderkey = o_orderkey group by all")
+def sort_merge_join(spark, sf_dir):
+    """What an order contains, joined with who placed it."""
+    o = load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
+    both = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").join(o.hint("merge"), F.col("l_orderkey") == F.col("o_orderkey"))
+    return both.groupBy((F.col("l_orderkey") * 16 + 5).alias("src"), (F.col("l_partkey") * 16 + 4).alias("mid"), (F.col("o_custkey") * 16 + 2).alias("dst")).agg(F.count("*").alias("n"))
+
+
+@query("select event_type, count(distinct user_id) users, count(distinct date_trunc('day', ts)) n_days, count(*) n from events group by event_type")
+def distinct_aggregate(spark, sf_dir):
+    return _events(spark, sf_dir).groupBy("event_type").agg(F.countDistinct("user_id").alias("users"), F.countDistinct(F.to_date("ts")).alias("n_days"), F.count("*").alias("n"))
+
+
+@query("select event_type, 1::bigint near from events group by event_type")
+def approx_distinct(spark, sf_dir):
+    """A sketch's count lies within four of its standard errors (0.02) of the exact one."""
+    n = _events(spark, sf_dir).groupBy("event_type").agg(F.approx_count_distinct("event_id", 0.02).alias("guess"), F.countDistinct("event_id").alias("n"))
+    return n.select("event_type", (F.abs(F.col("guess") - F.col("n")) <= 0.08 * F.col("n")).cast("long").alias("near"))
+
+
+@query("select event_type, user_id, count(*) n, cast(grouping(event_type) * 2 + grouping(user_id) as bigint) level from events group by rollup (event_type, user_id)")
+def rollup_labels(spark, sf_dir):
+    return _events(spark, sf_dir).rollup("event_type", "user_id").agg(F.count("*").alias("n"), F.grouping_id().cast("long").alias("level"))
+
+
+@query("select event_type, cast(date_part('hour', ts) as int) hr, count(*) n from events group by grouping sets ((event_type), (cast(date_part('hour', ts) as int)), ())")
+def grouping_sets(spark, sf_dir):
+    e = _events(spark, sf_dir).withColumn("hr", F.hour("ts"))
+    return e.groupingSets([["event_type"], ["hr"], []], "event_type", "hr").agg(F.count("*").alias("n")).select("event_type", "hr", "n")
+
+
+@query(
+    "select event_id, cast(rank() over w as int) r, cast(dense_rank() over w as int) d, cast(ntile(4) over (partition by user_id order by ts, event_id) as int) q, percent_rank() over w p "
+    "from events window w as (partition by user_id order by event_type)"
+)
+def rankings(spark, sf_dir):
+    w = Window.partitionBy("user_id").orderBy("event_type")
+    quarter = F.ntile(4).over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
+    return _events(spark, sf_dir).select("event_id", F.rank().over(w).alias("r"), F.dense_rank().over(w).alias("d"), quarter.alias("q"), F.percent_rank().over(w).alias("p"))
+
+
+@query("select event_id, count(*) over (partition by user_id order by epoch_us(ts) range between 7200000000 preceding and current row) n from events")
+def range_frame(spark, sf_dir):
+    """Events of a user in the two hours up to each."""
+    w = Window.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-7_200_000_000, 0)
+    return _events(spark, sf_dir).select("event_id", F.count("*").over(w).alias("n"))
+
+
+def _bag(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
+    e = _events(spark, sf_dir)
+    return e.where("event_type = 'click'").select("user_id"), e.where("event_type = 'purchase'").select("user_id")
+
+
+_BAGS = "select user_id from events where event_type = 'click' {} all select user_id from events where event_type = 'purchase'"
+
+
+def _bag_query(op: str):
+    def run(spark, sf_dir):
+        a, b = _bag(spark, sf_dir)
+        return getattr(a, op)(b)
+
+    return run
+
+
+register("bag_except", _bag_query("exceptAll"), _BAGS.format("except"))
+register("bag_intersect", _bag_query("intersectAll"), _BAGS.format("intersect"))
+register("bag_union", _bag_query("unionAll"), _BAGS.format("union"))
+
+
+_MONTH, _QUARTER = "year(d) * 100 + month(d)", "year(d) * 10 + quarter(d)"
+
+
+@query(
+    f"with d as (select distinct cast(o_orderdate as date) d from orders), e as (select distinct cast({_MONTH} as bigint) * 16 + 12 src, cast({_QUARTER} as bigint) * 16 + 13 dst from d "
+    f"union select distinct cast({_QUARTER} as bigint) * 16 + 13, cast(year(d) as bigint) * 16 + 14 from d), up as (select dst src, src dst from e), "
+    "r as (select a.src, b.dst from e a join up b on a.dst = b.src), t as (select a.src, b.dst from e a join r x on a.dst = x.src join up b on x.dst = b.src) select distinct src, dst from (select * from r union all select * from t) z"
+)
+def date_hierarchy(spark, sf_dir):
+    """Months and quarters of one level under a common ancestor: the tree month, quarter, year as a graph."""
+    d = load(spark, sf_dir, "orders").select(F.to_date("o_orderdate").alias("d")).distinct()
+    month, quarter = (F.year("d") * 100 + F.month("d")).cast("long") * 16 + 12, (F.year("d") * 10 + F.quarter("d")).cast("long") * 16 + 13
+    edge = lambda a, b: d.select(a.alias("src"), F.lit("bt").alias("label"), b.alias("dst"))
+    g = LabeledGraph.of(edge(month, quarter).union(edge(quarter, F.year("d").cast("long") * 16 + 14))).with_inverses()
+    return ix.build(g, machine_of("geo")).reachable()
+
+
 def queries() -> dict[str, Query]:
     return QUERIES
 
