@@ -16,7 +16,8 @@ suffixes that can share so long a string.
    over ``HOT`` contexts have no suffix order: they are split by the 64-bit hash of the LENGTH bytes.
 
 The same is done at a second depth, ``PASSAGE`` bytes, to find passages: the longest stretches made of strings of that length
-that occur elsewhere, if they hold more than ``PASSAGE_WORDS`` words.  They are reported, not removed.
+that occur elsewhere, if they hold more than ``PASSAGE_WORDS`` words.  They are reported, not removed, and told by the 64-bit
+hash of the strings instead of a suffix order, which would cost five times as much.
 
 Texts that equal others as a whole take part once.  ``keep="first"`` removes later copies only; ``keep="none"`` removes
 all occurrences, the first included.
@@ -270,8 +271,9 @@ def _spans(n_runs: np.ndarray, again: np.ndarray, who: np.ndarray, pos: np.ndarr
     return out
 
 
-def _judge(distinct: DataFrame) -> DataFrame:
-    """(hash, ctx, spans) of contexts; all contexts of a hash stand in one partition, in a row."""
+def _judge(distinct: DataFrame, length: int) -> DataFrame:
+    """(hash, ctx, spans) of contexts; all contexts of a hash stand in one partition, in a row.  ``length`` is the depth
+    to which suffixes are ordered."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
@@ -282,7 +284,10 @@ def _judge(distinct: DataFrame) -> DataFrame:
             n = np.array(n, np.int64)
             size_of = np.array([len(x) for x in parts], np.int64)
             at = common.gather(np.cumsum(size_of) - size_of, n)
-            ranks = suffix_ranks(np.frombuffer(b"".join(parts), np.uint8), at, depth[0])
+            if depth[0] == length:
+                ranks = suffix_ranks(np.frombuffer(b"".join(parts), np.uint8), at, length)
+            else:  # passages are reported only: equal strings are told by their hash
+                ranks = _run_hashes(parts, n, depth[0])
             _, again, w, p = repeated_runs(ranks, n, np.array(m, np.int64), np.array(who, np.int64), np.array(first, np.int64))
             return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(ctx, pa.int64()), pa.array(_spans(n, again, w, p), pa.list_(pa.struct([("at", pa.int32()), ("n", pa.int32()), ("who", pa.int64()), ("pos", pa.int64())])))], ["hash", "ctx", "spans"])
 
@@ -345,7 +350,7 @@ def remove_repeats(
     crowd = distinct.groupBy("hash").agg(F.count("*").alias("c"))
     hot = crowd.where(F.col("c") > HOT).select("hash")
     cool = distinct.join(F.broadcast(hot), "hash", "left_anti") if hot.limit(1).count() else distinct
-    found = _judge(cool.repartition(parts, "hash").sortWithinPartitions("depth", "hash", "ctx"))
+    found = _judge(cool.repartition(parts, "hash").sortWithinPartitions("depth", "hash", "ctx"), length)
     if cool is not distinct:
         for depth, _ in depths:
             found = found.unionByName(_judge_hot(distinct.where(F.col("depth") == depth).join(F.broadcast(hot), "hash"), depth))
