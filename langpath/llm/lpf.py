@@ -39,8 +39,8 @@ from pyspark.sql import functions as F
 
 from . import common
 
-LENGTH, GRAM, HOT = 400, 128, 32_768
-PASSAGE, PASSAGE_GRAM, PASSAGE_WORDS = 200, 96, 50
+LENGTH, GRAM, HOT = 400, 96, 32_768
+PASSAGE, PASSAGE_WORDS = 200, 50
 SEGMENT = 4 << 20
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
 NO_ID = (1 << 63) - 1
@@ -89,32 +89,34 @@ def lpf_array(text: bytes) -> np.ndarray:
 
 
 # --------------------------------------------------------------------------- anchors
-Depths = tuple[tuple[int, int], ...]  # (bytes to be equal, bytes of an anchor)
-
-
-def anchors(raw: np.ndarray, length: int = LENGTH, gram: int = GRAM):
-    """(position, hash, first run, last run) of the anchors of one text: the anchor belongs to
-    the runs of ``length`` bytes that start at first..last."""
-    n_runs = len(raw) - length + 1
-    out = []
-    for a in range(0, max(n_runs, 0), SEGMENT):
-        part = raw[a : min(a + SEGMENT + length - 1, len(raw))]
-        runs, width = len(part) - length + 1, length - gram + 1
+def anchors(raw: np.ndarray, off: np.ndarray, lengths: tuple[int, ...], gram: int = GRAM) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """For each length (hash, first run, last run) of the anchors of concatenated texts, in order: the anchor belongs to the
+    runs of so many bytes that start at first..last; no run leaves its text.  Hashes of two lengths never meet."""
+    found: list[list[tuple]] = [[] for _ in lengths]
+    size = np.diff(off)
+    for a in range(0, max(len(raw) - min(lengths) + 1, 0), SEGMENT):
+        part = raw[a : min(a + SEGMENT + max(lengths) - 1, len(raw))]
         at = np.arange(len(part) - gram + 1)
         h = common.range_hash(common.prefix_hash(part), at, at + gram)
         v = (h & ~np.uint64((1 << 24) - 1)) | at.astype(np.uint64)
-        pad = np.full(-len(v) % width, np.uint64((1 << 64) - 1))
-        grid = np.concatenate([v, pad]).reshape(-1, width)
-        fore = np.minimum.accumulate(grid, axis=1).reshape(-1)
-        back = np.minimum.accumulate(grid[:, ::-1], axis=1)[:, ::-1].reshape(-1)
-        least = np.minimum(back[:runs], fore[width - 1 : width - 1 + runs])
-        pos = (least & np.uint64((1 << 24) - 1)).astype(np.int64)
-        cut = np.concatenate([[0], np.flatnonzero(np.diff(pos)) + 1])
-        last = np.concatenate([cut[1:], [runs]]) - 1
-        out.append((pos[cut] + a, h[pos[cut]].view(np.int64), cut + a, last + a))
-    if not out:
-        return (np.zeros(0, np.int64),) * 4
-    return tuple(np.concatenate(x) for x in zip(*out, strict=True))
+        for k, length in enumerate(lengths):
+            runs, width = min(SEGMENT, len(part) - length + 1), length - gram + 1
+            # the runs inside their texts
+            begin, end = np.maximum(off[:-1] - a, 0), np.minimum(off[1:] - a - length + 1, runs)
+            inside = common.gather(begin, np.maximum(end - begin, 0) * (size >= length))
+            if not len(inside):
+                continue
+            use = v[: runs + width - 1]
+            grid = np.concatenate([use, np.full(-len(use) % width, np.uint64((1 << 64) - 1))]).reshape(-1, width)
+            fore = np.minimum.accumulate(grid, axis=1).reshape(-1)
+            back = np.minimum.accumulate(grid[:, ::-1], axis=1)[:, ::-1].reshape(-1)
+            pos = (np.minimum(back[inside], fore[inside + width - 1]) & np.uint64((1 << 24) - 1)).astype(np.int64)
+            cut = np.concatenate([[0], np.flatnonzero((np.diff(pos) != 0) | (np.diff(inside) != 1)) + 1])
+            last = np.concatenate([cut[1:], [len(pos)]]) - 1
+            named = common.mix(h[pos[cut]] + np.uint64(length)).view(np.int64)
+            found[k].append((named, inside[cut] + a, inside[last] + a))
+    none = (np.zeros(0, np.int64),) * 3
+    return [tuple(np.concatenate(x) for x in zip(*f, strict=True)) if f else none for f in found]
 
 
 def _class(raw: bytes) -> tuple[int, str]:
@@ -128,26 +130,18 @@ def _texts(batch: pa.RecordBatch) -> list[bytes]:
     return [blob[a:b] for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True)]
 
 
-def _anchors_of(raw: np.ndarray, depths: Depths) -> list[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
-    """(depth, hash, first run, last run) for each depth; hashes of different depths never meet."""
-    out = []
-    for length, gram in depths:
-        _, h, lo, hi = anchors(raw, length, gram)
-        out.append((length, common.mix(h.view(np.uint64) + np.uint64(length)).view(np.int64), lo, hi))
-    return out
-
-
-def _first_pass(docs: DataFrame, depths: Depths) -> DataFrame:
+def _first_pass(docs: DataFrame, lengths: tuple[int, ...], gram: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in common.slices(batches, "text"):
             texts = _texts(batch)
             names = [_class(t) for t in texts]
-            found = [np.concatenate([x[1] for x in _anchors_of(np.frombuffer(t, np.uint8), depths)]) for t in texts]
-            size = np.array([len(x) for x in found], np.int64)
-            words = [len(t.split()) for t in texts]
-            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), pa.array(np.concatenate(found) if found else np.zeros(0, np.int64)))
-            cols = [batch.column("doc_id"), pa.array([len(t) for t in texts], pa.int64()), pa.array(words, pa.int64()), pa.array([x[0] for x in names], pa.int64()), pa.array([x[1] for x in names]), lists]
-            yield pa.RecordBatch.from_arrays(cols, ["doc_id", "n_bytes", "n_words", "class", "sha", "anchors"])
+            raw, off = common.flat_text(batch.column("text"))
+            found = anchors(raw, off, lengths, gram)
+            h, owner = np.concatenate([x[0] for x in found]), np.concatenate([np.searchsorted(off, x[1], side="right") - 1 for x in found])
+            start = np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=len(texts)))]).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(start), pa.array(h[np.argsort(owner, kind="stable")]))
+            words = pa.array([len(t.split()) for t in texts], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.diff(off)), words, pa.array([x[0] for x in names], pa.int64()), pa.array([x[1] for x in names]), lists], ["doc_id", "n_bytes", "n_words", "class", "sha", "anchors"])
 
     return docs.mapInArrow(run, "doc_id long, n_bytes long, n_words long, class long, sha string, anchors array<long>")
 
@@ -169,23 +163,27 @@ def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return hit.dropDuplicates(["class"])
 
 
-def _contexts(texts: DataFrame, depths: Depths) -> DataFrame:
+def _contexts(texts: DataFrame, lengths: tuple[int, ...], gram: int) -> DataFrame:
     """One row per repeated anchor: its depth and hash, its context and where its runs start."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in common.slices(batches, "bytes"):
-            cols: list[list] = [[] for _ in range(8)]
-            for cls, who, raw, rep in zip(*(batch.column(c).to_pylist() for c in ("class", "who", "bytes", "repeated")), strict=True):
-                wanted = np.array(rep, np.int64)
-                for length, h, lo, hi in _anchors_of(np.frombuffer(raw, np.uint8), depths):
-                    for k in np.flatnonzero(np.isin(h, wanted)).tolist():
-                        a, b = int(lo[k]), int(hi[k])
-                        part = raw[a : b + length]
-                        ctx = int.from_bytes(hashlib.blake2b(part, digest_size=8).digest(), "little", signed=True)
-                        for c, v in zip(cols, (length, int(h[k]), ctx, cls, who, a, b - a + 1, part), strict=True):
-                            c.append(v)
-            kinds = [pa.int32()] + [pa.int64()] * 6 + [pa.binary()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], ["depth", "hash", "ctx", "class", "who", "first_run", "n_runs", "part"])
+            raw, off = common.flat_text(batch.column("bytes").cast(pa.large_binary()))
+            blob = raw.tobytes()
+            cls, who = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("class", "who"))
+            # whether a hash is repeated does not depend on the text it stands in
+            wanted = np.unique(batch.column("repeated").flatten().to_numpy(zero_copy_only=False))
+            for length, (h, lo, hi) in zip(lengths, anchors(raw, off, lengths, gram), strict=True):
+                some = np.flatnonzero(np.isin(h, wanted))
+                h, lo, hi = h[some], lo[some], hi[some]
+                owner = np.searchsorted(off, lo, side="right") - 1
+                for k in range(0, len(some), 4096):
+                    a, b = lo[k : k + 4096], hi[k : k + 4096]
+                    parts = [blob[x:y] for x, y in zip(a.tolist(), (b + length).tolist(), strict=True)]
+                    ctx = [int.from_bytes(hashlib.blake2b(x, digest_size=8).digest(), "little", signed=True) for x in parts]
+                    own = owner[k : k + 4096]
+                    cols = [np.full(len(a), length, np.int32), h[k : k + 4096], np.array(ctx, np.int64), cls[own], who[own], a - off[own], b - a + 1]
+                    yield pa.RecordBatch.from_arrays([*map(pa.array, cols), pa.array(parts, pa.binary())], ["depth", "hash", "ctx", "class", "who", "first_run", "n_runs", "part"])
 
     return texts.select("class", "who", "bytes", "repeated").mapInArrow(run, "depth int, hash long, ctx long, class long, who long, first_run long, n_runs long, part binary")
 
@@ -210,7 +208,7 @@ def _run_hashes(parts: list[bytes], n_runs: np.ndarray, length: int) -> np.ndarr
 
 def suffix_ranks(raw: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
     """Rank of the suffixes that start at ``at`` among each other, in order of their first ``length`` bytes; equal ones
-    share a rank.  Prefix doubling: two neighbouring ranks make the rank of twice the depth."""
+    share a rank.  As in prefix doubling, neighbouring ranks, two or three, make the rank of a multiple of the depth."""
     width = min(8, length)
     padded = np.concatenate([raw, np.zeros(length, np.uint8)]).astype(np.uint64)
     key = np.zeros(len(raw), np.uint64)
@@ -219,11 +217,15 @@ def suffix_ranks(raw: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
     del padded
     while width < length:
         rank = _dense_ranks(key)
-        step = min(width, length - width)
-        second = np.zeros(len(raw), np.int64)
-        second[: max(len(raw) - step, 0)] = rank[step:]
-        key = rank * (len(raw) + 1) + second
-        width += step
+        top = int(rank.max(initial=0)) + 2
+        key, last = rank, 0
+        for k in (1, 2) if top**3 < 1 << 63 else (1,):  # ranks of neighbours, as many as a key holds
+            step = min(k * width, length - width)
+            if step > last:
+                nxt = np.zeros(len(raw), np.int64)
+                nxt[: max(len(raw) - step, 0)] = rank[step:] + 1
+                key, last = key * top + nxt, step
+        width += last
     return _dense_ranks(key[at])
 
 
@@ -323,18 +325,18 @@ def _judge_hot(distinct: DataFrame, length: int) -> DataFrame:
 
 # --------------------------------------------------------------------------- the operator
 def remove_repeats(
-    docs: DataFrame, length: int = LENGTH, gram: int = GRAM, keep: str = "first", with_text: bool = False, doc_id: str = "doc_id", text: str = "text", passage: tuple[int, int, int] | None = None
+    docs: DataFrame, length: int = LENGTH, gram: int = GRAM, keep: str = "first", with_text: bool = False, doc_id: str = "doc_id", text: str = "text", passage: tuple[int, int] | None = None
 ) -> DataFrame:
     """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256, removed spans (start, end), passages (start, end), and the
-    rest itself with ``with_text`` (null if nothing was removed: the text stays as it is).  ``passage``: bytes, anchor bytes and
-    words of what is reported as a passage; without it there are none."""
+    rest itself with ``with_text`` (null if nothing was removed: the text stays as it is).  ``passage``: bytes and words
+    of what is reported as a passage; without it there are none."""
     if keep not in ("first", "none"):
         raise ValueError("keep is 'first' or 'none'")
     spark = docs.sparkSession
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     src = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    depths: Depths = ((length, gram), passage[:2]) if passage else ((length, gram),)
-    rows = common.cut(_first_pass(src, depths), "lpf-rows")
+    depths = (length, passage[0]) if passage else (length,)
+    rows = common.cut(_first_pass(src, depths, gram), "lpf-rows")
     classes = common.cut(rows.groupBy("class").agg(F.min("doc_id").alias("who"), F.count("*").alias("copies"), F.first("n_words").alias("n_words"), F.first("anchors").alias("anchors")), "lpf-classes")
     each = classes.select("class", F.explode("anchors").alias("hash"))
     # a table of its own: an anchor that very many texts share is then split where both meet
@@ -343,7 +345,7 @@ def remove_repeats(
     wanted = common.cut(classes.select("class", "who").join(shared, "class"), "lpf-wanted")
     texts = common.cut(_texts_of(src, wanted), "lpf-texts")
 
-    ctx = common.cut(_contexts(texts, depths), "lpf-contexts")
+    ctx = common.cut(_contexts(texts, depths, gram), "lpf-contexts")
     order = F.struct("who", "first_run")
     distinct = ctx.groupBy("hash", "ctx").agg(F.first("depth").alias("depth"), F.count("*").alias("m"), F.min(order).alias("o"), F.first("n_runs").alias("n_runs"), F.first("part").alias("part")).select("depth", "hash", "ctx", "m", F.col("o.who").alias("who"), F.col("o.first_run").alias("first_run"), "n_runs", "part")
     distinct = common.cut(distinct, "lpf-distinct")
@@ -352,7 +354,7 @@ def remove_repeats(
     cool = distinct.join(F.broadcast(hot), "hash", "left_anti") if hot.limit(1).count() else distinct
     found = _judge(cool.repartition(parts, "hash").sortWithinPartitions("depth", "hash", "ctx"), length)
     if cool is not distinct:
-        for depth, _ in depths:
+        for depth in depths:
             found = found.unionByName(_judge_hot(distinct.where(F.col("depth") == depth).join(F.broadcast(hot), "hash"), depth))
     found = common.cut(found.where(F.size("spans") > 0), "lpf-found")
     s = F.col("s")
@@ -361,7 +363,7 @@ def remove_repeats(
         hit = hit.where((F.col("depth") != length) | ~((s["who"] == F.col("own")) & (s["pos"] == F.col("first_run") + s["at"])))
     reach = F.struct((F.col("depth") != length).alias("p"), (F.col("first_run") + s["at"]).alias("a"), (F.col("first_run") + s["at"] + s["n"] + (F.col("depth") - 1)).alias("b"))
     spans = hit.select("class", reach.alias("r")).groupBy("class").agg(F.collect_list("r").alias("spans"))
-    cut_rows = common.cut(_apply(texts.select("class", "bytes").join(spans, "class"), with_text, passage[2] if passage else 0), "lpf-cut")
+    cut_rows = common.cut(_apply(texts.select("class", "bytes").join(spans, "class"), with_text, passage[1] if passage else 0), "lpf-cut")
     common.drop_cut(twice, wanted, texts, ctx, distinct, found)
 
     info = classes.select("class", F.col("who").alias("first_doc"), "copies", "n_words").join(cut_rows, "class", "left")
@@ -372,7 +374,7 @@ def remove_repeats(
         copied = copied & (F.coalesce("doc_id", F.lit(NO_ID)) != F.coalesce("first_doc", F.lit(NO_ID)))
     whole = F.array(F.struct(F.lit(0).cast("long").alias("a"), F.col("n_bytes").alias("b")))
     none = F.array().cast("array<struct<a:bigint,b:bigint>>")
-    long = (F.col("copies") > 1) & (F.col("n_bytes") >= passage[0]) & (F.col("n_words") > passage[2]) if passage else F.lit(False)
+    long = (F.col("copies") > 1) & (F.col("n_bytes") >= passage[0]) & (F.col("n_words") > passage[1]) if passage else F.lit(False)
     pick = lambda all_, part, none: F.when(copied, all_).otherwise(F.coalesce(part, none))
     cols = [
         "doc_id",

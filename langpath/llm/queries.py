@@ -59,7 +59,7 @@ def op9_tensored_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_longest_previous_factor(spark: SparkSession, sf_dir: str) -> DataFrame:
-    cut = lpf.remove_repeats(common.read(spark, sf_dir, "documents", "doc_id", "text"), keep="none", passage=(lpf.PASSAGE, lpf.PASSAGE_GRAM, lpf.PASSAGE_WORDS))
+    cut = lpf.remove_repeats(common.read(spark, sf_dir, "documents", "doc_id", "text"), keep="none", passage=(lpf.PASSAGE, lpf.PASSAGE_WORDS))
     said = lambda c: F.array_join(F.transform(c, lambda x: F.concat_ws(":", x["a"].cast("string"), x["b"].cast("string"))), ",")
     return cut.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", said("removed").alias("removed"), F.size("passages").cast("long").alias("n_passages"), said("passages").alias("passages"))
 

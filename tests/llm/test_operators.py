@@ -495,7 +495,7 @@ def test_passages(spark):
     texts = [prose(20) + " " + p, prose(7) + p + " " + prose(9), p, p, "", None, prose(30) + p[:60] + prose(10), "x" * 90 + prose(5)]
     rows = [(10 + i, (t or "").encode()) for i, t in enumerate(texts)]
     df = spark.createDataFrame([(10 + i, t) for i, t in enumerate(texts)], "doc_id long, text string")
-    got = {r["doc_id"]: r for r in lpf.remove_repeats(df, length=70, gram=16, keep="first", passage=(50, 16, 35)).collect()}
+    got = {r["doc_id"]: r for r in lpf.remove_repeats(df, length=70, gram=16, keep="first", passage=(50, 35)).collect()}
     plain = {r["doc_id"]: r for r in lpf.remove_repeats(df, length=70, gram=16, keep="first").collect()}
     for (d, b), found in zip(rows, removed(rows, 50, False), strict=True):
         edge = np.flatnonzero(np.diff(np.concatenate([[0], found.astype(int), [0]]))).tolist()
