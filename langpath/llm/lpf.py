@@ -343,7 +343,12 @@ def remove_repeats(
     twice = common.cut(each.groupBy("hash").agg(F.count("*").alias("c")).where("c > 1").select("hash"), "lpf-twice")
     shared = each.join(twice, "hash").groupBy("class").agg(F.collect_set("hash").alias("repeated"))
     wanted = common.cut(classes.select("class", "who").join(shared, "class"), "lpf-wanted")
+    # from here on nobody asks for the anchors of all texts
+    heads = common.cut(classes.select("class", "who", "copies", "n_words"), "lpf-heads")
+    lines = common.cut(rows.select("doc_id", "n_bytes", "class", "sha"), "lpf-lines")
+    common.drop_cut(rows, classes, twice)
     texts = common.cut(_texts_of(src, wanted), "lpf-texts")
+    common.drop_cut(wanted)
 
     ctx = common.cut(_contexts(texts, depths, gram), "lpf-contexts")
     order = F.struct("who", "first_run")
@@ -364,10 +369,10 @@ def remove_repeats(
     reach = F.struct((F.col("depth") != length).alias("p"), (F.col("first_run") + s["at"]).alias("a"), (F.col("first_run") + s["at"] + s["n"] + (F.col("depth") - 1)).alias("b"))
     spans = hit.select("class", reach.alias("r")).groupBy("class").agg(F.collect_list("r").alias("spans"))
     cut_rows = common.cut(_apply(texts.select("class", "bytes").join(spans, "class"), with_text, passage[1] if passage else 0), "lpf-cut")
-    common.drop_cut(twice, wanted, texts, ctx, distinct, found)
+    common.drop_cut(texts, ctx, distinct, found)
 
-    info = classes.select("class", F.col("who").alias("first_doc"), "copies", "n_words").join(cut_rows, "class", "left")
-    out = rows.select("doc_id", "n_bytes", "class", "sha").join(info, "class")
+    info = heads.select("class", F.col("who").alias("first_doc"), "copies", "n_words").join(cut_rows, "class", "left")
+    out = lines.join(info, "class")
     copied = (F.col("copies") > 1) & (F.col("n_bytes") >= length)
     if keep == "first":
         # of whole copies the first stays, but for what it repeats of others
