@@ -520,6 +520,14 @@ def test_suffix_order_to_a_depth():
         assert lpf.suffix_ranks(raw, at, length).tolist() == [name[r] for r in runs]
 
 
+def test_long_opaque_tokens(spark):
+    token = "aB" * 40 + "7" + "c" * 9
+    df = spark.createDataFrame([(1, f"client_id = acme-service {token} end")], "doc_id long, text string")
+    found = secrets.scan(df).select(secrets.as_text("spans").alias("s")).first()["s"]
+    at = df.first()["text"].index(token)
+    assert f"wsecret:{at}:{at + len(token)}" in found.split(",")
+
+
 def test_repeats_of_nothing(nothing):
     assert lpf.remove_repeats(nothing).count() == 0
 
