@@ -88,13 +88,19 @@ def trim() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def forget_encoders() -> None:
+    """Workers are reused: one that does not encode has no need of what encoders have cached."""
+    if _encoders:
+        _encoders.clear()
+        trim()
+
+
 def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = SLICE_BYTES, encoding: bool = False) -> Iterator[pa.RecordBatch]:
     """Cut record batches so that each holds about ``limit`` bytes of ``text``; a longer
     single text stays whole.  Workers are reused by other operators, so one that does not
     encode first drops what encoders have cached."""
-    if not encoding and _encoders:
-        _encoders.clear()
-        trim()
+    if not encoding:
+        forget_encoders()
     for batch in batches:
         if batch.num_rows == 0:
             continue

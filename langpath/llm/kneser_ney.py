@@ -6,9 +6,11 @@ summed, sharded by gram.  A gram is packed exactly into one long.  Lower orders
 Joins of the sharded count tables (gram with its context's totals, gram with the probability of its
 suffix) give each seen gram its interpolated probability and each context its back-off weight.
 
-Documents are scored by joins too: their grams, each distinct one once, meet the tables of probabilities and
-of back-off weights, and the result meets the documents' grams.  Only tables with at most one entry per token of the
-vocabulary are broadcast.  Costs are summed as integers, so equal texts score equally.
+Documents are scored by sharded joins too.  Texts are kept as slices of encoded tokens.  A slice asks for each of its
+distinct grams once, in one block per shard of the count tables; blocks meet the shard's probabilities and back-off
+weights, and the slice sums the answers over its texts.  So what is shuffled grows with the distinct grams of slices, not
+with the tokens.  Only tables with at most one entry per token of the vocabulary are broadcast.  Costs are summed as
+integers, so equal texts score equally.
 
 Documents are in two folds.  A document is scored by the model of the other fold's trusted texts, so no
 text is judged by a model that has read it, and the trusted documents' scores show what good text unseen by the
@@ -24,10 +26,13 @@ with a perplexity are kept; an empty table gives no rows; other columns are igno
 
 from __future__ import annotations
 
+import functools
+import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -39,7 +44,15 @@ BEGIN, END = 0, 1
 # tokens: grams of TOKENS, BITS bits each, and above them the fold of the texts they are counted in
 TOKENS, BITS = 3, 20
 FOLD = 1 << TOKENS * BITS
-UNIT = 1 << 20  # costs are counted in so many parts of a bit
+UNIT = 1 << 10  # costs are counted in so many parts of a bit
+MISSING = 0xFFFF  # the answer for a gram without entry
+#: A slice ends after so many bytes of text; a shard has about so many tokens' grams and so many entries of the model.
+SLICE_TEXT, SHARD_TOKENS, SHARD_ENTRIES = 8 << 20, 1 << 22, 1 << 20
+#: Training counts are summed over so many grams at a time before they are shuffled.
+SUMMED = 1 << 21
+#: Slices are scored in so many rounds, each of which shuffles its share of the encoded texts.
+ROUNDS = 4
+ENCODED = 1 << 20  # bytes of text that are encoded at a time
 
 
 def _classes() -> np.ndarray:
@@ -105,13 +118,15 @@ def fit(texts: DataFrame) -> list[tuple[DataFrame, DataFrame]]:
     return interpolate(count_grams(texts), ORDER, CLASSES, lambda g: F.floor(g / CLASSES), lambda g, n: g % CLASSES**n)
 
 
-def interpolate(top: DataFrame, order: int, size: int, context: Callable[[Column], Column], suffix: Callable[[Column, int], Column]) -> list[tuple[DataFrame, DataFrame]]:
+def interpolate(top: DataFrame, order: int, size: int, context: Callable[[Column], Column], suffix: Callable[[Column, int], Column], made: list[DataFrame] | None = None) -> list[tuple[DataFrame, DataFrame]]:
     """For orders 1 to ``order``: (gram, p) of seen grams and (context, back-off weight w), from (gram, c) of the highest;
-    ``size`` is the number of symbols."""
+    ``size`` is the number of symbols.  The tables that were written go into ``made``."""
+    made = [] if made is None else made
     counts = [common.cut(top, "kn-counts")]
     for n in range(order - 1, 0, -1):
         # distinct left neighbours of the shorter gram
-        counts.insert(0, counts[0].groupBy(suffix(F.col("gram"), n).alias("gram")).agg(F.count("*").alias("c")))
+        counts.insert(0, common.cut(counts[0].groupBy(suffix(F.col("gram"), n).alias("gram")).agg(F.count("*").alias("c")), "kn-counts"))
+    made += counts
     out: list[tuple[DataFrame, DataFrame]] = []
     lower = None
     for n, g in enumerate(counts, 1):
@@ -127,6 +142,7 @@ def interpolate(top: DataFrame, order: int, size: int, context: Callable[[Column
             tail = F.col("tail")
         p = joined.select("gram", ((F.col("c") - F.col("d") + F.col("mass") * tail) / F.col("total")).alias("p"))
         lower = common.cut(p, f"kn-order{n}")
+        made.append(lower)
         out.append((lower, ctx.select("context", (F.col("mass") / F.col("total")).alias("w"))))
     return out
 
@@ -168,40 +184,62 @@ def context_of(gram: Column) -> Column:
     return F.shiftright(gram.bitwiseAND(F.lit(FOLD - 1)), BITS).bitwiseOR(gram.bitwiseAND(F.lit(FOLD)))
 
 
+def codes(ids: np.ndarray, n: np.ndarray, fold: np.ndarray) -> np.ndarray:
+    """The n + 1 grams of each text, one text after another; ``n`` has the tokens of texts, none of them empty."""
+    size = n + TOKENS
+    end = np.cumsum(size)
+    mark = np.zeros(int(size.sum()), bool)  # begin marks, and after each text its end
+    mark[end - 1] = True
+    for k in range(TOKENS - 1):
+        mark[end - size + k] = True
+    seq = np.full(len(mark), BEGIN, np.int64)
+    seq[end - 1] = END
+    seq[~mark] = ids.astype(np.int32) + (END + 1)
+    code = np.zeros(max(len(seq) - TOKENS + 1, 0), np.int64)
+    for k in range(TOKENS):
+        code <<= BITS
+        code |= seq[k : len(code) + k]
+    del seq
+    whole = np.ones(len(code), bool)  # no gram spans two texts
+    for k in range(1, TOKENS):
+        whole[end[:-1] - k] = False
+    code = code[whole]
+    np.bitwise_or(code, FOLD, out=code, where=np.repeat(fold.astype(bool), n + 1))
+    return code
+
+
+def _distinct(x: np.ndarray) -> np.ndarray:
+    """Distinct values in order; sorts ``x`` itself."""
+    x.sort()
+    new = np.ones(len(x), bool)
+    new[1:] = x[1:] != x[:-1]
+    return x[new]
+
+
 def token_grams(texts: DataFrame, tokenizer: str) -> DataFrame:
-    """(key, gram, n): how often each gram stands in the text of ``key``; ``texts`` has key, fold and text.
-    Empty texts have none."""
+    """(gram, n): how often each gram stands in a slice of the texts; ``texts`` has fold and text.  Empty texts have none."""
+
+    def summed(held: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        gram, n = np.unique(np.concatenate(held), return_counts=True)
+        for a in range(0, len(gram), 1 << 16):
+            part = slice(a, a + (1 << 16))
+            yield pa.RecordBatch.from_arrays([pa.array(gram[part]), pa.array(n[part])], ["gram", "n"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = common.encoder(tokenizer)
-        for batch in common.slices(batches, "text", encoding=True):
+        held: list[np.ndarray] = []
+        for batch in common.slices(batches, "text", ENCODED, encoding=True):
             ids, off = enc.encode(batch.column("text"))
             keep = np.diff(off) > 0
-            n = np.diff(off)[keep]
-            if not len(n):
-                continue
-            size = n + TOKENS
-            begin = np.cumsum(size) - size
-            seq = np.full(int(size.sum()), BEGIN, np.int64)
-            seq[common.gather(begin + TOKENS - 1, n)] = ids.astype(np.int64) + END + 1
-            seq[begin + size - 1] = END
-            code = np.zeros(len(seq) - TOKENS + 1, np.int64)
-            for k in range(TOKENS):
-                code = (code << BITS) | seq[k : len(seq) - TOKENS + 1 + k]
-            owner = np.repeat(np.arange(len(n)), n + 1)
-            code = code[common.gather(begin, n + 1)] | batch.column("fold").to_numpy()[keep][owner] * FOLD
-            order = np.lexsort((code, owner))
-            code, owner = code[order], owner[order]
-            new = np.ones(len(code), bool)
-            new[1:] = (code[1:] != code[:-1]) | (owner[1:] != owner[:-1])
-            at = np.flatnonzero(new)
-            count = np.diff(np.concatenate([at, [len(code)]]))
-            key = batch.column("key").to_numpy()[keep][owner[at]]
-            for a in range(0, len(at), 1 << 16):
-                part = slice(a, a + (1 << 16))
-                yield pa.RecordBatch.from_arrays([pa.array(key[part]), pa.array(code[at[part]]), pa.array(count[part])], ["key", "gram", "n"])
-
-    return texts.select("key", "fold", "text").mapInArrow(run, "key long, gram long, n long")
+            held.append(codes(ids, np.diff(off)[keep], batch.column("fold").to_numpy()[keep]))
+            if sum(map(len, held)) >= SUMMED:
+                yield from summed(held)
+                held = []
+                common.trim()
+        if held:
+            yield from summed(held)
+
+    return texts.select("fold", "text").mapInArrow(run, "gram long, n long")
 
 
 def vocabulary_size(tokenizer: str) -> int:
@@ -210,14 +248,15 @@ def vocabulary_size(tokenizer: str) -> int:
     return Tokenizer.from_file(tokenizer).get_vocab_size() + 1  # the end mark included
 
 
-def fit_tokens(texts: DataFrame, tokenizer: str) -> list[tuple[DataFrame, DataFrame]]:
-    """The model of each fold; ``texts`` has key, fold and text."""
+def fit_tokens(texts: DataFrame, tokenizer: str, made: list[DataFrame] | None = None) -> list[tuple[DataFrame, DataFrame]]:
+    """The model of each fold; ``texts`` has fold and text."""
     top = token_grams(texts, tokenizer).groupBy("gram").agg(F.sum("n").alias("c"))
-    return interpolate(top, TOKENS, vocabulary_size(tokenizer), context_of, suffix_of)
+    return interpolate(top, TOKENS, vocabulary_size(tokenizer), context_of, suffix_of, made)
 
 
 def gram_costs(grams_: DataFrame, model: list[tuple[DataFrame, DataFrame]], size: int) -> DataFrame:
-    """(gram, cost): what each distinct gram costs, in parts of a bit; unseen ones by back-off."""
+    """(gram, cost): what each distinct gram of a table costs, in parts of a bit; unseen ones by back-off.  Whole corpora
+    are scored by :func:`perplexities`, which sends blocks instead of rows."""
     out = grams_.select("gram").distinct().withColumn("p", F.lit(1.0 / size))
     for n, (seen, contexts) in enumerate(model, 1):
         # one entry per token at most up to here; beyond, the tables grow with the corpus
@@ -231,17 +270,217 @@ def gram_costs(grams_: DataFrame, model: list[tuple[DataFrame, DataFrame]], size
     return out.select("gram", F.round(-F.log2("p") * UNIT).cast("long").alias("cost"))
 
 
-def perplexities(docs: DataFrame, model: list[tuple[DataFrame, DataFrame]], tokenizer: str, keep: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, the columns ``keep``, n_bytes and perplexity of each document, by the model of the other fold."""
-    text = F.coalesce("text", F.lit(""))
-    row = docs.select("doc_id", *keep, F.xxhash64("doc_id", text).alias("key"), (1 - fold_of(F.col("doc_id"))).alias("fold"), text.alias("text"))
-    found = token_grams(row, tokenizer)
-    costs = gram_costs(found, model, vocabulary_size(tokenizer))
-    # equal rows share a key; each text has one end mark, which tells how many there are
-    ends = F.sum(F.when(suffix_of(F.col("gram"), 1).bitwiseAND(F.lit(FOLD - 1)) == END, F.col("n")))
-    total = found.join(costs.hint("merge"), "gram").groupBy("key").agg((F.sum(F.col("n") * F.col("cost")) / ends / UNIT).alias("bits"))
-    sized = row.select("doc_id", *keep, "key", F.octet_length("text").cast("long").alias("n_bytes"))
-    return sized.join(total, "key", "left").select("doc_id", *keep, "n_bytes", F.pow(F.lit(2.0), F.col("bits") / (F.col("n_bytes") + 1)).alias("perplexity"))
+def _squeeze(x: np.ndarray, level: int = 3) -> bytes:
+    """Numbers, byte by byte of equal weight."""
+    return zstandard.ZstdCompressor(level).compress(np.ascontiguousarray(x.view(np.uint8).reshape(-1, x.itemsize).T).tobytes())
+
+
+def _expand(data: bytes, dtype: type) -> np.ndarray:
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8).reshape(np.dtype(dtype).itemsize, -1)
+    return np.ascontiguousarray(planes.T).view(dtype).ravel()
+
+
+def encoded_slices(docs: DataFrame, tokenizer: str) -> DataFrame:
+    """One row per slice of documents: its number, its tokens, and of its documents doc_id, lang, n_bytes, fold, tokens and
+    all ids.  Numbers are drawn, so the result must be written before it is used."""
+    narrow = vocabulary_size(tokenizer) <= 1 << 16
+
+    def packed(held: list[tuple]) -> pa.RecordBatch:
+        ids, n, n_bytes, fold = (np.concatenate([h[k] for h in held]) for k in range(4))
+        one = lambda values: pa.ListArray.from_arrays(pa.array([0, len(values)], pa.int32()), values)
+        texts = [one(pa.concat_arrays([h[k] for h in held])) for k in (4, 5)]
+        numbers = [one(pa.array(x.astype(np.int64))) for x in (n_bytes, fold, n)]
+        blob = zstandard.ZstdCompressor(3).compress(ids.tobytes())
+        return pa.RecordBatch.from_arrays([pa.array([uuid.uuid4().int >> 65], pa.int64()), pa.array([int(n.sum())], pa.int64()), *texts, *numbers, pa.array([blob], pa.binary())], ["slice", "tokens", "doc_id", "lang", "n_bytes", "fold", "n", "ids"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enc = common.encoder(tokenizer)
+        held: list[tuple] = []
+        for batch in common.slices(batches, "text", ENCODED, encoding=True):
+            ids, off = enc.encode(batch.column("text"))
+            n_bytes = np.diff(common.flat_text(batch.column("text"))[1])
+            held.append((ids.astype(np.uint16 if narrow else np.uint32), np.diff(off), n_bytes, batch.column("fold").to_numpy(), batch.column("doc_id"), batch.column("lang")))
+            if sum(int(h[2].sum()) for h in held) >= SLICE_TEXT:
+                yield packed(held)
+                held = []
+                common.trim()
+        if held:
+            yield packed(held)
+
+    schema = "slice long, tokens long, doc_id array<long>, lang array<string>, n_bytes array<long>, fold array<long>, n array<long>, ids binary"
+    return docs.select("doc_id", "lang", "fold", "text").mapInArrow(run, schema)
+
+
+def _grams_of(row: dict, narrow: bool) -> tuple[np.ndarray, np.ndarray]:
+    """(grams of all texts of a slice, tokens of its texts)."""
+    ids = np.frombuffer(zstandard.ZstdDecompressor().decompress(row["ids"]), np.uint16 if narrow else np.uint32)
+    n = np.array(row["n"], np.int64)
+    return codes(ids, n[n > 0], np.array(row["fold"], np.int64)[n > 0]), n
+
+
+def _ends_of(gram: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The shorter grams that a gram's cost may need: its context and its suffix."""
+    fold = gram & FOLD
+    return (gram & (FOLD - 1)) >> BITS | fold, gram & ((1 << (TOKENS - 1) * BITS) - 1) | fold
+
+
+_MIX = (1640531527, 1013904223)  # below 2**31, so the sum of products stays below 2**53
+
+
+def shard_of(gram: np.ndarray, shards: int) -> np.ndarray:
+    """By all tokens but the last: a context's grams, at most one for each token of the vocabulary, stand together."""
+    low = (1 << BITS) - 1
+    return ((gram >> BITS & low) * _MIX[0] + (gram >> 2 * BITS) * _MIX[1] >> 12) % shards
+
+
+def shard_column(gram: Column, shards: int) -> Column:
+    """The same as :func:`shard_of`."""
+    mixed = F.shiftright(gram, BITS).bitwiseAND(F.lit((1 << BITS) - 1)) * _MIX[0] + F.shiftright(gram, 2 * BITS) * _MIX[1]
+    return F.pmod(F.shiftright(mixed, 12), F.lit(shards).cast("long"))
+
+
+def questions(slices: DataFrame, shards: int, narrow: bool) -> DataFrame:
+    """(slice, n, shard, grams): the distinct grams of n tokens of each slice, a block for each shard."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.forget_encoders()
+        for batch in batches:
+            for i in range(batch.num_rows):
+                row = {c: batch.column(c)[i].as_py() for c in batch.schema.names}
+                top = _distinct(_grams_of(row, narrow)[0])
+                common.trim()
+                for n, gram in ((TOKENS, top), (TOKENS - 1, _distinct(np.concatenate(_ends_of(top))))):
+                    shard = shard_of(gram, shards)
+                    order = np.argsort(shard, kind="stable")
+                    at, start = np.unique(shard[order], return_index=True)
+                    blocks = [_squeeze(np.diff(part, prepend=0)) for part in np.split(gram[order], start[1:])] if len(at) else []
+                    ones = np.ones(len(at), np.int64)
+                    yield pa.RecordBatch.from_arrays([pa.array(ones * row["slice"]), pa.array(ones * n), pa.array(at.astype(np.int64)), pa.array(blocks, pa.binary())], ["slice", "n", "shard", "grams"])
+
+    return slices.select("slice", "fold", "n", "ids").mapInArrow(run, "slice long, n long, shard long, grams binary")
+
+
+def model_entries(model: list[tuple[DataFrame, DataFrame]]) -> DataFrame:
+    """(kind, gram, cost): probabilities of seen grams (kind: how many tokens) and, as kind 0, the back-off weights of contexts
+    of the highest order, all as costs."""
+    cost = lambda c: F.greatest(F.lit(0), F.least(F.round(-F.log2(c) * UNIT), F.lit(MISSING - 1))).cast("int").alias("cost")
+    parts = [model[n - 1][0].select(F.lit(n).alias("kind"), "gram", cost("p")) for n in (TOKENS, TOKENS - 1)]
+    parts.append(model[-1][1].select(F.lit(0).alias("kind"), F.col("context").alias("gram"), cost("w")))
+    return functools.reduce(DataFrame.unionAll, parts)
+
+
+def sorted_entries(entries: DataFrame, shards: int) -> DataFrame:
+    """(shard, kind, grams, costs): the entries of a shard, in order of gram, one row for each kind."""
+
+    def run(part: pa.Table) -> pa.Table:
+        shard, kind, gram, cost = (part.column(c).to_numpy() for c in ("shard", "kind", "gram", "cost"))
+        rows = []
+        for k in np.unique(kind).tolist():
+            g, c = gram[kind == k], cost[kind == k].astype(np.uint16)
+            order = np.argsort(g)
+            rows.append((int(shard[0]), k, _squeeze(np.diff(g[order], prepend=0)), _squeeze(c[order])))
+        return pa.table(dict(zip(("shard", "kind", "grams", "costs"), map(list, zip(*rows, strict=True)), strict=True)))
+
+    return entries.withColumn("shard", shard_column(F.col("gram"), shards)).groupBy("shard").applyInArrow(run, "shard long, kind long, grams binary, costs binary")
+
+
+def _meet(asked: pa.Table, entries: pa.Table) -> pa.Table:
+    """Answers to a shard's blocks: costs in the order of the block's grams, for shorter ones the back-off weights after them."""
+    nothing = np.zeros(0, np.int64), np.zeros(0, np.uint16)
+    known = {row["kind"]: (np.cumsum(_expand(row["grams"], np.int64)), _expand(row["costs"], np.uint16)) for row in entries.to_pylist()}
+    known = {k: (np.append(g, -1), np.append(c, np.uint16(MISSING))) for k in (TOKENS, TOKENS - 1, 0) for g, c in [known.get(k, nothing)]}  # no gram is negative
+
+    def look(k: int, want: np.ndarray) -> np.ndarray:
+        g, c = known[k]
+        at = np.searchsorted(g[:-1], want)
+        return np.where(g[at] == want, c[at], np.uint16(MISSING))
+
+    out = []
+    for n, block in zip(asked.column("n").to_pylist(), asked.column("grams").to_pylist(), strict=True):
+        want = np.cumsum(_expand(block, np.int64))
+        out.append(_squeeze(look(n, want) if n == TOKENS else np.concatenate([look(n, want), look(0, want)])))
+    return pa.table({"slice": asked.column("slice"), "n": asked.column("n"), "shard": asked.column("shard"), "costs": pa.array(out, pa.binary())})
+
+
+def small_costs(model: list[tuple[DataFrame, DataFrame]], size: int) -> tuple[np.ndarray, np.ndarray]:
+    """By fold and token: the cost of a token alone and of backing off from it.  Each table has one entry per token at most."""
+    start = {int(c): w for c, w in model[0][1].select("context", "w").collect()}
+    alone = np.repeat([[start.get(fold * FOLD, 1.0) / size] for fold in (0, 1)], size + END + 2, axis=1)
+    back = np.ones_like(alone)
+    for out, frame in ((alone, model[0][0].select("gram", "p")), (back, model[1][1].select("context", "w"))):
+        rows = frame.toPandas()
+        at = rows.iloc[:, 0].to_numpy(np.int64)
+        out[at >> TOKENS * BITS, at & ((1 << BITS) - 1)] = rows.iloc[:, 1].to_numpy(np.float64)
+    return tuple(np.rint(-np.log2(x) * UNIT).astype(np.int64) for x in (alone, back))
+
+
+def lookup_tables(model: list[tuple[DataFrame, DataFrame]], tokenizer: str) -> tuple[DataFrame, tuple[np.ndarray, np.ndarray]]:
+    """What scoring needs of a model: the table of :func:`model_entries`, and :func:`small_costs`."""
+    return common.cut(model_entries(model), "kn-entries"), small_costs(model, vocabulary_size(tokenizer))
+
+
+def perplexities(docs: DataFrame, tables: tuple[DataFrame, tuple[np.ndarray, np.ndarray]], tokenizer: str, shards: int | None = None) -> DataFrame:
+    """doc_id, lang, n_bytes and perplexity of each document, by the model of the other fold (its ``lookup_tables``, deleted
+    when used); the number of shards follows the tokens and the model's entries."""
+    narrow = vocabulary_size(tokenizer) <= 1 << 16
+    row = docs.select("doc_id", "lang", (1 - fold_of(F.col("doc_id"))).alias("fold"), F.coalesce("text", F.lit("")).alias("text"))
+    entries, small = tables[0], docs.sparkSession.sparkContext.broadcast(tables[1])
+    slices = common.cut(encoded_slices(row, tokenizer), "kn-slices")
+    shards = shards or 1 + (slices.agg(F.sum("tokens")).first()[0] or 0) // SHARD_TOKENS + entries.count() // SHARD_ENTRIES
+    held = common.cut(sorted_entries(entries, shards), "kn-shards")
+    common.drop_cut(entries)
+
+    def total(texts: pa.Table, got: pa.Table) -> pa.Table:
+        common.forget_encoders()
+        alone, back = small.value
+        got = got.sort_by("shard")
+        kinds = got.column("n").to_numpy()
+        blocks = got.column("costs").to_pylist()
+        out = []
+        for one in texts.to_pylist():
+            code, n = _grams_of(one, narrow)
+            order = np.argsort(code)
+            top = code[order]
+            new = np.ones(len(top), bool)
+            new[1:] = top[1:] != top[:-1]
+            top = top[new]
+            context, suffix = _ends_of(top)
+            lower = _distinct(np.concatenate([context, suffix]))
+            put = {}
+            for k, gram, width in ((TOKENS, top, 1), (TOKENS - 1, lower, 2)):
+                parts = [_expand(b, np.uint16).reshape(width, -1) for b, kind in zip(blocks, kinds, strict=True) if kind == k]
+                came = np.concatenate(parts, axis=1) if parts else np.zeros((width, 0), np.uint16)
+                if came.shape[1] != len(gram):
+                    raise RuntimeError(f"slice {one['slice']}: {came.shape[1]} answers for {len(gram)} grams")
+                put[k] = np.empty((width, len(gram)), np.int64)
+                put[k][:, np.argsort(shard_of(gram, shards), kind="stable")] = came
+            seen, weight = put[TOKENS - 1]
+            fold, low = lower >> TOKENS * BITS, (1 << BITS) - 1
+            seen = np.where(seen == MISSING, back[fold, lower >> BITS & low] + alone[fold, lower & low], seen)
+            weight[weight == MISSING] = 0
+            cost = put[TOKENS][0]
+            cost = np.where(cost == MISSING, weight[np.searchsorted(lower, context)] + seen[np.searchsorted(lower, suffix)], cost)
+            del context, suffix, seen, weight, put
+            code[order] = np.repeat(cost, np.diff(np.append(np.flatnonzero(new), len(code))))  # each gram becomes its cost
+            some = n > 0
+            bits = np.zeros(len(n))
+            if some.any():
+                bits[some] = np.add.reduceat(code, np.cumsum(n[some] + 1) - n[some] - 1) / UNIT
+            common.trim()
+            out.append(pa.table({"doc_id": pa.array(one["doc_id"], pa.int64()), "lang": pa.array(one["lang"], pa.string()), "n_bytes": pa.array(one["n_bytes"], pa.int64()), "bits": pa.array(bits, mask=~some)}))
+        return pa.concat_tables(out) if out else pa.table({"doc_id": pa.array([], pa.int64()), "lang": pa.array([], pa.string()), "n_bytes": pa.array([], pa.int64()), "bits": pa.array([], pa.float64())})
+
+    rounds = []
+    for k in range(ROUNDS):
+        share = slices.where(F.pmod("slice", F.lit(ROUNDS)) == k)
+        met = questions(share, shards, narrow).groupBy("shard").cogroup(held.groupBy("shard")).applyInArrow(_meet, "slice long, n long, shard long, costs binary")
+        answers = common.cut(met, "kn-answers")
+        scores = share.groupBy("slice").cogroup(answers.groupBy("slice")).applyInArrow(total, "doc_id long, lang string, n_bytes long, bits double")
+        rounds.append(common.cut(scores, "kn-scores"))
+        common.drop_cut(answers)
+    common.drop_cut(slices, held)
+    scored = functools.reduce(DataFrame.unionAll, rounds)
+    return scored.select("doc_id", "lang", "n_bytes", F.pow(F.lit(2.0), F.col("bits") / (F.col("n_bytes") + 1)).alias("perplexity"))
 
 
 def trusted_texts(docs: DataFrame, trusted: DataFrame) -> DataFrame:
@@ -263,9 +502,11 @@ def classify(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, doc
     src = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(lang).cast("string").alias("lang"), F.col(text).alias("text"))
     trusted = common.cut(labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), "kn-trusted")
     tokenizer = tokenizer or common.tokenizer_file()
-    texts = trusted_texts(src, trusted).select(F.col("doc_id").alias("key"), fold_of(F.col("doc_id")).alias("fold"), "text")
-    model = fit_tokens(texts, tokenizer)
-    scores = common.cut(perplexities(src, model, tokenizer, ("lang",)), "kn-scores")
+    texts = trusted_texts(src, trusted).select(fold_of(F.col("doc_id")).alias("fold"), "text")
+    made: list[DataFrame] = []
+    tables = lookup_tables(fit_tokens(texts, tokenizer, made), tokenizer)
+    common.drop_cut(*made)
+    scores = perplexities(src, tables, tokenizer)
     good = scores.join(trusted, "doc_id", "left_semi").where("perplexity is not null")
     at = F.percentile_approx("perplexity", quantile, 10_000)
     limits = good.groupBy("lang").agg(at.alias("own"))

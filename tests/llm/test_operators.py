@@ -203,6 +203,49 @@ def test_token_model_is_a_distribution(spark):
     assert all(r["s"] == pytest.approx(1, abs=1e-3) for r in cost.groupBy("c").agg(F.sum("p").alias("s")).collect())
 
 
+def scored(orders, size, g):
+    """Probability of a gram (fold, tokens) by interpolation down to one over ``size``; ``orders`` has the counts by length."""
+    if len(g) == 1:
+        return 1 / size
+    counts = orders[len(g) - 2]
+    n = Counter(counts.values())
+    d = [0.5, 0.75, 0.9]
+    if all(n[k] for k in (1, 2, 3, 4)):
+        y = n[1] / (n[1] + 2 * n[2])
+        d = [min(max(k - (k + 1) * y * n[k + 1] / n[k], 0.05), k - 0.05) for k in (1, 2, 3)]
+    here = {x: c for x, c in counts.items() if x[:-1] == g[:-1]}
+    off = lambda c: d[min(c, 3) - 1]
+    lower = scored(orders, size, (g[0], *g[2:]))
+    if not here:
+        return lower
+    seen = here[g] - off(here[g]) if g in here else 0
+    return (seen + sum(map(off, here.values())) * lower) / sum(here.values())
+
+
+@pytest.mark.parametrize("shards", [1, 7])
+def test_perplexity_equals_brute_force(spark, shards):
+    tok = common.tokenizer_file()
+    texts = [None, "", *(prose(int(n)) for n in RNG.integers(1, 90, 40)), "привет мир", "a a a a a a a a", prose(2000)]
+    df = spark.createDataFrame([(i, t, None if i % 5 == 0 else "en") for i, t in enumerate([*texts, texts[5]])], "doc_id long, text string, lang string").repartition(3)
+    fold = {r["doc_id"]: r["f"] for r in df.select("doc_id", kneser_ney.fold_of(F.col("doc_id")).alias("f")).collect()}
+    trained = df.where("doc_id % 3 != 1")
+    model = kneser_ney.fit_tokens(trained.select(kneser_ney.fold_of(F.col("doc_id")).alias("fold"), "text"), tok)
+    got = {r["doc_id"]: r for r in kneser_ney.perplexities(df, kneser_ney.lookup_tables(model, tok), tok, shards).collect()}
+    size = kneser_ney.vocabulary_size(tok)
+    seqs = {r["doc_id"]: ["^", "^", *ids_of(r["text"])[:-1].tolist(), "$"] if r["text"] else [] for r in df.collect()}
+    top = Counter((fold[i], *s[k : k + 3]) for i, s in seqs.items() if i % 3 != 1 for k in range(len(s) - 2))
+    orders = [top]  # a gram's fold stands before its tokens
+    for _ in range(2):
+        orders.insert(0, Counter((g[0], *g[2:]) for g in orders[0]))
+    assert len(got) == len(seqs) and {r["n_bytes"] for r in got.values()} == {len((t or "").encode()) for t in texts}
+    for i, s in seqs.items():
+        if not s:
+            assert got[i]["perplexity"] is None
+            continue
+        bits = -sum(np.log2(scored(orders, size, (1 - fold[i], *s[k : k + 3]))) for k in range(len(s) - 2))
+        assert got[i]["perplexity"] == pytest.approx(2 ** (bits / (got[i]["n_bytes"] + 1)), rel=2e-3)
+
+
 def test_threshold_is_the_quantile_itself(spark):
     df = spark.createDataFrame([(i, prose(40 + i), "en") for i in range(12)], "doc_id long, text string, lang string")
     rows = kneser_ney.classify(df, spark.createDataFrame([(i, 1) for i in range(12)], "doc_id long, quality int")).collect()
