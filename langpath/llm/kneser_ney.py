@@ -342,20 +342,26 @@ def shard_column(gram: Column, shards: int) -> Column:
 def questions(slices: DataFrame, shards: int, narrow: bool) -> DataFrame:
     """(slice, n, shard, grams): the distinct grams of n tokens of each slice, a block for each shard."""
 
+    def blocks_of(row: dict) -> pa.RecordBatch:
+        top = _distinct(_grams_of(row, narrow)[0])
+        sizes, places, blocks = [], [], []
+        for n, gram in ((TOKENS, top), (TOKENS - 1, _distinct(np.concatenate(_ends_of(top))))):
+            shard = shard_of(gram, shards)
+            order = np.argsort(shard, kind="stable")
+            at, start = np.unique(shard[order], return_index=True)
+            if len(at):
+                blocks += [_squeeze(np.diff(part, prepend=0)) for part in np.split(gram[order], start[1:])]
+            places += at.tolist()
+            sizes += [n] * len(at)
+        slice_ = np.full(len(places), row["slice"], np.int64)
+        return pa.RecordBatch.from_arrays([pa.array(slice_), pa.array(sizes, pa.int64()), pa.array(places, pa.int64()), pa.array(blocks, pa.binary())], ["slice", "n", "shard", "grams"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.forget_encoders()
         for batch in batches:
             for i in range(batch.num_rows):
-                row = {c: batch.column(c)[i].as_py() for c in batch.schema.names}
-                top = _distinct(_grams_of(row, narrow)[0])
+                yield blocks_of({c: batch.column(c)[i].as_py() for c in batch.schema.names})
                 common.trim()
-                for n, gram in ((TOKENS, top), (TOKENS - 1, _distinct(np.concatenate(_ends_of(top))))):
-                    shard = shard_of(gram, shards)
-                    order = np.argsort(shard, kind="stable")
-                    at, start = np.unique(shard[order], return_index=True)
-                    blocks = [_squeeze(np.diff(part, prepend=0)) for part in np.split(gram[order], start[1:])] if len(at) else []
-                    ones = np.ones(len(at), np.int64)
-                    yield pa.RecordBatch.from_arrays([pa.array(ones * row["slice"]), pa.array(ones * n), pa.array(at.astype(np.int64)), pa.array(blocks, pa.binary())], ["slice", "n", "shard", "grams"])
 
     return slices.select("slice", "fold", "n", "ids").mapInArrow(run, "slice long, n long, shard long, grams binary")
 
@@ -373,6 +379,7 @@ def sorted_entries(entries: DataFrame, shards: int) -> DataFrame:
     """(shard, kind, grams, costs): the entries of a shard, in order of gram, one row for each kind."""
 
     def run(part: pa.Table) -> pa.Table:
+        common.forget_encoders()
         shard, kind, gram, cost = (part.column(c).to_numpy() for c in ("shard", "kind", "gram", "cost"))
         rows = []
         for k in np.unique(kind).tolist():
@@ -386,6 +393,8 @@ def sorted_entries(entries: DataFrame, shards: int) -> DataFrame:
 
 def _meet(asked: pa.Table, entries: pa.Table) -> pa.Table:
     """Answers to a shard's blocks: costs in the order of the block's grams, for shorter ones the back-off weights after them."""
+    common.forget_encoders()
+    common.trim()
     nothing = np.zeros(0, np.int64), np.zeros(0, np.uint16)
     known = {row["kind"]: (np.cumsum(_expand(row["grams"], np.int64)), _expand(row["costs"], np.uint16)) for row in entries.to_pylist()}
     known = {k: (np.append(g, -1), np.append(c, np.uint16(MISSING))) for k in (TOKENS, TOKENS - 1, 0) for g, c in [known.get(k, nothing)]}  # no gram is negative
@@ -430,46 +439,48 @@ def perplexities(docs: DataFrame, tables: tuple[DataFrame, tuple[np.ndarray, np.
     held = common.cut(sorted_entries(entries, shards), "kn-shards")
     common.drop_cut(entries)
 
+    def bits_of(one: dict, asked: list[int], blocks: list[bytes]) -> pa.Table:
+        alone, back = small.value
+        code, n = _grams_of(one, narrow)
+        order = np.argsort(code)
+        top = code[order]
+        new = np.ones(len(top), bool)
+        new[1:] = top[1:] != top[:-1]
+        top = top[new]
+        context, suffix = _ends_of(top)
+        lower = _distinct(np.concatenate([context, suffix]))
+        put = {}
+        for k, gram, width in ((TOKENS, top, 1), (TOKENS - 1, lower, 2)):
+            parts = [_expand(b, np.uint16).reshape(width, -1) for b, kind in zip(blocks, asked, strict=True) if kind == k]
+            came = np.concatenate(parts, axis=1) if parts else np.zeros((width, 0), np.uint16)
+            if came.shape[1] != len(gram):
+                raise RuntimeError(f"slice {one['slice']}: {came.shape[1]} answers for {len(gram)} grams")
+            put[k] = np.empty((width, len(gram)), np.int32)
+            put[k][:, np.argsort(shard_of(gram, shards), kind="stable")] = came
+        seen, weight = put[TOKENS - 1]
+        fold, low = lower >> TOKENS * BITS, (1 << BITS) - 1
+        seen = np.where(seen == MISSING, back[fold, lower >> BITS & low] + alone[fold, lower & low], seen)
+        weight[weight == MISSING] = 0
+        cost = put[TOKENS][0]
+        cost = np.where(cost == MISSING, weight[np.searchsorted(lower, context)] + seen[np.searchsorted(lower, suffix)], cost)
+        code[order] = np.repeat(cost, np.diff(np.append(np.flatnonzero(new), len(code))))  # each gram becomes its cost
+        some = n > 0
+        bits = np.zeros(len(n))
+        if some.any():
+            bits[some] = np.add.reduceat(code, np.cumsum(n[some] + 1) - n[some] - 1) / UNIT
+        return pa.table({"doc_id": pa.array(one["doc_id"], pa.int64()), "lang": pa.array(one["lang"], pa.string()), "n_bytes": pa.array(one["n_bytes"], pa.int64()), "bits": pa.array(bits, mask=~some)})
+
     def total(texts: pa.Table, got: pa.Table) -> pa.Table:
         common.forget_encoders()
-        alone, back = small.value
         got = got.sort_by("shard")
-        kinds = got.column("n").to_numpy()
-        blocks = got.column("costs").to_pylist()
+        asked, blocks = (got.column(c).to_pylist() for c in ("n", "costs"))
         out = []
         for one in texts.to_pylist():
-            code, n = _grams_of(one, narrow)
-            order = np.argsort(code)
-            top = code[order]
-            new = np.ones(len(top), bool)
-            new[1:] = top[1:] != top[:-1]
-            top = top[new]
-            context, suffix = _ends_of(top)
-            lower = _distinct(np.concatenate([context, suffix]))
-            put = {}
-            for k, gram, width in ((TOKENS, top, 1), (TOKENS - 1, lower, 2)):
-                parts = [_expand(b, np.uint16).reshape(width, -1) for b, kind in zip(blocks, kinds, strict=True) if kind == k]
-                came = np.concatenate(parts, axis=1) if parts else np.zeros((width, 0), np.uint16)
-                if came.shape[1] != len(gram):
-                    raise RuntimeError(f"slice {one['slice']}: {came.shape[1]} answers for {len(gram)} grams")
-                put[k] = np.empty((width, len(gram)), np.int64)
-                put[k][:, np.argsort(shard_of(gram, shards), kind="stable")] = came
-            seen, weight = put[TOKENS - 1]
-            fold, low = lower >> TOKENS * BITS, (1 << BITS) - 1
-            seen = np.where(seen == MISSING, back[fold, lower >> BITS & low] + alone[fold, lower & low], seen)
-            weight[weight == MISSING] = 0
-            cost = put[TOKENS][0]
-            cost = np.where(cost == MISSING, weight[np.searchsorted(lower, context)] + seen[np.searchsorted(lower, suffix)], cost)
-            del context, suffix, seen, weight, put
-            code[order] = np.repeat(cost, np.diff(np.append(np.flatnonzero(new), len(code))))  # each gram becomes its cost
-            some = n > 0
-            bits = np.zeros(len(n))
-            if some.any():
-                bits[some] = np.add.reduceat(code, np.cumsum(n[some] + 1) - n[some] - 1) / UNIT
+            out.append(bits_of(one, asked, blocks))
             common.trim()
-            out.append(pa.table({"doc_id": pa.array(one["doc_id"], pa.int64()), "lang": pa.array(one["lang"], pa.string()), "n_bytes": pa.array(one["n_bytes"], pa.int64()), "bits": pa.array(bits, mask=~some)}))
-        return pa.concat_tables(out) if out else pa.table({"doc_id": pa.array([], pa.int64()), "lang": pa.array([], pa.string()), "n_bytes": pa.array([], pa.int64()), "bits": pa.array([], pa.float64())})
+        return pa.concat_tables(out) if out else none
 
+    none = pa.table({"doc_id": pa.array([], pa.int64()), "lang": pa.array([], pa.string()), "n_bytes": pa.array([], pa.int64()), "bits": pa.array([], pa.float64())})
     rounds = []
     for k in range(ROUNDS):
         share = slices.where(F.pmod("slice", F.lit(ROUNDS)) == k)
