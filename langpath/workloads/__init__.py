@@ -307,28 +307,28 @@ def kron_matrix(spark, sf_dir):
     return kron.matrix(_numbers(load(spark, sf_dir, "nation"), "n_nationkey", 4), _numbers(load(spark, sf_dir, "supplier"), "s_suppkey", 7), 7, 7, b_is_small=True)
 
 
-_LITTLE = "select src, case label when 'user' then 'click' when 'assistant' then 'view' else 'error' end label, dst from (select distinct conv_id * 16 + turn src, role label, conv_id * 16 + nxt dst from (select conv_id, turn, role, lead(turn) over (partition by conv_id order by turn) nxt from conversations where conv_id % 50 = 0) t where nxt is not null) x"
+_TURNS = "select src, case label when 'user' then 'click' when 'assistant' then 'view' else 'error' end label, dst from (select distinct conv_id * 16 + turn src, role label, conv_id * 16 + nxt dst from (select conv_id, turn, role, lead(turn) over (partition by conv_id order by turn) nxt from conversations) t where nxt is not null) x"
 
 
-def _little(spark, sf_dir) -> LabeledGraph:
+def _turns(spark, sf_dir) -> LabeledGraph:
     g = B.dialogue(spark, sf_dir)
     label = F.when(F.col("label") == "user", "click").when(F.col("label") == "assistant", "view").otherwise("error")
-    return LabeledGraph(g.edges.where("(src div 16) % 50 = 0").select("src", label.alias("label"), "dst"), g.vertices)
+    return LabeledGraph(g.edges.select("src", label.alias("label"), "dst"), g.vertices)
 
 
-@query(S._with("handoff", f"e as ({_LITTLE})", then="select g.src src1, e.src src2, g.label, g.dst dst1, e.dst dst2 from g join e on e.label = g.label"))
+@query(S._with("handoff", f"e as ({_TURNS})", then="select g.src src1, e.src src2, g.label, g.dst dst1, e.dst dst2 from g join e on e.label = g.label"))
 def kron_graphs(spark, sf_dir):
-    return kron.graphs(B.handoff(spark, sf_dir), _little(spark, sf_dir))
+    return kron.graphs(B.handoff(spark, sf_dir), _turns(spark, sf_dir))
 
 
-@query(S._with("handoff", f"e as ({_LITTLE})", then="select g.src src1, e.src src2, g.dst dst1, e.dst dst2, string_agg(g.label, ' ' order by g.label) labels from g join e on e.label = g.label group by all"))
+@query(S._with("handoff", f"e as ({_TURNS})", then="select g.src src1, e.src src2, g.dst dst1, e.dst dst2, string_agg(g.label, ' ' order by g.label) labels from g join e on e.label = g.label group by all"))
 def kron_label_sets(spark, sf_dir):
-    return kron.label_sets(B.handoff(spark, sf_dir), _little(spark, sf_dir)).withColumn("labels", F.array_join("labels", " "))
+    return kron.label_sets(B.handoff(spark, sf_dir), _turns(spark, sf_dir)).withColumn("labels", F.array_join("labels", " "))
 
 
-@query(S._with("handoff", f"e as ({_LITTLE})", then="select g.label, count(*) n from g join e on e.label = g.label group by g.label"))
+@query(S._with("handoff", f"e as ({_TURNS})", then="select g.label, count(*) n from g join e on e.label = g.label group by g.label"))
 def kron_families(spark, sf_dir):
-    parts = kron.families(B.handoff(spark, sf_dir).decompose(), _little(spark, sf_dir).decompose())
+    parts = kron.families(B.handoff(spark, sf_dir).decompose(), _turns(spark, sf_dir).decompose())
     return pt.union_all([df.agg(F.count("*").alias("n")).select(F.lit(k).alias("label"), "n") for k, df in parts.items()]).where("n > 0")
 
 
