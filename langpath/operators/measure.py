@@ -36,10 +36,14 @@ def grammar_growth(grammars: dict[str, Grammar], spark: SparkSession) -> DataFra
     return spark.createDataFrame(rows, "grammar string, grammar_size int, boxes int, states int, transitions int, normal_rules int, normal_size int")
 
 
+def path_counts(paths: DataFrame) -> DataFrame:
+    """Walks of each pair."""
+    return paths.groupBy("src", "dst").agg(F.count("*").alias("n"))
+
+
 def paths_per_pair(paths: DataFrame) -> DataFrame:
     """Pairs, walks, mean and most walks of a pair."""
-    n = paths.groupBy("src", "dst").agg(F.count("*").alias("n"))
-    return n.agg(F.count("*").alias("pairs"), F.sum("n").alias("walks"), F.avg("n").alias("mean_walks"), F.max("n").alias("most_walks"))
+    return path_counts(paths).agg(F.count("*").alias("pairs"), F.sum("n").alias("walks"), F.avg("n").alias("mean_walks"), F.max("n").alias("most_walks"))
 
 
 def trace(metrics: list[dict], spark: SparkSession) -> DataFrame:

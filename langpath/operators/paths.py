@@ -66,8 +66,11 @@ def levels(index: PathIndex, max_length: int | None = None, sources: DataFrame |
     if machine.has_calls:
         entry = F.broadcast(local_table(spark, [(b, q) for b, q in start.items()], "symbol string, entry int"))
         seeds = seeds.union(calls.select("symbol", "v").distinct().join(entry, "symbol").select(F.col("v").alias("s"), F.col("entry").alias("q"), "v")).distinct()
+    nullable = bool(machine.nullable())
+    opens_with_call = any(is_call and q in start.values() for q, _, _, is_call in machine.transitions())
     partial: list[DataFrame] = []
     done: list[DataFrame] = []
+    held: list[tuple[int, int]] = []  # rows of either, by level: empty ones are not joined
 
     def finished(rows: DataFrame) -> DataFrame:
         return rows.join(owner, "q").select("box", "s", "v", "path").distinct()
@@ -82,12 +85,12 @@ def levels(index: PathIndex, max_length: int | None = None, sources: DataFrame |
         """Rows of one level, with calls that bring all labels or none, until nothing is new; and whether there are any."""
         fresh, n = stage.put(first_only(rows.distinct(), level))
         known, some = fresh, n > 0
-        if not machine.has_calls:
+        if not (nullable or level and opens_with_call):
             return known, some
         while n:
             ended = finished(fresh)
             if level:
-                step = [extend(partial[0], ended), extend(fresh, done[0])]
+                step = [extend(partial[0], ended)] * opens_with_call + [extend(fresh, done[0])] * nullable
             else:
                 step = [extend(known, ended), extend(fresh, finished(known))]
             new = union_all(step).distinct().join(known, [*key, "path"], "left_anti")
@@ -115,12 +118,14 @@ def levels(index: PathIndex, max_length: int | None = None, sources: DataFrame |
             edge = F.struct(F.col("v").alias("src"), F.col("symbol").alias("label"), F.col("w").alias("dst"))
             parts = [last.join(terms, ["q", "v"]).select("s", F.col("p").alias("q"), F.col("w").alias("v"), F.concat("path", F.array(edge)).alias("path"))]
             if machine.has_calls:
-                parts += [extend(partial[level - k], done[k]) for k in range(1, level)]
+                parts += [extend(partial[level - k], done[k]) for k in range(1, level) if held[level - k][0] and held[k][1]]
             rows = union_all(parts)
         settled, some = settle(rows, level)
         partial.append(settled)
         highest = level if some else highest
-        done.append(finished(partial[level]))
+        ended, n = stage.put(finished(settled))
+        done.append(ended)
+        held.append((int(some), n))
         mine = done[level].where(F.col("box") == box)
         if sources is not None:
             mine = mine.join(base, "s", "left_semi")

@@ -203,12 +203,17 @@ def paths_q2_handoff(spark, sf_dir):
     return pt.as_words(pt.union_all(list(pt.levels(index, 2))))
 
 
-@query(S.bounded_wrapped("ontology", [("sco~", "sco"), ("type~", "type")], [("sco~", "sco"), ("type~", "type")], 4, then="select src, dst, len, word from s where src % 16 = 0 or src % 16 = 6"))
+_G1_ENDS = [("sco~", "sco"), ("type~", "type")]
+
+
+@query(S.bounded_wrapped("ontology", _G1_ENDS, _G1_ENDS, 4))
 def paths_g1_len4(spark, sf_dir):
-    g = B.ontology(spark, sf_dir)
-    start = g.vertices.where("id % 16 = 0 or id % 16 = 6")
-    index = ix.build(g, machine_of("g1"))
-    return pt.as_words(pt.union_all(list(pt.levels(index, 4, start))))
+    return pt.as_words(pt.union_all(list(pt.levels(ix.build(B.ontology(spark, sf_dir), machine_of("g1")), 4))))
+
+
+@query(S.bounded_wrapped("ontology", _G1_ENDS, _G1_ENDS, 20, then="select src, dst, cast(count(*) as bigint) n from s group by src, dst"))
+def paths_g1_per_pair(spark, sf_dir):
+    return measure.path_counts(pt.union_all(list(pt.levels(ix.build(B.ontology(spark, sf_dir), machine_of("g1")), 20))))
 
 
 _TOPK = "select src, dst, len, word from (select src, dst, len, word, row_number() over (partition by src, dst order by len, word, way) k from r where q in (@finals)) x where k <= 3"

@@ -31,6 +31,8 @@ def test_levels_are_all_walks(spark, text):
     m = rsm.from_grammar(text)
     index = ix.build(graph_of(spark, EDGES), m, strategy="loop")
     assert rows(pt.union_all(list(pt.levels(index, 3)))) == accepted(EDGES, m, 3)
+    some = index.graph.vertices.where("id = 0")
+    assert rows(pt.union_all(list(pt.levels(index, 3, some)))) == [w for w in accepted(EDGES, m, 3) if w[0] == 0]
 
 
 @pytest.mark.parametrize("text", ["S -> a S b | a b", "S -> ε | a S b", "S -> S S | a | b", "S -> A b\nA -> a A | ε"])
