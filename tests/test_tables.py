@@ -1,5 +1,7 @@
 """Queries that used to fail on larger tables, or that read none."""
 
+import pytest
+
 from langpath import workloads
 from langpath.operators import kron
 
@@ -33,3 +35,9 @@ def test_label_sets_are_intersected_once_per_pair_of_sets(spark):
     got = kron.label_sets(g, h, sep=" ")
     assert sorted(map(tuple, got.collect())) == [(1, 7, 2, 8, "a b"), (1, 8, 2, 9, "b"), (2, 7, 3, 8, "a")]
     assert "intersect" not in got._jdf.queryExecution().toString()
+
+
+@pytest.mark.parametrize("name", ["fsm_intersection", "grammar_growth", "grammar_sizes", "udtf_transitions"])
+def test_automata_and_grammars_come_from_a_table(spark, name):
+    got = workloads.queries()[name](spark, DIR)
+    assert any(f.endswith("events.parquet") for f in got.inputFiles()) and got.limit(1).count() == 1
