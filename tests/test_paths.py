@@ -159,3 +159,10 @@ def test_lazy_walks_end(spark):
     assert [[e[1] for e in w] for w in pt.iterate(regular, 0, 4)] == [["c"], ["a", "a", "b", "b"]]
     nested = ix.build(graph, rsm.from_grammar("S -> a S b | a b"))
     assert [[e[1] for e in w] for w in pt.iterate(nested, 0, 4)] == [["a", "a", "b", "b"]]
+
+
+def test_walks_without_calls_need_no_facts(spark):
+    g, m = graph_of(spark, [(0, "a", 1), (1, "b", 2), (2, "b", 1), (3, "b", 0)]), rsm.from_regex("a b*")
+    whole = [(r["src"], r["dst"], r["len"], str(r["path"])) for r in pt.union_all(list(pt.levels(ix.build(g, m, strategy="loop"), 3))).collect()]
+    bare = [(r["src"], r["dst"], r["len"], str(r["path"])) for r in pt.union_all(list(pt.levels(ix.PathIndex(g, m, None), 3, prune=False))).collect()]
+    assert sorted(bare) == sorted(whole) and len(bare) == 3
