@@ -166,3 +166,12 @@ def test_walks_without_calls_need_no_facts(spark):
     whole = [(r["src"], r["dst"], r["len"], str(r["path"])) for r in pt.union_all(list(pt.levels(ix.build(g, m, strategy="loop"), 3))).collect()]
     bare = [(r["src"], r["dst"], r["len"], str(r["path"])) for r in pt.union_all(list(pt.levels(ix.PathIndex(g, m, None), 3, prune=False))).collect()]
     assert sorted(bare) == sorted(whole) and len(bare) == 3
+
+
+def test_counted_pairs_are_the_walks_that_levels_make(spark):
+    g = graph_of(spark, [(0, "b", 1), (1, "a", 2), (1, "a", 3), (2, "b", 4), (3, "b", 4), (4, "b", 5), (0, "a", 1)])
+    m = rsm.from_grammar("S -> a S b | a b")
+    index = ix.build(g, m, strategy="loop")
+    made = pt.union_all(list(pt.levels(index, 6))).groupBy("src", "dst").count()
+    assert sorted(map(tuple, pt.count_pairs(index, 6).collect())) == sorted(map(tuple, made.collect())) != []
+    assert not pt.is_deterministic(rsm.from_grammar("S -> S S | a"))
