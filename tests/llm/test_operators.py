@@ -595,3 +595,42 @@ def test_null_ids_and_texts(spark):
     assert sorted((r["component_id"] or 0) for r in got if r["n_shingles"]) == [1, 1, 1]
     cut = lpf.remove_repeats(df, length=50, gram=16, keep="none").collect()
     assert sum(r["n_removed"] for r in cut) == 3 * len(t.encode())
+
+
+def test_a_slice_is_scored_in_bounded_memory():
+    """Peak bytes a token of asking and of summing; sums are those of a plain look-up."""
+    import tracemalloc
+
+    import zstandard
+
+    rng = np.random.default_rng(3)
+    n, shards = rng.integers(0, 900, 1000), 5
+    ids = (rng.zipf(1.3, n.sum()) % 50_000).astype(np.uint16)
+    fold = np.arange(len(n)) % 2
+    row = {"slice": 1, "doc_id": list(range(len(n))), "lang": ["en"] * len(n), "n_bytes": n.tolist(), "fold": fold.tolist(), "n": n.tolist(), "ids": zstandard.ZstdCompressor(3).compress(ids.tobytes())}
+    small = tuple(rng.integers(1, 20_000, (2, 50_003)) for _ in range(2))
+    costs = lambda g: (g * 40_503 >> 7) % 50_000
+    missing = lambda g: g % 3 == 0
+    peaks = {}
+    tracemalloc.start()
+    got = kneser_ney.blocks_of(row, shards, True)
+    peaks["blocks"] = tracemalloc.get_traced_memory()[1]
+    answers = []
+    for k, shard, block in sorted(zip(*(got.column(c).to_pylist() for c in ("n", "shard", "grams")), strict=True), key=lambda r: r[1]):
+        g = np.cumsum(kneser_ney._expand(block, np.int64))
+        assert (kneser_ney.shard_of(g, shards) == shard).all() and (np.diff(g) > 0).all()
+        c = np.where(missing(g), kneser_ney.MISSING, costs(g)).astype(np.uint16)
+        answers.append((k, kneser_ney._squeeze(c if k == 3 else np.concatenate([c, c]))))
+    tracemalloc.reset_peak()
+    before = tracemalloc.get_traced_memory()[0]
+    out = kneser_ney.bits_of(row, [k for k, _ in answers], [a for _, a in answers], small, shards, True)
+    peaks["bits"] = tracemalloc.get_traced_memory()[1] - before
+    tracemalloc.stop()
+    assert peaks["bits"] < 50 * len(ids) and peaks["blocks"] < 65 * len(ids)
+    code, _ = kneser_ney._grams_of(row, True)
+    context, suffix = kneser_ney._ends_of(code)
+    f, low = suffix >> 60, (1 << 20) - 1
+    lower = np.where(missing(suffix), small[1][f, suffix >> 20 & low] + small[0][f, suffix & low], costs(suffix))
+    cost = np.where(missing(code), np.where(missing(context), 0, costs(context)) + lower, costs(code))
+    want = [c.sum() / kneser_ney.UNIT for c in np.split(cost, np.cumsum(n[n > 0] + 1)[:-1])]
+    assert [b for b in out.column("bits").to_pylist() if b is not None] == want
